@@ -17,8 +17,55 @@ def op1_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicate_classes(_table(spark, sf_dir, "documents"), width=2, percent=80)
 
 
+def _vocabulary(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op2_ranked_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.token_files import read_token_files, write_token_files
+    from certgraph.plans.staging import Stages
+
+    at = Stages(spark, "op2").path("files")
+    write_token_files(_table(spark, sf_dir, "documents"), at, _vocabulary("byte_bpe_50k.json"), end_id=2)
+    return read_token_files(spark, at)
+
+
+def op6_two_tier_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.token_counts import token_counts
+
+    return token_counts(_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), limit=1024)
+
+
+def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.packing import pack_documents
+
+    return pack_documents(_table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), capacity=1024, end_id=2)
+
+
+def op3_compression_band_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.quality import quality_verdicts
+
+    return quality_verdicts(_table(spark, sf_dir, "documents"))
+
+
+def op10_splitting_tree_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.mixing import mixed_amounts
+
+    return mixed_amounts(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_minmax_near_duplicates,)}
+    found = (
+        op1_minmax_near_duplicates,
+        op2_ranked_token_files,
+        op3_compression_band_quality,
+        op6_two_tier_token_counts,
+        op7_best_fit_packing,
+        op10_splitting_tree_mixing,
+    )
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:

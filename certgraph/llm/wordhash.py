@@ -14,7 +14,7 @@ SLICE_BYTES = 1 << 20
 
 _U = np.uint64
 _rng = np.random.default_rng(20240517)
-_BYTE_VALUE = _rng.integers(0, 2**64, 256, dtype=np.uint64) | _U(1)
+BYTE_VALUE = _rng.integers(0, 2**64, 256, dtype=np.uint64) | _U(1)
 _IS_SPACE = np.zeros(256, dtype=bool)
 _IS_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _BASE = 0x9E3779B97F4A7C15 | 5
@@ -32,7 +32,7 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> _U(33))
 
 
-def _power_table(n: int) -> tuple[np.ndarray, np.ndarray]:
+def power_table(n: int) -> tuple[np.ndarray, np.ndarray]:
     have = _powers.get("up")
     if have is None or len(have) < n:
         size = max(n, SLICE_BYTES + 4096)
@@ -74,9 +74,9 @@ class Words:
         before[1:] = space[:-1]
         self.starts = np.flatnonzero(~space & before)
         self.ends = np.flatnonzero(space & ~before)
-        up, down = _power_table(len(d))
+        up, down = power_table(len(d))
         sums = np.zeros(len(d) + 1, dtype=np.uint64)
-        np.cumsum(_BYTE_VALUE[d] * up[: len(d)], out=sums[1:])
+        np.cumsum(BYTE_VALUE[d] * up[: len(d)], out=sums[1:])
         self.hashes = mix((sums[self.ends] - sums[self.starts]) * down[self.starts])
         lengths = np.fromiter((len(r) + 1 for r in raws), dtype=np.int64, count=len(raws))
         self.offsets = np.zeros(len(raws) + 1, dtype=np.int64)
