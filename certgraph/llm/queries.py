@@ -56,13 +56,34 @@ def op10_splitting_tree_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed_amounts(_table(spark, sf_dir, "documents"))
 
 
+def op4_text_to_tag_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.html_text import extract_pages
+
+    return extract_pages(_table(spark, sf_dir, "pages"))
+
+
+def op8_cross_polytope_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.nearest import nearest_neighbours
+
+    return nearest_neighbours(_table(spark, sf_dir, "embeddings"), queries="vec_id % 20 = 0", k=20)
+
+
+def op9_hidden_markov_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.language_model import language_model_scores
+
+    return language_model_scores(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = (
         op1_minmax_near_duplicates,
         op2_ranked_token_files,
         op3_compression_band_quality,
+        op4_text_to_tag_html_extraction,
         op6_two_tier_token_counts,
         op7_best_fit_packing,
+        op8_cross_polytope_neighbours,
+        op9_hidden_markov_scores,
         op10_splitting_tree_mixing,
     )
     return {f.__name__: f for f in found}
