@@ -32,6 +32,12 @@ def op2_ranked_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_token_files(spark, at)
 
 
+def op5_viterbi_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from certgraph.llm.chat import formatted_chats
+
+    return formatted_chats(_table(spark, sf_dir, "conversations"))
+
+
 def op6_two_tier_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from certgraph.llm.token_counts import token_counts
 
@@ -80,6 +86,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op2_ranked_token_files,
         op3_compression_band_quality,
         op4_text_to_tag_html_extraction,
+        op5_viterbi_chat_formatting,
         op6_two_tier_token_counts,
         op7_best_fit_packing,
         op8_cross_polytope_neighbours,
