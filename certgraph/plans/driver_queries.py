@@ -1,19 +1,218 @@
-"""Core driver queries and their SQL oracles."""
+"""Core driver queries. Spark answers from a certificate; the SQL beside each query answers from the full graph."""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from certgraph.operators import baselines, decide, layered, measures, online, separators
+from certgraph.operators.edges import reordered, vertex_set
+from certgraph.operators.forest import components, min_spanning_forest, scan_first_forest, scan_order, spanning_forest
+from certgraph.plans import oracle_sql as sql
+from certgraph.plans.staging import Stages
+from certgraph.sources.workloads import WORKLOADS
+
+Query = Callable[[SparkSession, str], DataFrame]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    e, v = _graph(spark, sf_dir, "user_topic_error")
+    return separators.all_separators(layered.layered_certificate(e, 3, v), v, 3)
+
+
+def _graph(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
+    st = Stages(spark, name)
+    e = st.keep(WORKLOADS[name](spark, sf_dir), "edges")
+    return e, st.keep(vertex_set(e), "vertices")
+
+
+def _verdict(via: str, name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return decide.is_k_connected(decide.certificate_for(e, k, via, v), v, k).select("k", "verdict")
+
+    return run
+
+
+def _connected(name: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        n = v.agg((F.count(F.lit(1)) - 1).alias("needed"))
+        return spanning_forest(e).agg(F.count(F.lit(1)).alias("kept")).join(F.broadcast(n)).select((F.col("kept") == F.col("needed")).alias("connected"))
+
+    return run
+
+
+def _cert(via: str, name: str, k: int) -> Query:
+    return lambda spark, sf_dir: decide.certificate_for(_graph(spark, sf_dir, name)[0], k, via).select("seq", "u", "v")
+
+
+def _cuts(via: str, name: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return separators.cut_vertices(decide.certificate_for(e, 2, via, v), v)
+
+    return run
+
+
+def _separators(via: str, name: str, size: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return separators.separators(decide.certificate_for(e, size + 1, via, v), v, size, size + 1)
+
+    return run
+
+
+def _all_separators(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return separators.all_separators(layered.layered_certificate(e, k, v), v, k)
+
+    return run
+
+
+def _count(name: str, size: int) -> Query:
+    return lambda spark, sf_dir: _separators("layered", name, size)(spark, sf_dir).agg(F.count(F.lit(1)).alias("n"))
+
+
+def _kappa(via: str, name: str, cap: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        pairs = decide.all_pairs(v).join(e.select("u", "v"), ["u", "v"], "left_anti")
+        return decide.local_connectivity_pairs(decide.certificate_for(e, cap, via, v), v, pairs, cap)
+
+    return run
+
+
+def _order(name: str, rule: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return scan_order(spanning_forest(e), v, rule)
+
+    return run
+
+
+def _handed(name: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return layered.handed_edges(e, scan_order(spanning_forest(e), v))
+
+    return run
+
+
+def _layered(name: str, k: int, **options) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return layered.layered_certificate(e, k, v, **options)
+
+    return run
+
+
+def _bounds(name: str, ks: tuple[int, ...]) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        out = None
+        for k in ks:
+            a = measures.certificate_stats(e, online.online_certificate(e, k, "merge"), k, v)
+            b = measures.certificate_stats(e, layered.layered_certificate(e, k, v), k, v)
+            row = a.select("k", "n", "m", (F.col("of_2kn") <= 1).alias("within_online")).join(b.select("k", (F.col("of_layers") <= 1).alias("within_layers")), "k")
+            out = row if out is None else out.unionByName(row)
+        return out
+
+    return run
+
+
+def _predicted(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.predicted_table(spark, v.count(), e.count(), k)
+
+    return run
+
+
+def _order_free(name: str, k: int) -> Query:
+    """Verdicts from streams in other orders; the graph's own answer holds for each."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        out = None
+        for rule in ("given", "reversed", "hashed"):
+            c = layered.layered_certificate(reordered(e, rule), k, v)
+            row = decide.is_k_connected(c, v, k).select(F.lit(rule).alias("stream"), "k", "verdict")
+            out = row if out is None else out.unionByName(row)
+        return out
+
+    return run
+
+
+def _order_free_sql(name: str, k: int) -> str:
+    return f"SELECT stream, k, verdict FROM (VALUES ('given'), ('reversed'), ('hashed')) t(stream), ({sql.k_connected(name, k)}) q"
+
+
+def _table() -> dict[str, tuple[Query, str | None]]:
+    out: dict[str, tuple[Query, str | None]] = {}
+    for name, make in WORKLOADS.items():
+        out[f"edges_{name}"] = (make, sql.edges(name) if name in sql.ROWS else None)
+        out[f"degree_stats_{name}"] = ((lambda f: lambda s, d: measures.degree_stats(f(s, d)))(make), sql.degree_stats(name) if name in sql.ROWS else None)
+    for name in ("page_link", "host_link", "geo_tree", "turn_path", "order_customer", "doc_line"):
+        out[f"components_{name}"] = ((lambda f: lambda s, d: components(f(s, d)))(WORKLOADS[name]), sql.components(name))
+    out["components_by_forest_page_link"] = (lambda s, d: components(WORKLOADS["page_link"](s, d), strategy="forest"), sql.components("page_link"))
+    for name in ("call_error", "page_link", "part_supplier", "customer_part"):
+        out[f"connected_{name}"] = (_connected(name), sql.connected(name))
+    for name in ("call_error", "nation_trade", "host_link"):
+        out[f"spanning_forest_{name}"] = (lambda s, d, n=name: spanning_forest(_graph(s, d, n)[0]), sql.spanning_forest(name))
+    out["spanning_forest_rounds_host_link"] = (lambda s, d: spanning_forest(_graph(s, d, "host_link")[0], "boruvka"), sql.spanning_forest("host_link"))
+    out["min_spanning_forest_host_link"] = (lambda s, d: min_spanning_forest(_graph(s, d, "host_link")[0], "seq"), sql.spanning_forest("host_link"))
+    for name in ("nation_trade", "host_link"):
+        out[f"scan_order_{name}"] = (_order(name, "preorder"), sql.scan_order(name))
+        out[f"scan_first_forest_{name}"] = (lambda s, d, n=name: scan_first_forest(*_graph(s, d, n)), sql.scan_first_forest(name))
+        out[f"handed_edges_{name}"] = (_handed(name), sql.handed(name))
+    out["scan_order_level_host_link"] = (_order("host_link", "level"), None)
+    out["layered_original_nation_trade_3"] = (_layered("nation_trade", 3, feed="original"), sql.layered("nation_trade", 3))
+    out["layered_original_host_link_2"] = (_layered("host_link", 2, feed="original"), sql.layered("host_link", 2))
+    out["layered_handover_host_link_3"] = (_layered("host_link", 3), None)
+    out["layered_level_host_link_2"] = (_layered("host_link", 2, rule="level"), None)
+    out["layered_merge_part_supplier_3"] = (_layered("part_supplier", 3, mode="merge"), None)
+    for via in ("online", "online_rounds", "online_merge"):
+        out[f"{via}_certificate_call_error_3"] = (_cert(via, "call_error", 3), None)
+    for name, k in (("nation_trade", 3), ("nation_bulk", 2), ("nation_bulk", 3), ("user_topic_error", 2), ("host_link", 2), ("part_supplier_quarter", 2)):
+        for via in ("layered", "online_merge", "full"):
+            out[f"k_connected_{via}_{name}_{k}"] = (_verdict(via, name, k), sql.k_connected(name, k))
+    out["k_connected_layered_merge_nation_bulk_3"] = (_verdict("layered_merge", "nation_bulk", 3), sql.k_connected("nation_bulk", 3))
+    out["k_connected_online_nation_bulk_3"] = (_verdict("online", "nation_bulk", 3), sql.k_connected("nation_bulk", 3))
+    out["order_free_nation_bulk_3"] = (_order_free("nation_bulk", 3), _order_free_sql("nation_bulk", 3))
+    for name in ("host_link", "page_link", "user_topic_error", "part_supplier_quarter", "turn_path", "doc_line", "geo_tree"):
+        out[f"cut_vertices_{name}"] = (_cuts("layered", name), sql.cut_vertices(name))
+    out["cut_vertices_online_page_link"] = (_cuts("online_merge", "page_link"), sql.cut_vertices("page_link"))
+    out["separators2_nation_bulk"] = (_separators("layered", "nation_bulk", 2), sql.separators("nation_bulk", 2))
+    out["separators2_online_nation_bulk"] = (_separators("online", "nation_bulk", 2), sql.separators("nation_bulk", 2))
+    out["separators3_nation_bulk"] = (_separators("layered", "nation_bulk", 3), sql.separators("nation_bulk", 3))
+    out["all_separators_nation_bulk_4"] = (_all_separators("nation_bulk", 4), sql.all_separators("nation_bulk", 4))
+    out["count_separators2_nation_bulk"] = (_count("nation_bulk", 2), sql.separator_count("nation_bulk", 2))
+    for via in ("layered", "online", "full"):
+        out[f"kappa_{via}_nation_bulk_3"] = (_kappa(via, "nation_bulk", 3), sql.kappa("nation_bulk", 3))
+    for name in ("nation_trade", "call_error"):
+        out[f"certificate_bounds_{name}"] = (_bounds(name, (1, 2, 3)), sql.bounds(name, (1, 2, 3)))
+    out["predicted_costs_call_error_3"] = (_predicted("call_error", 3), sql.predicted("call_error", 3))
+    out["bipartite_user_topic_error"] = (lambda s, d: baselines.is_bipartite(_graph(s, d, "user_topic_error")[0]).select("bipartite"), sql.bipartite("user_topic_error"))
+    out["bipartite_call_error"] = (lambda s, d: baselines.is_bipartite(_graph(s, d, "call_error")[0]).select("bipartite"), sql.bipartite("call_error"))
+    out["bfs_layers_host_link_2"] = (lambda s, d: baselines.bfs_layer_certificate(_graph(s, d, "host_link")[0], 2)[0], None)
+    out["forest_partition_call_error_3"] = (lambda s, d: baselines.forest_partition_certificate(_graph(s, d, "call_error")[0], 3), None)
+    out["small_k_call_error_3"] = (lambda s, d: baselines.small_k_certificate(_graph(s, d, "call_error")[0], 3), None)
+    out["local_layers_call_error_3"] = (lambda s, d: baselines.local_layer_certificate(_graph(s, d, "call_error")[0], 3), None)
+    out["matching_part_supplier"] = (lambda s, d: baselines.greedy_matching(_graph(s, d, "part_supplier")[0]), None)
+    out["spanner_call_error_3"] = (lambda s, d: baselines.greedy_spanner(_graph(s, d, "call_error")[0], 3), None)
+    out["online_work_call_error_3"] = (lambda s, d: measures.work_summary(measures.online_work(_graph(s, d, "call_error")[0], 3)), None)
+    out["growth_call_error_3"] = (lambda s, d: (lambda e: online.growth_curve(e, online.online_certificate(e, 3)))(_graph(s, d, "call_error")[0]), None)
+    out["minimum_separators_nation_bulk"] = (lambda s, d: (lambda g: separators.minimum_separators(layered.layered_certificate(g[0], 4, g[1]), g[1], 4))(_graph(s, d, "nation_bulk")), None)
+    return out
 
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+def queries() -> dict[str, Query]:
+    return {k: q for k, (q, _) in _table().items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: s for k, (_, s) in _table().items() if s}
