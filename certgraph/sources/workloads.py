@@ -114,7 +114,7 @@ def nation_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
     return canonical_edges(t, "c_nationkey", "s_nationkey", _LINE_ORDER)
 
 
-def nation_bulk(spark: SparkSession, sf_dir: str, day_step: int = 60) -> DataFrame:
+def nation_bulk(spark: SparkSession, sf_dir: str, day_step: int = 120) -> DataFrame:
     """Nations that trade full-size orders on every `day_step`-th day of the year: a sparse graph on few vertices."""
     full = (F.col("l_quantity") >= 45) & (F.pmod(F.dayofyear("l_shipdate"), F.lit(day_step)) == 0)
     t = _trades(spark, sf_dir, full)
