@@ -7,8 +7,8 @@ candidate buckets; every link is then confirmed on full shingle sets.
 
 Skew. Texts with equal shingle sets collapse to one representative before banding. Inside a bucket nobody
 emits all pairs: members are first compared with a leader of the bucket, in a few rounds with other leaders
-each, and only members that are still in different components are paired off, so that no candidate link
-between different components is lost. All grouping keys are pre-aggregated or joined with joins that Spark
+each. What is then still in different components is compared block against block through an index of shingles
+inside the task, so that no candidate link is lost and no row is made for a pair that isn't a link. All grouping keys are pre-aggregated or joined with joins that Spark
 can split at run time.
 """
 
@@ -27,8 +27,10 @@ from certgraph.plans.staging import Stages
 
 #: Signature values in one band, and permutations; each permutation gives two values.
 BAND_ROWS, PERMUTATIONS = 4, 56
-#: How many leaders a member is compared with in each round before the remaining pairs are listed.
-LEADER_ROUNDS = (1, 4, 8)
+#: How many leaders a member is compared with in each round before the rest is compared in blocks.
+LEADER_ROUNDS = (1, 4)
+#: Shingles of the sets that one block of documents holds when the rest is compared.
+BLOCK_SHINGLES = 500_000
 
 _rng = np.random.default_rng(77001)
 _MUL = _rng.integers(0, 2**64, PERMUTATIONS, dtype=np.uint64) | np.uint64(1)
@@ -144,18 +146,16 @@ def near_duplicate_classes(docs: DataFrame, width: int = 5, percent: int = 80, i
     members = st.keep(banded.join(shared, "bucket", "left_semi"), "members")
 
     nodes = st.keep(members.select("rep").distinct(), "nodes")
-    sets = st.keep(texts.join(nodes, texts.doc_id == nodes.rep, "left_semi").mapInArrow(_sets(width), "rep long, shingles binary").dropDuplicates(["rep"]), "sets")
+    sets = st.keep(texts.join(nodes, texts.doc_id == nodes.rep, "left_semi").mapInArrow(_sets(width), "rep long, shingles binary").dropDuplicates(["rep"]).withColumn("n", F.octet_length("shingles") / 8), "sets")
 
     labels = nodes.select("rep", F.col("rep").alias("comp"))
     links = None
     for turn, most in enumerate(LEADER_ROUNDS):
-        here = st.keep(_unsettled(members, labels), f"open{turn}")
-        pairs = _leader_pairs(here, turn, most)
-        found = st.keep(_confirmed(pairs, sets, percent), f"links{turn}")
+        here = st.keep(_unsettled(members, labels) if turn else members.withColumn("comp", F.col("rep")), f"open{turn}")
+        found = st.keep(_confirmed(_leader_pairs(here, turn, most), sets, percent), f"links{turn}")
         links = found if links is None else links.unionByName(found)
         labels = _labels(st, nodes, links)
-    here = st.keep(_unsettled(members, labels), "open-last")
-    found = st.keep(_confirmed(_remaining_pairs(here), sets, percent), "links-last")
+    found = st.keep(_block_links(st, st.keep(_unsettled(members, labels), "open-last"), sets, percent), "links-last")
     labels = _labels(st, nodes, links.unionByName(found))
     st.drop(sets, members)
 
@@ -168,6 +168,26 @@ def near_duplicate_classes(docs: DataFrame, width: int = 5, percent: int = 80, i
     )
 
 
+def distinct_documents(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of `docs`, with all their columns, that stay when one document of each near-duplicate class is kept.
+
+    The one with the smallest id stays; of rows that repeat its id, one stays. Rows without an id all stay.
+    """
+    st = Stages(docs.sparkSession, "distinct")
+    names = [f"c{i}" for i in range(len(docs.columns))]
+    key = names[[n.lower() for n in docs.columns].index(id_col.lower())]
+    found = near_duplicate_classes(docs, width, percent, id_col, text_col).filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("kept").alias("kept"), F.count(F.lit(1)).alias("n"))
+    found = st.keep(found.filter("NOT kept OR n > 1"), "verdicts")
+    rows = docs.toDF(*names)
+    left = rows.join(found.filter("NOT kept").select(F.col("doc_id").alias("_gone")), F.col(key) == F.col("_gone"), "left_anti")
+    twice = found.filter("kept").select(F.col("doc_id").alias("_twice"))
+    if twice.isEmpty():
+        return left.toDF(*docs.columns)
+    once = left.join(twice, F.col(key) == F.col("_twice"), "left_anti")
+    again = left.join(twice, F.col(key) == F.col("_twice"), "left_semi").groupBy(key).agg(F.min_by(F.struct(*names), F.xxhash64(*names)).alias("r")).select("r.*")
+    return once.unionByName(again).toDF(*docs.columns)
+
+
 def _labels(st: Stages, nodes: DataFrame, links: DataFrame) -> DataFrame:
     found = component_labels(links).withColumnRenamed("id", "rep")
     return st.keep(nodes.join(found, "rep", "left").select("rep", F.coalesce("comp", "rep").alias("comp")), "labels")
@@ -190,12 +210,54 @@ def _leader_pairs(here: DataFrame, turn: int, most: int) -> DataFrame:
     return flat.select(F.least("rep", "leader").alias("u"), F.greatest("rep", "leader").alias("v")).distinct()
 
 
-def _remaining_pairs(here: DataFrame) -> DataFrame:
-    """All pairs of a bucket that lie in different components: those outside its largest component with the rest."""
-    sizes = here.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("n"))
-    top = sizes.groupBy("bucket").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"))
-    tagged = here.join(top, "bucket").withColumn("outside", F.col("comp") != F.col("main"))
-    a = tagged.filter("outside").select("bucket", F.col("rep").alias("a"), F.col("comp").alias("comp_a"))
-    b = tagged.select("bucket", F.col("rep").alias("b"), F.col("comp").alias("comp_b"), "outside")
-    pairs = a.join(b, "bucket").filter("comp_a <> comp_b AND (NOT outside OR a < b)")
-    return pairs.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct()
+def _block_links(st: Stages, here: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """All links between members of a bucket that lie in different components, found block against block.
+
+    Documents that share buckets are put into blocks of bounded size. Two blocks meet if some bucket has documents of both,
+    and in one of them a document outside the bucket's largest component. Inside a task only such documents are looked up
+    in an index of the other block's shingles, which counts exactly what each pair shares; one link to each component comes out.
+    """
+    sizes = here.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("m"), F.min(F.xxhash64("rep")).alias("lead"))
+    top = sizes.groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.min("lead").alias("lead"))
+    near = st.keep(here.join(top, "bucket").groupBy("rep", "comp").agg(F.max(F.col("comp") != F.col("main")).alias("outside"), F.min("lead").alias("near")), "near")
+    # the smallest leader two buckets away: neighbours mostly agree on it, so few blocks meet
+    wider = here.select("bucket", "rep").join(near.select("rep", "near"), "rep").groupBy("bucket").agg(F.min("near").alias("near"))
+    home = here.select("bucket", "rep").join(wider, "bucket").groupBy("rep").agg(F.min("near").alias("home"))
+    docs = near.drop("near").join(home, "rep").join(sets.select("rep", "n"), "rep")
+    parts = docs.groupBy("home").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).alias("parts"))
+    docs = st.keep(docs.join(parts, "home").withColumn("block", F.xxhash64("home", F.pmod(F.xxhash64("rep"), "parts"))).select("rep", "comp", "outside", "block"), "blocks")
+    there = here.select("bucket", "rep").join(docs, "rep").groupBy("bucket", "block").agg(F.max("outside").alias("outside"))
+    meet = there.filter("outside").select("bucket", F.col("block").alias("a")).join(there.select("bucket", F.col("block").alias("b")), "bucket").select("a", "b").distinct()
+    meet = st.keep(meet, "meetings")
+
+    def side(block: str, rows: DataFrame) -> DataFrame:
+        placed = rows.withColumnRenamed("block", block).join(meet, block).join(sets, "rep")
+        return placed.select(*(F.col(c).alias(c) for c in ("a", "b", "rep", "comp", "shingles")))
+
+    left, right = side("a", docs.filter("outside")), side("b", docs)
+    return left.groupBy("a", "b").cogroup(right.groupBy("a", "b")).applyInArrow(_compared(percent), "u long, v long")
+
+
+def _compared(percent: int):
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        us, vs = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        if left.num_rows and right.num_rows:
+            ids, comps = right["rep"].to_numpy(), right["comp"].to_numpy()
+            own = [np.frombuffer(x, np.uint64) for x in right["shingles"].to_pylist()]
+            sizes = np.array([len(x) for x in own])
+            flat, holder = np.concatenate(own), np.repeat(np.arange(len(own)), sizes)
+            order = np.argsort(flat, kind="stable")
+            flat, holder = flat[order], holder[order]
+            for rep, comp, raw in zip(left["rep"].to_pylist(), left["comp"].to_pylist(), left["shingles"].to_pylist(), strict=True):
+                x = np.frombuffer(raw, np.uint64)
+                lo, hi = np.searchsorted(flat, x, "left"), np.searchsorted(flat, x, "right")
+                n = hi - lo
+                at = np.repeat(hi - np.cumsum(n), n) + np.arange(int(n.sum()))
+                shared = np.bincount(holder[at], minlength=len(own))
+                hit = np.flatnonzero((100 * shared >= percent * (len(x) + sizes - shared)) & (comps != comp))
+                hit = hit[np.unique(comps[hit], return_index=True)[1]]  # one link joins a component as well as many
+                us.append(np.full(len(hit), rep, dtype=np.int64))
+                vs.append(ids[hit])
+        return pa.table({"u": pa.array(np.concatenate(us), pa.int64()), "v": pa.array(np.concatenate(vs), pa.int64())})
+
+    return run
