@@ -174,7 +174,7 @@ class PieceCoder:
                 out[i] = v
         return out
 
-    def _encode_slice(self, raws: list[bytes]) -> list:
+    def _encode_slice(self, raws: list[bytes], renewed: bool = False) -> list:
         p = Pieces(raws)
         sizes = np.zeros(len(p.key), dtype=np.int64)
         todo = np.flatnonzero(p.ends > p.starts)
@@ -193,10 +193,10 @@ class PieceCoder:
             if self.lengths_only:  # before the table grows and slots move
                 sizes[new] = own_sizes[back]
                 sizes[todo[~miss]] = table.size[slot[~miss]]
-            if self.table.used + len(one) > CACHE_PIECES:
-                self.table = table = PieceTable(with_ids=not self.lengths_only, dtype=self.type)  # start again rather than grow
+            if self.table.used + len(one) > CACHE_PIECES and not renewed:  # start again, with this slice at least
+                self.table = table = PieceTable(with_ids=not self.lengths_only, dtype=self.type)
                 self.table.add(p.key[one], p.check[one], own_sizes, own_ids)
-                return self._encode_slice(raws)
+                return self._encode_slice(raws, renewed=True)
             self.table.add(p.key[one], p.check[one], own_sizes, own_ids)
             if not self.lengths_only:
                 slot = table.find(p.key[todo], p.check[todo])
