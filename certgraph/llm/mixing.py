@@ -22,6 +22,8 @@ from pyspark.sql.window import Window
 
 from certgraph.plans.staging import Stages
 
+#: Documents that may fill what is left of one source's target once no further one fits in order.
+FILLERS = 8
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -124,18 +126,28 @@ class Mix:
         part = F.when(before + F.col("words") <= F.col("rest"), 1).when(before < F.col("rest"), 2).otherwise(0)
         blocks = self.st.keep(blocks.withColumn("before", before).withColumn("extra", part).select("skey", "block", "passes", "extra", (F.col("rest") - F.col("before")).alias("wanted")), "blocks")
 
+        # in the last block the longest run of documents that fits, then a few others of the source that fill the gap
+        inside = Window.partitionBy("skey", "block")
         cut = blocks.filter("extra = 2").select("skey", "block", "wanted")
-        # the longest run of documents that fits, then the one or two documents that best fill what is still wanted
-        whole = Window.partitionBy("skey", "block")
-        upto = F.sum("size").over(whole.orderBy("h"))
-        taken = rows.select("skey", "block", "h", "size").join(cut, ["skey", "block"]).withColumn("upto", upto).withColumn("fits", F.col("upto") <= F.col("wanted"))
-        gap = F.col("wanted") - F.coalesce(F.max(F.when(F.col("fits"), F.col("upto"))).over(whole), F.lit(0))
-        taken = taken.withColumn("gap", gap).withColumn("off", F.when(~F.col("fits"), F.abs(F.col("gap") - F.col("size"))))
-        taken = taken.withColumn("one", F.min(F.when(F.col("off") < F.col("gap"), F.struct("off", "h", "size"))).over(whole)).withColumn("gap2", F.col("gap") - F.col("one.size"))
-        off2 = F.when(~F.col("fits") & (F.col("h") != F.col("one.h")), F.abs(F.col("gap2") - F.col("size")))
-        two = F.min(F.when(off2 < F.col("gap2"), F.struct(off2.alias("off"), F.col("h"))))
-        cuts = taken.groupBy("skey", "block").agg(F.max(F.when(F.col("fits"), F.col("h"))).alias("h_cut"), F.first("one.h").alias("h_one"), two.alias("two"))
-        cuts = cuts.select("skey", "block", "h_cut", F.array_compact(F.array("h_one", "two.h")).alias("h_more"))
+        taken = rows.select("skey", "block", "h", "size").join(cut, ["skey", "block"]).withColumn("upto", F.sum("size").over(inside.orderBy("h"))).filter(F.col("upto") <= F.col("wanted"))
+        cuts = cut.join(taken.groupBy("skey", "block").agg(F.max("h").alias("h_cut"), F.max("upto").alias("got")), ["skey", "block"], "left")
+        cuts = self.st.keep(cuts.select("skey", "block", "h_cut", (F.col("wanted") - F.coalesce("got", F.lit(0))).alias("gap")), "cuts")
+        free = rows.select("skey", "block", "h", "size").join(blocks.filter("extra <> 1").select("skey", "block"), ["skey", "block"])
+        free = free.join(cuts.select("skey", F.col("block").alias("cut_block"), "h_cut", "gap"), "skey").filter(F.col("size") > 0).filter((F.col("block") != F.col("cut_block")) | F.col("h_cut").isNull() | (F.col("h") > F.col("h_cut")))
+        found = None
+        for turn in range(FILLERS):
+            last = turn == FILLERS - 1
+            best = self.st.keep(self._best_filler(free, last), "filler")
+            if not last and best.isEmpty():
+                last, best = True, self.st.keep(self._best_filler(free, True), "filler")
+            found = best if found is None else found.unionByName(best)
+            if last:
+                break
+            used = best.select("skey", F.col("h").alias("used"), F.col("size").alias("filled"))
+            free = free.join(used, "skey", "left").filter("used IS NULL OR h <> used").withColumn("gap", F.col("gap") - F.coalesce("filled", F.lit(0))).drop("used", "filled")
+        more = found.groupBy("skey", "block").agg(F.collect_list("h").alias("h_more"))
+        blocks = blocks.join(more, ["skey", "block"], "left").withColumn("extra", F.when((F.col("extra") == 0) & F.col("h_more").isNotNull(), 2).otherwise(F.col("extra")))
+        blocks = self.st.keep(blocks, "blocks")
 
         draws = blocks.select("skey", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("passes"))).alias("copy"), "passes", "extra").filter("copy < passes OR extra > 0")
         order = Window.partitionBy("skey").orderBy(F.xxhash64(F.lit(self.seed + 2), "skey", "block", "copy"), "block", "copy")
@@ -146,9 +158,17 @@ class Mix:
         ranges = leaves.withColumn("end", upto).filter("draws > 0").groupBy("skey").agg(F.sort_array(F.collect_list(F.struct("end", "shard"))).alias("ranges"))
         shard = F.expr("filter(ranges, r -> r.end > nth)[0].shard")
         dealt = draws.join(ranges, "skey").withColumn("shard", shard.cast("int")).groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.struct("copy", "shard"))).alias("dealt"))
-        plan = blocks.join(dealt, ["skey", "block"], "left").join(cuts, ["skey", "block"], "left")
+        plan = blocks.join(dealt, ["skey", "block"], "left").join(cuts.select("skey", "block", "h_cut"), ["skey", "block"], "left")
         self.plan = self.st.keep(plan.select("skey", "block", "extra", "h_cut", "h_more", "dealt"), "plan")
 
+    @staticmethod
+    def _best_filler(free: DataFrame, either_side: bool) -> DataFrame:
+        """For each source the free document that leaves least of the gap: one that fits or, at the end, the nearest."""
+        off = F.abs(F.col("gap") - F.col("size"))
+        fits = (off < F.col("gap")) if either_side else (F.col("size") <= F.col("gap"))
+        best = free.filter(fits).groupBy("skey").agg(F.min(F.struct(off.alias("off"), "h", "block", "size")).alias("m"))
+        return best.select("skey", "m.h", "m.block", "m.size")
+
     def with_draws(self, rows: DataFrame) -> DataFrame:
         """Rows with skey and h, with `drawn`: the copies that the mix takes, and their shards."""
         found = self.blocked(rows).join(self.plan, ["skey", "block"])
