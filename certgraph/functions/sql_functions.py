@@ -10,7 +10,7 @@ from certgraph.functions.graph_kernels import OnlineCertificate, component_count
 
 
 class CertificateEdges:
-    """certificate_edges(TABLE(e) PARTITION BY g ORDER BY seq, k, method): the kept edges of each graph.
+    """certificate_edges(TABLE(e) PARTITION BY g ORDER BY (seq), k, method): the kept edges of each graph.
 
     The table's last three columns are seq, u, v.
     """
@@ -70,7 +70,7 @@ def grouped_certificates(edges: DataFrame, graph: str, k: int) -> DataFrame:
     """Layered certificates of many small graphs at once: (graph, seq, u, v, layer), one task for each graph."""
     kind = edges.schema[graph].dataType.simpleString()
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key, table):
         rows = layered_rows(list(zip(*(table[c].to_pylist() for c in ("seq", "u", "v")), strict=True)), k)
         cols = list(zip(*rows, strict=True)) if rows else [(), (), (), ()]
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
@@ -84,7 +84,7 @@ def grouped_verdicts(edges: DataFrame, graph: str, k: int) -> DataFrame:
     """(graph, n, verdict) for many small graphs at once."""
     kind = edges.schema[graph].dataType.simpleString()
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key, table):
         g = graph_of(zip(table["u"].to_pylist(), table["v"].to_pylist(), strict=True))
         return pa.table([pa.array([key[0].as_py()], table.schema.field(graph).type), pa.array([len(g)], pa.int64()), pa.array([is_k_connected(g, k)])], names=[graph, "n", "verdict"])
 

@@ -51,9 +51,9 @@ def test_repeats_within_the_watermark_and_sessions(spark, sf, tmp_path):
 def test_sql_functions(spark):
     register_all(spark)
     known_edges(spark, "wheel", 6).createOrReplaceTempView("wheel6")
-    kept = spark.sql("SELECT * FROM certificate_edges(TABLE(SELECT seq, u, v FROM wheel6) WITH SINGLE PARTITION ORDER BY seq, 3, 'layered')").count()
+    kept = spark.sql("SELECT * FROM certificate_edges(TABLE(SELECT seq, u, v FROM wheel6) WITH SINGLE PARTITION ORDER BY (seq), 3, 'layered')").count()
     assert kept <= 3 * 6
-    assert spark.sql("SELECT * FROM certificate_edges(TABLE(SELECT seq, u, v FROM wheel6) WITH SINGLE PARTITION ORDER BY seq, 1, 'online')").count() == 6
+    assert spark.sql("SELECT * FROM certificate_edges(TABLE(SELECT seq, u, v FROM wheel6) WITH SINGLE PARTITION ORDER BY (seq), 1, 'online')").count() == 6
     assert spark.sql("SELECT * FROM k_separators(TABLE(SELECT u, v FROM wheel6) WITH SINGLE PARTITION, 3)").count() == 9  # the hub and two rim vertices apart
     assert spark.sql("SELECT kappa_capped(collect_list(named_struct('u', u, 'v', v)), 1L, 3L, 5) AS n FROM wheel6").first().n == 3
     loaded = spark.read.format("graphgen").option("kind", "cube").option("size", "3").load()
