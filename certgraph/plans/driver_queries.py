@@ -8,11 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from certgraph.operators import baselines, decide, layered, measures, online, separators
-from certgraph.operators.edges import reordered, vertex_set
-from certgraph.operators.forest import components, min_spanning_forest, scan_first_forest, scan_order, spanning_forest
+from certgraph.operators.edges import in_layer, induced, remove_vertices, reordered, residual, vertex_set
+from certgraph.operators.forest import check_scan_order, components, first_neighbour_forest, min_spanning_forest, scan_first_forest, scan_order, spanning_forest
 from certgraph.plans import oracle_sql as sql
 from certgraph.plans.staging import Stages
-from certgraph.sources.workloads import WORKLOADS
+from certgraph.sources.workloads import WORKLOADS, known_edges
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -151,6 +151,104 @@ def _order_free_sql(name: str, k: int) -> str:
     return f"SELECT stream, k, verdict FROM (VALUES ('given'), ('reversed'), ('hashed')) t(stream), ({sql.k_connected(name, k)}) q"
 
 
+def _without_hubs(name: str, keep: bool) -> Query:
+    """The graph without its ten busiest vertices, or only with those of degree three and more."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, _ = _graph(spark, sf_dir, name)
+        d = e.select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("d"))
+        return induced(e, d.filter("d >= 3").select("id")) if keep else remove_vertices(e, d.orderBy(F.desc("d"), "id").limit(10).select("id"))
+
+    return run
+
+
+def _first_layer(name: str, what: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        order = Stages(spark, name).keep(scan_order(spanning_forest(e), v), "order")
+        f = Stages(spark, name).keep(first_neighbour_forest(e, order), "forest")
+        return residual(e, f).select("seq", "u", "v") if what == "residual" else in_layer(e, order, f).select("seq", "in_layer")
+
+    return run
+
+
+def _legal(name: str, rule: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return check_scan_order(e, scan_order(spanning_forest(e), v, rule)).agg(F.count(F.lit(1)).alias("faults"))
+
+    return run
+
+
+def _largest_k(name: str, most: int, via: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return spark.createDataFrame([(decide.vertex_connectivity(e, most, via, v),)], "kappa int")
+
+    return run
+
+
+def _minimal(name: str, size: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return separators.separators(layered.layered_certificate(e, size + 1, v), v, size, size + 1, minimal=True)
+
+    return run
+
+
+def _smallest(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return separators.minimum_separators(layered.layered_certificate(e, k, v), v, k)
+
+    return run
+
+
+def _faults(name: str, k: int, via: str) -> Query:
+    """Removed sets of fewer than k vertices for which certificate and graph fall into other components; none."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        found = measures.validate_certificate(e, decide.certificate_for(e, k, via, v), v, k)
+        return found.agg(F.count(F.lit(1)).alias("sets"), F.sum(F.when(F.col("same"), 0).otherwise(1)).alias("faults"))
+
+    return run
+
+
+def _agreement(name: str, k: int) -> Query:
+    return lambda spark, sf_dir: measures.agreement(_graph(spark, sf_dir, name)[0], k)
+
+
+def _layer_faults(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.forest_faults(layered.layered_run(e, k, v)).agg(F.sum("n").alias("faults"))
+
+    return run
+
+
+def _sizes(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.certificate_stats(e, layered.layered_certificate(e, k, v, feed="original"), k, v).select("k", "n", "m", "cert_rows", "of_layers", "of_edges")
+
+    return run
+
+
+#: Graphs of known connectivity.
+KNOWN = (("path", (7,), 1), ("cycle", (8,), 2), ("star", (5,), 1), ("wheel", (6,), 3), ("complete", (5,), 4), ("bipartite", (3, 4), 3), ("grid", (3, 4), 2), ("cube", (3,), 3), ("harary", (4, 9), 4), ("cliques", (5, 3), 3))
+
+
+def _known(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = [(kind, decide.vertex_connectivity(known_edges(spark, kind, *size), 5, "online")) for kind, size, _ in KNOWN]
+    return spark.createDataFrame(rows, "graph string, kappa int")
+
+
+def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    graphs = {n: WORKLOADS[n](spark, sf_dir) for n in ("call_error", "nation_trade", "nation_bulk")}
+    return measures.timed_sweep(spark, graphs, (1, 2, 3), ("layered", "layered_merge", "online_rounds", "online_merge")).drop("seconds")
+
+
 def _table() -> dict[str, tuple[Query, str | None]]:
     out: dict[str, tuple[Query, str | None]] = {}
     for name, make in WORKLOADS.items():
@@ -206,7 +304,24 @@ def _table() -> dict[str, tuple[Query, str | None]]:
     out["spanner_call_error_3"] = (lambda s, d: baselines.greedy_spanner(_graph(s, d, "call_error")[0], 3), None)
     out["online_work_call_error_3"] = (lambda s, d: measures.work_summary(measures.online_work(_graph(s, d, "call_error")[0], 3)), None)
     out["growth_call_error_3"] = (lambda s, d: (lambda e: online.growth_curve(e, online.online_certificate(e, 3)))(_graph(s, d, "call_error")[0]), None)
-    out["minimum_separators_nation_bulk"] = (lambda s, d: (lambda g: separators.minimum_separators(layered.layered_certificate(g[0], 4, g[1]), g[1], 4))(_graph(s, d, "nation_bulk")), None)
+    for keep in (False, True):
+        out[f"{'induced' if keep else 'without_hubs'}_host_link"] = (_without_hubs("host_link", keep), sql.without_hubs("host_link", keep))
+    out["residual_host_link"] = (_first_layer("host_link", "residual"), sql.first_layer("host_link", "residual"))
+    out["in_layer_host_link"] = (_first_layer("host_link", "member"), sql.first_layer("host_link", "member"))
+    for rule in ("preorder", "level"):
+        out[f"order_faults_{rule}_page_link"] = (_legal("page_link", rule), "SELECT CAST(0 AS BIGINT) AS faults")
+    for via in ("layered", "online", "full"):
+        out[f"vertex_connectivity_{via}_nation_bulk"] = (_largest_k("nation_bulk", 3, via), sql.largest_k("nation_bulk", 3))
+    out["minimal_separators3_nation_bulk"] = (_minimal("nation_bulk", 3), sql.minimal_separators("nation_bulk", 3))
+    out["certificate_faults_layered_nation_bulk_3"] = (_faults("nation_bulk", 3, "layered"), sql.removed_sets("nation_bulk", 3))
+    out["certificate_faults_online_nation_bulk_3"] = (_faults("nation_bulk", 3, "online_merge"), sql.removed_sets("nation_bulk", 3))
+    out["agreement_nation_bulk_3"] = (_agreement("nation_bulk", 3), sql.agreement("nation_bulk", 3))
+    out["layer_faults_host_link_3"] = (_layer_faults("host_link", 3), "SELECT CAST(0 AS BIGINT) AS faults")
+    out["layered_sizes_nation_trade_2"] = (_sizes("nation_trade", 2), sql.layered_sizes("nation_trade", 2))
+    out["min_degree_host_link"] = (lambda s, d: measures.min_degree(*_graph(s, d, "host_link")), sql.min_degree("host_link"))
+    out["known_graphs"] = (_known, "SELECT graph, kappa::INT AS kappa FROM (VALUES " + ", ".join(f"('{k}', {n})" for k, _, n in KNOWN) + ") t(graph, kappa)")
+    out["sweep_rows"] = (_sweep, None)
+    out["minimum_separators_nation_bulk"] = (_smallest("nation_bulk", 4), sql.smallest_separators("nation_bulk", 4))
     return out
 
 
