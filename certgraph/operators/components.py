@@ -24,19 +24,18 @@ def component_labels(edges: DataFrame, src: str = "u", dst: str = "v", max_round
         .select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
         .distinct()
     )
-    live = st.keep(live, "edges")
+    live = stored = st.keep(live, "edges")
     labels = live.select(F.explode(F.array("u", "v")).alias("id")).distinct().withColumn("comp", F.col("id"))
     live = live.filter("u <> v")
     for _ in range(max_rounds):
         # every label that has a smaller neighbour points to the smallest of them
-        hook = live.groupBy(F.col("v").alias("x")).agg(F.min("u").alias("p"))
-        hook = st.keep(hook, "hook")
+        hook = st.keep(live.groupBy(F.col("v").alias("x")).agg(F.min("u").alias("p")), "hook")
         if hook.isEmpty():
-            break
+            st.drop(hook)
+            return labels
         root = _ends(st, hook)
-        moved = F.coalesce(F.col("p"), F.col("comp"))
-        labels = labels.join(root.withColumnRenamed("x", "comp"), "comp", "left").select("id", moved.alias("comp"))
-        labels = st.keep(labels, "labels")
+        moved = labels.join(root.withColumnRenamed("x", "comp"), "comp", "left").select("id", F.coalesce(F.col("p"), F.col("comp")).alias("comp"))
+        moved = st.keep(moved, "labels")
         a, b = root.select(F.col("x").alias("u"), F.col("p").alias("pu")), root.select(F.col("x").alias("v"), F.col("p").alias("pv"))
         nxt = (
             live.join(a, "u", "left")
@@ -46,18 +45,19 @@ def component_labels(edges: DataFrame, src: str = "u", dst: str = "v", max_round
             .select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))
             .distinct()
         )
-        live = st.keep(nxt, "live")
-    else:
-        raise RuntimeError("component contraction did not settle")
-    return labels
+        nxt = st.keep(nxt, "live")
+        st.drop(stored, labels, root)
+        live = stored = nxt
+        labels = moved
+    raise RuntimeError("component contraction did not settle")
 
 
 def _ends(st: Stages, hook: DataFrame) -> DataFrame:
     """Follow the pointers of `hook`(x, p) to the label that has none, doubling the distance each time."""
     while True:
         nxt = hook.select(F.col("x").alias("p"), F.col("p").alias("q"))
-        step = hook.join(nxt, "p", "left").select("x", F.coalesce("q", "p").alias("p"), F.col("q").isNotNull().alias("moved"))
-        step = st.keep(step, "ends")
-        hook = step.select("x", "p")
-        if step.filter("moved").isEmpty():
+        step = st.keep(hook.join(nxt, "p", "left").select("x", F.coalesce("q", "p").alias("p"), F.col("q").isNotNull().alias("moved")), "ends")
+        st.drop(hook)
+        hook, going = step, step.filter("moved")
+        if going.isEmpty():
             return hook
