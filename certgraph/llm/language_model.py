@@ -33,7 +33,7 @@ TAIL_CLASSES, STATES = 4096, 8
 #: Texts of the starting sample, its rounds, and passes over all training texts.
 SAMPLE_TEXTS, SAMPLE_ROUNDS, FULL_PASSES = 512, 12, 2
 #: Text of one counting block, and tokens whose forward and backward values are held at a time.
-BLOCK_BYTES, HELD_TOKENS = 32 << 20, 500_000
+BLOCK_BYTES, HELD_TOKENS = 12 << 20, 250_000
 FAN_IN = 16
 
 
@@ -102,14 +102,16 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_pylist(rows[k : k + 2000], schema=_BLOCK_FIELDS)
 
     for batch in batches:
-        ids, raws = batch.column(0).to_pylist(), [text_bytes(t, lower=True) for t in batch.column(1).to_pylist()]
-        for a, b in slices([len(r) for r in raws]):
-            w = Words(raws[a:b])
-            held.append((ids[a:b], w.hashes, _tails(w), w.bounds - w.bounds[0]))
-            size += len(w.data)
-            if size >= BLOCK_BYTES:
-                yield from flush()
-                held, size, number = [], 0, number + 1
+        for k in range(0, batch.num_rows, 1000):
+            some = batch.slice(k, 1000)
+            ids, raws = some.column(0).to_pylist(), [text_bytes(t, lower=True) for t in some.column(1).to_pylist()]
+            for a, b in slices([len(r) for r in raws]):
+                w = Words(raws[a:b])
+                held.append((ids[a:b], w.hashes, _tails(w), w.bounds - w.bounds[0]))
+                size += len(w.data)
+                if size >= BLOCK_BYTES:
+                    yield from flush()
+                    held, size, number = [], 0, number + 1
     if held:
         yield from flush()
 
