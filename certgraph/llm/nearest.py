@@ -169,7 +169,7 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
     family = CrossPolytope(dim, tables, hashes, longest)
     most_probes = min((2 * family.wide) ** hashes, MOST_PROBES if hashes > 1 else 2 * family.wide)
     probes = _fitted_probes(rows, asked, family, dim, k, most_probes)
-    own = "table_no int, bucket long, vec_id long, vec array<double>"
+    own = f"table_no int, bucket long, vec_id long, vec {rows.schema['vec'].dataType.simpleString()}"  # as wide as it came
 
     def filed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -177,7 +177,7 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
                 part = batch.slice(a, 2048)
                 keys = family.keys(_matrix(part.column(1), dim))
                 for t in range(tables):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), t), pa.int32()), pa.array(keys[:, t], pa.int64()), part.column(0), part.column(1).cast(pa.list_(pa.float64()))], names=["table_no", "bucket", "vec_id", "vec"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), t), pa.int32()), pa.array(keys[:, t], pa.int64()), part.column(0), part.column(1)], names=["table_no", "bucket", "vec_id", "vec"])
 
     def looked_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -188,7 +188,7 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
                     own_keys = keys[:, t]
                     take = pa.array(np.repeat(np.arange(len(keys)), own_keys.shape[1]))
                     again = part.take(take)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(again.num_rows, t), pa.int32()), pa.array(own_keys.reshape(-1), pa.int64()), again.column(0), again.column(1).cast(pa.list_(pa.float64()))], names=["table_no", "bucket", "vec_id", "vec"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(again.num_rows, t), pa.int32()), pa.array(own_keys.reshape(-1), pa.int64()), again.column(0), again.column(1)], names=["table_no", "bucket", "vec_id", "vec"])
 
     data, ask = rows.mapInArrow(filed, own), asked.mapInArrow(looked_up, own)
     split = F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(BUCKET_ROWS))).cast("int")
