@@ -13,7 +13,9 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 
 DEFAULT_SHARED_DIR = "file:///tmp/checkpoints"
-SHUFFLE_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: While a stage table is written: shuffle files of the finished query go at once, instead of at some garbage collection,
+#: and Python workers get rows in batches that stay small when texts are long.
+WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "1000"}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -23,17 +25,19 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 @contextmanager
-def shuffle_files_released(spark: SparkSession):
-    """Within this block a finished query's shuffle files go at once, instead of at some garbage collection."""
-    before = spark.conf.get(SHUFFLE_CLEANUP, None)
-    spark.conf.set(SHUFFLE_CLEANUP, "true")
+def writing_settings(spark: SparkSession):
+    """Within this block the settings of `WRITING` hold; afterwards those that were there before."""
+    before = {k: spark.conf.get(k, None) for k in WRITING}
+    for k, v in WRITING.items():
+        spark.conf.set(k, v)
     try:
         yield
     finally:
-        if before is None:
-            spark.conf.unset(SHUFFLE_CLEANUP)
-        else:
-            spark.conf.set(SHUFFLE_CLEANUP, before)
+        for k, v in before.items():
+            if v is None:
+                spark.conf.unset(k)
+            else:
+                spark.conf.set(k, v)
 
 
 class Stages:
@@ -51,7 +55,7 @@ class Stages:
     def keep(self, df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
         """Write `df`, release the shuffle files behind it, and return the written table."""
         at = self.path(label)
-        with shuffle_files_released(self.spark):
+        with writing_settings(self.spark):
             df.write.option("compression", compression).parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out._certgraph_path = at
