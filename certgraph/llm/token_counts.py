@@ -12,6 +12,7 @@ touches the speed only, never a count.
 from __future__ import annotations
 
 import pickle
+import uuid
 from collections import Counter
 from collections.abc import Iterator
 
@@ -91,13 +92,15 @@ def token_counts(docs: DataFrame, tokenizer_path: str, limit: int, id_col: str =
     spark = docs.sparkSession
     table = frequent_table(frequent_pieces(docs, text_col), tokenizer_path) if not tokenizer_path.endswith(".model") else None
     shared = spark.sparkContext.broadcast(table)
-    key = str(id(shared))
+    key = uuid.uuid4().hex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = coder(tokenizer_path, True, shared.value, key)
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            n = pa.array(c.encode(texts), pa.int64())
+            counts = []
+            for k in range(0, batch.num_rows, 1000):
+                counts += c.encode(batch.column(1).slice(k, 1000).to_pylist())
+            n = pa.array(counts, pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), n], names=["doc_id", "n_bytes", "n_tokens"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.coalesce(F.octet_length(F.col(text_col).cast("string")), F.lit(0)).cast("long").alias("n_bytes"))

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from certgraph.llm.tokens import coder
-from certgraph.plans.staging import Stages
+from certgraph.plans.staging import Stages, writing_settings
 
 #: Ids gathered into one block before it is written; a longer document is a block of its own.
 BLOCK_IDS = 1 << 18
@@ -112,7 +112,8 @@ def _id_type(n: int, raw: bytes) -> np.dtype:
 def _histogram(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total = np.zeros(0, dtype=np.int64)
     for batch in batches:
-        for n, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+        for n, one in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            raw = one.as_py()
             c = np.bincount(np.frombuffer(raw, dtype=_id_type(n, raw)), minlength=len(total))
             c[: len(total)] += total
             total = c
@@ -144,7 +145,8 @@ def write_token_files(docs: DataFrame, to: str, tokenizer_path: str, end_id: int
     def recode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             control, data = [], []
-            for n, ids in zip(batch.column("n_ids").to_pylist(), batch.column("ids").to_pylist(), strict=True):
+            for n, raw in zip(batch.column("n_ids").to_pylist(), batch.column("ids"), strict=True):
+                ids = raw.as_py()
                 a, b = pack_numbers(rank_of[np.frombuffer(ids, dtype=_id_type(n, ids))])
                 control.append(a)
                 data.append(b)
@@ -152,7 +154,8 @@ def write_token_files(docs: DataFrame, to: str, tokenizer_path: str, end_id: int
             yield pa.RecordBatch.from_arrays([*kept, pa.array(control, pa.binary()), pa.array(data, pa.binary())], names=["shard", "block", "doc_ids", "no_id", "lengths", "n_ids", "control", "data"])
 
     final = raw.mapInArrow(recode, "shard int, block long, doc_ids binary, no_id binary, lengths binary, n_ids long, control binary, data binary")
-    final.write.mode("overwrite").option("compression", "zstd").parquet(f"{to}/blocks")
+    with writing_settings(spark):
+        final.write.mode("overwrite").option("compression", "zstd").parquet(f"{to}/blocks")
     st.drop(raw)
 
 
@@ -175,7 +178,8 @@ def read_token_files(spark: SparkSession, at: str, with_ids: bool = False) -> Da
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for r in batch.to_pylist():
+            for i in range(batch.num_rows):  # one block at a time
+                r = batch.slice(i, 1).to_pylist()[0]
                 ids = by_rank[unpack_numbers(r["control"], r["data"], r["n_ids"])] if r["n_ids"] else by_rank[:0]
                 lengths = np.frombuffer(r["lengths"], dtype="<i8")
                 ends = np.cumsum(lengths)

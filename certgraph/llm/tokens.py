@@ -26,7 +26,7 @@ _U2 = np.dtype("<u2")
 _rng = np.random.default_rng(881)
 _SECOND_VALUE = _rng.integers(0, 2**64, 256, dtype=np.uint64) | np.uint64(1)
 _OPENS = np.uint64(0xA5A5F00D12345677)
-_coders: dict[tuple, PieceCoder | WholeCoder] = {}
+_coders: dict[tuple[str, bool], tuple[str, PieceCoder | WholeCoder]] = {}
 
 
 def _load(path: str):
@@ -269,12 +269,14 @@ class WholeCoder:
 
 
 def coder(path: str, lengths_only: bool = False, frequent: PieceTable | None = None, frequent_key: str = ""):
-    """The worker's coder for a tokenizer file; it lives as long as the worker."""
-    key = (path, lengths_only, frequent_key)
-    if key not in _coders:
+    """The worker's coder for a tokenizer file; it lives as long as the worker, or until another table of frequent pieces comes."""
+    key = (path, lengths_only)
+    known, found = _coders.get(key, (None, None))
+    if found is None or known != frequent_key:
         if path.endswith(".model"):
-            _coders[key] = WholeCoder(path, lengths_only)
+            found = WholeCoder(path, lengths_only)
         else:
             t = _load(path)
-            _coders[key] = PieceCoder(t, lengths_only, frequent) if _byte_level(t) else WholeCoder(path, lengths_only)
-    return _coders[key]
+            found = PieceCoder(t, lengths_only, frequent) if _byte_level(t) else WholeCoder(path, lengths_only)
+        _coders[key] = (frequent_key, found)
+    return found
