@@ -40,8 +40,12 @@ _COEF = _rng.integers(0, 2**64, BAND_ROWS, dtype=np.uint64) | np.uint64(1)
 
 def minmax_signature(shingles: np.ndarray) -> np.ndarray:
     """Smallest and largest image of the set under each permutation, as one array of 2 * PERMUTATIONS values."""
-    image = (shingles[None, :] * _MUL[:, None] + _ADD[:, None]) >> np.uint64(32)
-    return np.concatenate([image.min(axis=1), image.max(axis=1)])
+    least, most = [], []
+    for k in range(0, PERMUTATIONS, 8):
+        image = (shingles[None, :] * _MUL[k : k + 8, None] + _ADD[k : k + 8, None]) >> np.uint64(32)
+        least.append(image.min(axis=1))
+        most.append(image.max(axis=1))
+    return np.concatenate(least + most)
 
 
 def band_keys(signature: np.ndarray) -> np.ndarray:

@@ -76,8 +76,8 @@ def frequent_table(pieces: list[str], path: str) -> PieceTable | None:
     if raws:
         p = Pieces(raws)
         at = np.flatnonzero(~p.opens)
-        sizes, _ = c._encode_new(p, at)
-        table.add(p.key[at], p.check[at], sizes, None)
+        order, sizes, _ = c._encode_new(p, at)
+        table.add(p.key[at[order]], p.check[at[order]], sizes, None)
     return table
 
 

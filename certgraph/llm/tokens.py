@@ -25,7 +25,7 @@ _AFTER_SPACE = re.compile(r" \s")
 _U2 = np.dtype("<u2")
 _rng = np.random.default_rng(881)
 _SECOND_VALUE = _rng.integers(0, 2**64, 256, dtype=np.uint64) | np.uint64(1)
-_OPENS = np.uint64(0xA5A5F00D12345677)
+_OPENS = np.uint32(0xA5A5F00D)
 _coders: dict[tuple[str, bool], tuple[str, PieceCoder | WholeCoder]] = {}
 
 
@@ -50,7 +50,8 @@ def _byte_level(t) -> bool:
 class PieceTable:
     """Compact hash table from a piece to its ids or their number; open addressing in numpy arrays.
 
-    A piece is known by two independent 64-bit hashes of its bytes, and by whether it opens a text.
+    A piece is known by two independent hashes of its bytes, of 64 and 32 bits, and by whether it opens a text. At most
+    three slots in four are taken.
     """
 
     def __init__(self, bits: int = 16, with_ids: bool = True, dtype: np.dtype = _U2):
@@ -62,8 +63,8 @@ class PieceTable:
     def _alloc(self, bits: int) -> None:
         n = 1 << bits
         self.mask = np.uint64(n - 1)
-        self.key, self.check = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.uint64)
-        self.start, self.size = np.zeros(n if self.with_ids else 0, dtype=np.int64), np.zeros(n, dtype=np.int32)
+        self.key, self.check = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.uint32)
+        self.start, self.size = np.zeros(n if self.with_ids else 0, dtype=np.uint32), np.zeros(n, dtype=np.int32)
 
     def find(self, key: np.ndarray, check: np.ndarray) -> np.ndarray:
         """Slot of each piece, -1 if it isn't there."""
@@ -84,7 +85,7 @@ class PieceTable:
 
     def add(self, key: np.ndarray, check: np.ndarray, sizes: np.ndarray, ids: np.ndarray | None) -> None:
         """Put in pieces that are not there yet, each once; `ids` are theirs, one after the other."""
-        while (self.used + len(key)) * 2 > len(self.key):
+        while (self.used + len(key)) * 4 > len(self.key) * 3:
             self._grow()
         starts = None
         if self.with_ids:
@@ -130,7 +131,7 @@ class Pieces:
         up, down = power_table(len(d))
         self.key = self._hash(BYTE_VALUE, d, up, down)
         self.key[self.key == 0] = 1
-        self.check = self._hash(_SECOND_VALUE, d, up, down)
+        self.check = (self._hash(_SECOND_VALUE, d, up, down) >> np.uint64(32)).astype(np.uint32)
         offsets = np.zeros(len(raws) + 1, dtype=np.int64)
         np.cumsum([len(r) + 1 for r in raws], out=offsets[1:])
         self.bounds = np.searchsorted(self.starts, offsets)
@@ -187,17 +188,19 @@ class PieceCoder:
         table, miss = self.table, slot < 0
         if miss.any():
             new = todo[miss]
-            _, first, back = np.unique(p.key[new] ^ (p.check[new] * np.uint64(3)), return_index=True, return_inverse=True)
+            _, first, back = np.unique(p.key[new] ^ (p.check[new].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)), return_index=True, return_inverse=True)
             one = new[first]
-            own_sizes, own_ids = self._encode_new(p, one)
+            order, own_sizes, own_ids = self._encode_new(p, one)
             if self.lengths_only:  # before the table grows and slots move
-                sizes[new] = own_sizes[back]
+                by_piece = np.empty_like(own_sizes)
+                by_piece[order] = own_sizes
+                sizes[new] = by_piece[back]
                 sizes[todo[~miss]] = table.size[slot[~miss]]
             if self.table.used + len(one) > CACHE_PIECES and not renewed:  # start again, with this slice at least
                 self.table = table = PieceTable(with_ids=not self.lengths_only, dtype=self.type)
-                self.table.add(p.key[one], p.check[one], own_sizes, own_ids)
+                self.table.add(p.key[one[order]], p.check[one[order]], own_sizes, own_ids)
                 return self._encode_slice(raws, renewed=True)
-            self.table.add(p.key[one], p.check[one], own_sizes, own_ids)
+            self.table.add(p.key[one[order]], p.check[one[order]], own_sizes, own_ids)
             if not self.lengths_only:
                 slot = table.find(p.key[todo], p.check[todo])
         elif self.lengths_only:
@@ -213,35 +216,26 @@ class PieceCoder:
         cuts = np.concatenate([[0], ends])[p.bounds]
         return [ids[a:b].tobytes() for a, b in zip(cuts, cuts[1:], strict=False)]
 
-    def _encode_new(self, p: Pieces, at: np.ndarray) -> tuple[np.ndarray, np.ndarray | None]:
-        """Token numbers and ids of pieces, in their order."""
+    def _encode_new(self, p: Pieces, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The pieces in the order in which they were encoded, with their token numbers and all their ids in that order."""
         words = [p.raw[a:b].decode("utf-8") for a, b in zip(p.starts[at].tolist(), p.ends[at].tolist(), strict=True)]
         opens = p.opens[at]
-        # a piece that opens a text has no space before it: it is the first in a string of its own
-        groups, own, where = [], [], []
-        inner = np.flatnonzero(~opens).tolist()
-        for k in range(0, len(inner), JOINED_PIECES):
-            groups.append(inner[k : k + JOINED_PIECES])
-            own.append(" " + " ".join(words[i] for i in groups[-1]))
-        for i in np.flatnonzero(opens).tolist():
-            groups.append([i])
-            own.append(words[i])
-        sizes = np.zeros(len(words), dtype=np.int64)
-        parts: list = [None] * len(words)
-        for g, e in zip(groups, self.t.encode_batch(own, add_special_tokens=False), strict=True):
-            ids = np.array(e.ids, dtype=self.type)
-            if len(g) == 1:
-                sizes[g[0]], parts[g[0]] = len(ids), ids
+        inner, alone = np.flatnonzero(~opens), np.flatnonzero(opens)
+        cut = range(0, len(inner), JOINED_PIECES)
+        groups = [[words[i] for i in inner[k : k + JOINED_PIECES].tolist()] for k in cut]
+        # a piece that opens a text has no space before it: it is a string of its own
+        own = [" " + " ".join(g) for g in groups] + [words[i] for i in alone.tolist()]
+        sizes, ids = [], []
+        for k, e in enumerate(self.t.encode_batch(own, add_special_tokens=False)):
+            found = np.array(e.ids, dtype=self.type)
+            ids.append(found)
+            if k >= len(groups):
+                sizes.append([len(found)])
                 continue
-            begins = np.zeros(len(g) + 1, dtype=np.int64)
-            np.cumsum([len(words[i]) + 1 for i in g], out=begins[1:])
-            cuts = np.searchsorted(np.array([o[0] for o in e.offsets], dtype=np.int64), begins)
-            sizes[g] = np.diff(cuts)
-            if not self.lengths_only:
-                where = cuts.tolist()
-                for i, a, b in zip(g, where, where[1:], strict=False):
-                    parts[i] = ids[a:b]
-        return sizes, None if self.lengths_only else np.concatenate(parts) if parts else np.zeros(0, self.type)
+            begins = np.cumsum([0, *(len(w) + 1 for w in groups[k])])
+            sizes.append(np.diff(np.searchsorted(np.array([o[0] for o in e.offsets]), begins)))
+        none = np.zeros(0, dtype=np.int64)
+        return np.concatenate([inner, alone]), np.concatenate(sizes) if sizes else none, np.concatenate(ids) if ids else none.astype(self.type)
 
 
 class WholeCoder:

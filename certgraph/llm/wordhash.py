@@ -10,7 +10,7 @@ from __future__ import annotations
 import numpy as np
 
 #: Bytes of text handled in one set of arrays.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
 
 _U = np.uint64
 _rng = np.random.default_rng(20240517)
