@@ -34,7 +34,9 @@ LENGTH_TABLE = ((np.arange(256, dtype=np.uint8)[:, None] >> _SHIFT) & 3) + np.ui
 def pack_numbers(values: np.ndarray) -> tuple[bytes, bytes]:
     """Control bytes and data bytes of unsigned numbers below 2**32."""
     v = values.astype(np.uint32)
-    extra = (v > 0xFF).astype(np.uint8) + (v > 0xFFFF) + (v > 0xFFFFFF)
+    extra = (v > 0xFF).astype(np.uint8)
+    if len(v) and int(v.max()) > 0xFFFF:
+        extra = extra + (v > 0xFFFF) + (v > 0xFFFFFF)
     codes = np.zeros(-(-len(v) // 4) * 4, dtype=np.uint8)
     codes[: len(v)] = extra
     control = np.bitwise_or.reduce(codes.reshape(-1, 4) << _SHIFT, axis=1) if len(v) else codes

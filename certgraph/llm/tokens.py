@@ -18,8 +18,8 @@ from certgraph.llm.wordhash import BYTE_VALUE, mix, power_table, slices
 
 #: Pieces that a worker's table holds before it starts again.
 CACHE_PIECES = 1_500_000
-#: Pieces encoded in one string.
-JOINED_PIECES = 96
+#: Pieces encoded in one string, and text looked up in one set of arrays.
+JOINED_PIECES, LOOKUP_BYTES = 96, 1 << 20
 
 _AFTER_SPACE = re.compile(r" \s")
 _U2 = np.dtype("<u2")
@@ -170,7 +170,7 @@ class PieceCoder:
             for i, e in zip(some, self.t.encode_batch_fast([texts[i] for i in some], add_special_tokens=False), strict=True):
                 out[i] = len(e.ids) if self.lengths_only else np.array(e.ids, dtype=self.type).tobytes()
         raws = [texts[i].encode("utf-8") for i in plain]
-        for a, b in slices([len(r) for r in raws]):
+        for a, b in slices([len(r) for r in raws], LOOKUP_BYTES):
             for i, v in zip(plain[a:b], self._encode_slice(raws[a:b]), strict=True):
                 out[i] = v
         return out
