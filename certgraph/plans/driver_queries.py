@@ -322,7 +322,34 @@ def _table() -> dict[str, tuple[Query, str | None]]:
     out["known_graphs"] = (_known, "SELECT graph, kappa::INT AS kappa FROM (VALUES " + ", ".join(f"('{k}', {n})" for k, _, n in KNOWN) + ") t(graph, kappa)")
     out["sweep_rows"] = (_sweep, None)
     out["minimum_separators_nation_bulk"] = (_smallest("nation_bulk", 4), sql.smallest_separators("nation_bulk", 4))
-    return out
+    return _whole_tables() | out
+
+
+def _whole_tables() -> dict[str, tuple[Query, str | None]]:
+    """What `nation_bulk` is asked, on surveyed graphs over whole tables; SQL by removal is too slow for them, tests compare by brute force."""
+    out: dict[str, Query] = {}
+    for name in ("user_topic_error", "nation_trade"):
+        out[f"separators2_{name}"] = _separators("layered", name, 2)
+        out[f"separators2_online_{name}"] = _separators("online", name, 2)
+        out[f"separators3_{name}"] = _separators("layered", name, 3)
+        out[f"all_separators_{name}_4"] = _all_separators(name, 4)
+        out[f"minimal_separators3_{name}"] = _minimal(name, 3)
+        out[f"minimum_separators_{name}"] = _smallest(name, 5)
+        for via in ("layered", "online", "full"):
+            out[f"kappa_{via}_{name}_3"] = _kappa(via, name, 3)
+        out[f"certificate_faults_layered_{name}_3"] = _faults(name, 3, "layered")
+        out[f"certificate_faults_online_{name}_3"] = _faults(name, 3, "online_merge")
+    for name in ("part_supplier_year", "customer_supplier_returns"):
+        out[f"separators2_{name}"] = _separators("layered", name, 2)
+    for name in ("user_topic_error", "nation_trade", "part_supplier_year", "customer_supplier_returns"):
+        out[f"count_separators2_{name}"] = _count(name, 2)
+        out[f"agreement_{name}_3"] = _agreement(name, 3)
+        out[f"order_free_{name}_3"] = _order_free(name, 3)
+        for via in ("layered", "online", "full"):
+            out[f"vertex_connectivity_{via}_{name}"] = _largest_k(name, 5, via)
+        for via in ("layered", "layered_merge", "online", "online_merge", "full"):
+            out[f"k_connected_{via}_{name}_3"] = _verdict(via, name, 3)
+    return {name: (query, None) for name, query in out.items()}
 
 
 def queries() -> dict[str, Query]:

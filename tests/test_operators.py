@@ -287,3 +287,21 @@ def test_date_filter_reaches_the_scan(spark, sf, capsys):
 
 def test_known_graph_counts():
     assert len(known_graph("complete", 6)) == 15 and len(known_graph("cube", 4)) == 32
+
+
+@pytest.mark.parametrize("name", ["user_topic_error", "nation_trade"])
+def test_registered_separators_of_whole_tables_match_brute_force(spark, sf, name):
+    from certgraph.plans.driver_queries import oracle_sql, queries
+
+    q = queries()
+    g = K.graph_of([(u, v) for _, u, v in triples(WORKLOADS[name](spark, sf))])
+    want = {size: K.brute_separators(g, size) for size in (1, 2)}
+    for query in (f"separators2_{name}", f"separators2_online_{name}"):
+        assert {tuple(r.members) for r in q[query](spark, sf).collect()} == want[2]
+    assert q[f"count_separators2_{name}"](spark, sf).first().n == len(want[2])
+    pairs = q[f"kappa_layered_{name}_3"](spark, sf).collect()
+    assert len(pairs) == len(g) * (len(g) - 1) // 2 - sum(map(len, g.values())) // 2
+    assert all(r.kappa == K.PathFlow(g, r.u, r.v, 3).value for r in pairs)
+    kappa = next((k for k in range(5, 0, -1) if K.brute_k_connected(g, k)), 0) if name == "nation_trade" else 0 if K.component_count(g) > 1 else 1 if want[1] else None
+    assert q[f"vertex_connectivity_layered_{name}"](spark, sf).first().kappa == kappa
+    assert f"separators2_{name}" not in oracle_sql() and "k_connected_layered_nation_trade_3" in oracle_sql()
