@@ -27,6 +27,19 @@ def test_unmarked_article():
     assert main_text(PAGE.format(f'<div id="content">{BODY}</div>')) == WANT
 
 
+def test_regions_decide_on_marked_pages_too():
+    long = "A paragraph of plain prose that goes on for quite a while, so that it holds far more text than tags. " * 3
+    prose = "".join(f"<p>{i} {long}</p>" for i in range(8))
+    plain = [f"{i} {long}".strip() for i in range(8)]
+    card = "<article><h3><b>Also</b></h3><p><i><b>See</b></i></p></article>"
+    got = main_text(f"<body>{card}<ul><li>Tags</li><li>Up</li><li>On</li></ul><div>{prose}</div></body>").split("\n")
+    assert got[-8:] == plain and not {"Also", "See"} & set(got)
+    reply = "A short second piece, dense enough to count though under a quarter of the first."
+    assert main_text(f"<body><article>{prose}</article><article><p>{reply}</p></article></body>").split("\n") == [*plain, reply]
+    menu = "".join(f"<p><a href='/{i}'>Other story {i}</a></p>" for i in range(6))
+    assert main_text(f"<body><article>{prose}{menu}</article></body>").split("\n") == plain
+
+
 def test_cut_off_and_broken_pages():
     whole = PAGE.format(f"<article>{BODY}</article>")
     assert main_text(whole[: whole.index("<aside")]) == WANT
