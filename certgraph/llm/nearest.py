@@ -7,7 +7,8 @@ several buckets of each table, the likeliest first, and every vector found there
 
 How many buckets a query probes is fitted: for a bounded sample of queries the true neighbours are found by a scan,
 and the smallest number is taken that finds `aim` of them. Key length follows the number of vectors, so buckets keep
-their size. A bucket of more than `BUCKET_ROWS` vectors, or of too many queries, is split by a hash into parts that
+their size, unless the sample needs more than `MOST_PROBES` buckets of long keys: then keys are a hash shorter, down to one,
+of which every bucket may be probed. A query that finds fewer vectors than it could have is answered by a scan. A bucket of more than `BUCKET_ROWS` vectors, or of too many queries, is split by a hash into parts that
 are searched apart, so no bucket has to fit into one task.
 """
 
@@ -25,7 +26,7 @@ from certgraph.plans.staging import Stages
 
 #: Vectors and queries of one part of a bucket, queries of the fitting sample, share of true neighbours to find in it.
 BUCKET_ROWS, BUCKET_QUERIES, SAMPLE_QUERIES, AIM = 8192, 8192, 128, 0.95
-#: Most probes that a table may get when keys are longer than one hash.
+#: Probes of a table beyond which keys are shortened by one hash; keys of one hash have no such limit.
 MOST_PROBES = 1024
 
 
@@ -158,7 +159,7 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
     rows, dim = usable_vectors(vectors, id_col, vec_col)
     rows = st.keep(rows, "vectors")
     norm = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
-    n, least, most = rows.agg(F.count(F.lit(1)), F.min(norm), F.max(norm)).first()
+    n, distinct, least, most = rows.agg(F.count(F.lit(1)), F.count_distinct("vec_id"), F.min(norm), F.max(norm)).first()
     asked = rows.filter(queries)
     longest = most if n and most - least > 1e-4 * most else None
     probe = CrossPolytope(dim, tables, 1, longest)
@@ -166,9 +167,14 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
         hashes = 1
         while n > BUCKET_ROWS * (2 * probe.wide) ** hashes:
             hashes += 1
-    family = CrossPolytope(dim, tables, hashes, longest)
-    most_probes = min((2 * family.wide) ** hashes, MOST_PROBES if hashes > 1 else 2 * family.wide)
-    probes = _fitted_probes(rows, asked, family, dim, k, most_probes)
+    truth = _sample_truth(rows, asked, dim, k)
+    while True:
+        family = CrossPolytope(dim, tables, hashes, longest)
+        every = (2 * family.wide) ** hashes
+        probes = _fitted_probes(truth, family, dim, every if hashes == 1 else min(every, MOST_PROBES))
+        if probes is not None:
+            break
+        hashes -= 1
     own = f"table_no int, bucket long, vec_id long, vec {rows.schema['vec'].dataType.simpleString()}"  # as wide as it came
 
     def filed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -190,43 +196,58 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
                     again = part.take(take)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(again.num_rows, t), pa.int32()), pa.array(own_keys.reshape(-1), pa.int64()), again.column(0), again.column(1)], names=["table_no", "bucket", "vec_id", "vec"])
 
-    data, ask = rows.mapInArrow(filed, own), asked.mapInArrow(looked_up, own)
-    split = F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(BUCKET_ROWS))).cast("int")
-    data_parts = data.groupBy("table_no", "bucket").agg(F.count(F.lit(1)).alias("n")).select("table_no", "bucket", split.alias("data_parts"))
-    ask_split = F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(BUCKET_QUERIES))).cast("int")
-    ask_parts = ask.groupBy("table_no", "bucket").agg(F.count(F.lit(1)).alias("n")).select("table_no", "bucket", ask_split.alias("ask_parts"))
-    parts = st.keep(data_parts.join(ask_parts, ["table_no", "bucket"]), "parts")
-    h = F.xxhash64("vec_id")
-    key = ["table_no", "bucket", "data_part", "ask_part"]
-    data = data.join(parts, ["table_no", "bucket"]).select("table_no", "bucket", F.pmod(h, "data_parts").cast("int").alias("data_part"), F.explode(F.expr("sequence(0, ask_parts - 1)")).alias("ask_part"), "vec_id", "vec")
-    ask = ask.join(parts, ["table_no", "bucket"]).select("table_no", "bucket", F.explode(F.expr("sequence(0, data_parts - 1)")).alias("data_part"), F.pmod(h, "ask_parts").cast("int").alias("ask_part"), "vec_id", "vec")
-
     def searched(left: pa.Table, right: pa.Table) -> pa.Table:
         q, x = left.combine_chunks(), right.combine_chunks()
         none = q.num_rows == 0 or x.num_rows == 0
         a, b, s = ([], [], []) if none else _nearest(_matrix(q["vec"].combine_chunks(), dim), q["vec_id"].to_numpy(), _matrix(x["vec"].combine_chunks(), dim), x["vec_id"].to_numpy(), k)
         return pa.table({"query_id": pa.array(a, pa.int64()), "vec_id": pa.array(b, pa.int64()), "score": pa.array(s, pa.float64())})
 
-    found = ask.groupBy(*key).cogroup(data.groupBy(*key)).applyInArrow(searched, "query_id long, vec_id long, score double")
-    return _best(found, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
-
-
-def _fitted_probes(rows: DataFrame, asked: DataFrame, family: CrossPolytope, dim: int, k: int, most: int) -> int:
-    """Probes for each table with which the sample's true neighbours are found to the aimed share."""
+    def compared(data: DataFrame, ask: DataFrame) -> DataFrame:
+        """Best of each bucket for each query that looks into it; large buckets in parts."""
+        split = F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(BUCKET_ROWS))).cast("int")
+        data_parts = data.groupBy("table_no", "bucket").agg(F.count(F.lit(1)).alias("n")).select("table_no", "bucket", split.alias("data_parts"))
+        ask_split = F.greatest(F.lit(1), F.ceil(F.col("n") / F.lit(BUCKET_QUERIES))).cast("int")
+        ask_parts = ask.groupBy("table_no", "bucket").agg(F.count(F.lit(1)).alias("n")).select("table_no", "bucket", ask_split.alias("ask_parts"))
+        parts = st.keep(data_parts.join(ask_parts, ["table_no", "bucket"]), "parts")
+        h = F.xxhash64("vec_id")
+        key = ["table_no", "bucket", "data_part", "ask_part"]
+        data = data.join(parts, ["table_no", "bucket"]).select("table_no", "bucket", F.pmod(h, "data_parts").cast("int").alias("data_part"), F.explode(F.expr("sequence(0, ask_parts - 1)")).alias("ask_part"), "vec_id", "vec")
+        ask = ask.join(parts, ["table_no", "bucket"]).select("table_no", "bucket", F.explode(F.expr("sequence(0, data_parts - 1)")).alias("data_part"), F.pmod(h, "ask_parts").cast("int").alias("ask_part"), "vec_id", "vec")
+        return ask.groupBy(*key).cogroup(data.groupBy(*key)).applyInArrow(searched, "query_id long, vec_id long, score double")
+
+    found = st.keep(_best(compared(rows.mapInArrow(filed, own), asked.mapInArrow(looked_up, own)), k), "found")
+    enough = found.groupBy("query_id").count().filter(F.col("count") >= min(k, distinct - 1)).select(F.col("query_id").alias("vec_id"))
+    short = st.keep(asked.join(enough, "vec_id", "left_anti"), "short")
+    if distinct > 1 and not short.isEmpty():  # one bucket that holds all, searched in parts like any other
+        whole = [F.lit(tables).alias("table_no"), F.lit(0).cast("long").alias("bucket"), "vec_id", "vec"]
+        scanned = _best(compared(rows.select(*whole), short.select(*whole)), k)
+        found = found.join(enough.withColumnRenamed("vec_id", "query_id"), "query_id", "left_semi").unionByName(scanned)
+    return found.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+
+
+def _sample_truth(rows: DataFrame, asked: DataFrame, dim: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+    """Sampled queries, their true neighbours by a scan, and for each neighbour the place of its query."""
     sample = asked.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE_QUERIES).toArrow()
     if sample.num_rows == 0:
-        return 1
+        return None
     q_ids, q = sample["vec_id"].to_numpy(), _matrix(sample["vec"].combine_chunks(), dim)
     truth = _best(rows.mapInArrow(_scan(q_ids, q, dim, k), "query_id long, vec_id long, score double"), k)
     true = truth.join(rows.dropDuplicates(["vec_id"]), "vec_id").select("query_id", "vec").toArrow()  # k rows for each sampled query
     if true.num_rows == 0:
-        return 1
+        return None
     where = {v: i for i, v in enumerate(q_ids.tolist())}
-    at = np.array([where[v] for v in true["query_id"].to_pylist()])
-    keys = family.keys(_matrix(true["vec"].combine_chunks(), dim))
-    order = family.probes(q, most)
+    return q, _matrix(true["vec"].combine_chunks(), dim), np.array([where[v] for v in true["query_id"].to_pylist()])
+
+
+def _fitted_probes(truth: tuple[np.ndarray, np.ndarray, np.ndarray] | None, family: CrossPolytope, dim: int, most: int) -> int | None:
+    """Probes for each table with which the sample's true neighbours are found to the aimed share; None if `most` don't do."""
+    if truth is None:
+        return 1
+    q, true, at = truth
+    keys, order = family.keys(true), family.probes(q, most)
     best = np.full(len(keys), most, dtype=np.int64)
     for t in range(family.tables):
         same = order[at, t] == keys[:, t : t + 1]
         best = np.minimum(best, np.where(same.any(axis=1), same.argmax(axis=1), most))
-    return int(min(most, np.sort(best)[min(len(best) - 1, int(np.ceil(AIM * len(best))) - 1)] + 1))
+    fitted = int(np.sort(best)[min(len(best) - 1, int(np.ceil(AIM * len(best))) - 1)]) + 1
+    return fitted if fitted <= most else None

@@ -56,6 +56,31 @@ def test_odd_vectors_ties_and_hot_buckets(spark, monkeypatch):
         assert found == [(v, 1.0) for v in [x for x in range(21) if x != q][:20]]
 
 
+def test_keys_are_shortened_until_the_sample_reaches_the_aim(spark, monkeypatch):
+    monkeypatch.setattr(N, "MOST_PROBES", 16)
+    x = np.random.default_rng(3).normal(size=(1200, 24))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    rows = [(i, [float(np.float32(c)) for c in v]) for i, v in enumerate(x)]
+    got = defaultdict(set)
+    for r in N.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), k=10, hashes=2).collect():
+        got[r.query_id].add(r.vec_id)
+    want = brute(rows, 10)
+    assert sum(len(got[q] & {v for v, _ in want[q]}) for q in want) >= 0.9 * 10 * len(want)
+
+
+def test_a_lonely_query_gets_all_its_neighbours(spark):
+    rng = np.random.default_rng(6)
+    x = np.array([1.0, 0.2, 0.1, 0.0]) + 0.01 * rng.normal(size=(1000, 4))
+    x[500] = -x[500]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    rows = [(i, [float(np.float32(c)) for c in v]) for i, v in enumerate(x)]
+    got = defaultdict(list)
+    for r in N.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), k=10, tables=2).orderBy("query_id", "rank").collect():
+        got[r.query_id].append(r.vec_id)
+    assert all(len(got[q]) == 10 for q in range(0, 1000, 20))
+    assert got[500] == [v for v, _ in brute(rows, 10)[500]]
+
+
 def test_few_and_no_vectors(spark):
     df = spark.createDataFrame([(0, [1.0, 2.0]), (1, [3.0, 4.0]), (20, [1.0, 1.0])], "vec_id long, embedding array<float>")
     got = [(r.query_id, r.rank, r.vec_id) for r in N.nearest_neighbours(df).orderBy("query_id", "rank").collect()]
