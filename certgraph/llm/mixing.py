@@ -4,14 +4,15 @@ Targets. Sources in code-point order (null last) weigh 1, 2, 3, 1, ...; their sh
 `most_repeats` times the source's own size, and the excess goes to the others by weight (water filling).
 
 Drawing. Documents fall into blocks of their source by a hash. A source's target is so many whole passes over its
-blocks and a part of one more: blocks in permuted order, and in the last of them documents in permuted order. The
-block draws of all sources are then dealt to output shards by a splitting tree: each node halves its draws, and how
+blocks and a part of one more: blocks in permuted order, and in the last of them documents in permuted order, passing over
+those longer than what is left. What stays open is filled likewise from the source's other blocks, until no document left
+brings the source nearer to its target. The block draws of all sources are then dealt to output shards by a splitting tree: each node halves its draws, and how
 many of each source go left is one multivariate hypergeometric draw, taken source by source from exact conditional
 distributions. A shard gets the next blocks of each source's permutation, so shards are disjoint, and its rows
 are put in random order. Every random choice is a hash of the seed and of what it is for, so reruns agree.
 
-Skew. Sizes are pre-aggregated by source and by block; running sums go over blocks, and over documents only in the
-one partly taken block of each source. No source is ever gathered in one task.
+Skew. Sizes are pre-aggregated by source and by block; running sums go over blocks, and over documents only in one
+partly taken block of each source at a time. No source is ever gathered in one task.
 """
 
 from __future__ import annotations
@@ -22,8 +23,6 @@ from pyspark.sql.window import Window
 
 from certgraph.plans.staging import Stages
 
-#: Documents that may fill what is left of one source's target once no further one fits in order.
-FILLERS = 8
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -121,32 +120,17 @@ class Mix:
     def _plan_blocks(self, depth: int) -> None:
         rows = self.blocked(self.slim)
         blocks = rows.groupBy("skey", "block", "passes", "rest").agg(F.sum("size").alias("words"))
-        permuted = Window.partitionBy("skey").orderBy(F.xxhash64(F.lit(self.seed + 1), "skey", "block"), "block")
+        spot = F.xxhash64(F.lit(self.seed + 1), "skey", "block")
+        permuted = Window.partitionBy("skey").orderBy(spot, "block")
         before = F.sum("words").over(permuted.rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("words")
         part = F.when(before + F.col("words") <= F.col("rest"), 1).when(before < F.col("rest"), 2).otherwise(0)
         blocks = self.st.keep(blocks.withColumn("before", before).withColumn("extra", part).select("skey", "block", "passes", "extra", (F.col("rest") - F.col("before")).alias("wanted")), "blocks")
 
-        # in the last block the longest run of documents that fits, then a few others of the source that fill the gap
-        inside = Window.partitionBy("skey", "block")
-        cut = blocks.filter("extra = 2").select("skey", "block", "wanted")
-        taken = rows.select("skey", "block", "h", "size").join(cut, ["skey", "block"]).withColumn("upto", F.sum("size").over(inside.orderBy("h"))).filter(F.col("upto") <= F.col("wanted"))
-        cuts = cut.join(taken.groupBy("skey", "block").agg(F.max("h").alias("h_cut"), F.max("upto").alias("got")), ["skey", "block"], "left")
-        cuts = self.st.keep(cuts.select("skey", "block", "h_cut", (F.col("wanted") - F.coalesce("got", F.lit(0))).alias("gap")), "cuts")
-        free = rows.select("skey", "block", "h", "size").join(blocks.filter("extra <> 1").select("skey", "block"), ["skey", "block"])
-        free = free.join(cuts.select("skey", F.col("block").alias("cut_block"), "h_cut", "gap"), "skey").filter(F.col("size") > 0).filter((F.col("block") != F.col("cut_block")) | F.col("h_cut").isNull() | (F.col("h") > F.col("h_cut")))
-        found = None
-        for turn in range(FILLERS):
-            last = turn == FILLERS - 1
-            best = self.st.keep(self._best_filler(free, last), "filler")
-            if not last and best.isEmpty():
-                last, best = True, self.st.keep(self._best_filler(free, True), "filler")
-            found = best if found is None else found.unionByName(best)
-            if last:
-                break
-            used = best.select("skey", F.col("h").alias("used"), F.col("size").alias("filled"))
-            free = free.join(used, "skey", "left").filter("used IS NULL OR h <> used").withColumn("gap", F.col("gap") - F.coalesce("filled", F.lit(0))).drop("used", "filled")
-        more = found.groupBy("skey", "block").agg(F.collect_list("h").alias("h_more"))
-        blocks = blocks.join(more, ["skey", "block"], "left").withColumn("extra", F.when((F.col("extra") == 0) & F.col("h_more").isNotNull(), 2).otherwise(F.col("extra")))
+        cuts = blocks.filter("extra = 2").select("skey", F.col("wanted").alias("gap"))
+        units = rows.join(blocks.filter("extra <> 1").select("skey", "block"), ["skey", "block"]).filter("size > 0").groupBy("skey", "block", "h").agg(F.sum("size").alias("size"))
+        self.picked = self._filled(units.withColumn("spot", spot), self.st.keep(cuts, "gaps"))
+        touched = self.picked.select("skey", "block").distinct().withColumn("part", F.lit(2))
+        blocks = blocks.join(touched, ["skey", "block"], "left").withColumn("extra", F.when(F.col("extra") == 1, 1).otherwise(F.coalesce("part", F.lit(0)))).drop("part")
         blocks = self.st.keep(blocks, "blocks")
 
         draws = blocks.select("skey", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("passes"))).alias("copy"), "passes", "extra").filter("copy < passes OR extra > 0")
@@ -158,21 +142,43 @@ class Mix:
         ranges = leaves.withColumn("end", upto).filter("draws > 0").groupBy("skey").agg(F.sort_array(F.collect_list(F.struct("end", "shard"))).alias("ranges"))
         shard = F.expr("filter(ranges, r -> r.end > nth)[0].shard")
         dealt = draws.join(ranges, "skey").withColumn("shard", shard.cast("int")).groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.struct("copy", "shard"))).alias("dealt"))
-        plan = blocks.join(dealt, ["skey", "block"], "left").join(cuts.select("skey", "block", "h_cut"), ["skey", "block"], "left")
-        self.plan = self.st.keep(plan.select("skey", "block", "extra", "h_cut", "h_more", "dealt"), "plan")
+        self.plan = self.st.keep(blocks.join(dealt, ["skey", "block"], "left").select("skey", "block", "extra", "dealt"), "plan")
+
+    def _filled(self, free: DataFrame, gaps: DataFrame) -> DataFrame:
+        """(skey, block, h) of the documents that fill each source's gap, from (skey, block, spot, h, size), equal rows as one.
 
-    @staticmethod
-    def _best_filler(free: DataFrame, either_side: bool) -> DataFrame:
-        """For each source the free document that leaves least of the gap: one that fits or, at the end, the nearest."""
-        off = F.abs(F.col("gap") - F.col("size"))
-        fits = (off < F.col("gap")) if either_side else (F.col("size") <= F.col("gap"))
-        best = free.filter(fits).groupBy("skey").agg(F.min(F.struct(off.alias("off"), "h", "block", "size")).alias("m"))
-        return best.select("skey", "m.h", "m.block", "m.size")
+        A round goes down the order with the documents no longer than the gap and takes them as long as they fit: whole
+        blocks by sums of blocks, then a part of one. Its first document always fits, so gaps shrink until none does. At last
+        the nearest document is taken if it leaves less over than the gap.
+        """
+        found = None
+        while True:
+            near = free.join(F.broadcast(gaps), "skey")
+            fit = near.filter(F.col("size") <= F.col("gap"))
+            sums = fit.groupBy("skey", "spot", "block", "gap").agg(F.sum("size").alias("words"))
+            upto = F.sum("words").over(Window.partitionBy("skey").orderBy("spot", "block"))
+            run = sums.withColumn("before", upto - F.col("words")).filter(F.col("before") < F.col("gap"))
+            run = self.st.keep(run.select("skey", "block", (F.col("gap") - F.col("before")).alias("room"), (F.col("before") + F.col("words") <= F.col("gap")).alias("all")), "run")
+            if run.isEmpty():
+                break
+            inside = fit.select("skey", "block", "h", "size").join(run, ["skey", "block"])
+            part = inside.filter("NOT all").withColumn("upto", F.sum("size").over(Window.partitionBy("skey", "block").orderBy("h"))).filter(F.col("upto") <= F.col("room"))
+            taken = self.st.keep(inside.filter("all").select("skey", "block", "h", "size").unionByName(part.select("skey", "block", "h", "size")), "taken")
+            found = taken if found is None else found.unionByName(taken)
+            used = taken.groupBy("skey").agg(F.sum("size").alias("used"))
+            left = near.drop("gap").join(taken.select("skey", "block", "h"), ["skey", "block", "h"], "left_anti")
+            gaps = self.st.keep(gaps.join(used, "skey", "left").select("skey", (F.col("gap") - F.coalesce("used", F.lit(0))).alias("gap")), "gaps")
+            free = self.st.keep(left.join(F.broadcast(gaps), "skey").filter(F.col("size") < 2 * F.col("gap")).drop("gap"), "free")
+        over = F.col("size") - F.col("gap")
+        last = near.filter(over < F.col("gap")).groupBy("skey").agg(F.min(F.struct(over.alias("over"), "h", "block", "size")).alias("m")).select("skey", "m.block", "m.h", "m.size")
+        found = last if found is None else found.unionByName(last)
+        return self.st.keep(found.select("skey", "block", "h"), "picked")
 
     def with_draws(self, rows: DataFrame) -> DataFrame:
         """Rows with skey and h, with `drawn`: the copies that the mix takes, and their shards."""
-        found = self.blocked(rows).join(self.plan, ["skey", "block"])
-        extra = (F.col("extra") == 1) | ((F.col("extra") == 2) & (F.coalesce(F.col("h") <= F.col("h_cut"), F.lit(False)) | F.coalesce(F.array_contains("h_more", F.col("h")), F.lit(False))))
+        picked = self.picked.withColumn("picked", F.lit(True))
+        found = self.blocked(rows).join(self.plan, ["skey", "block"]).join(picked, ["skey", "block", "h"], "left")
+        extra = (F.col("extra") == 1) | F.coalesce("picked", F.lit(False))
         own = F.filter("dealt", lambda d: (d["copy"] < F.col("passes")) | extra)
         return found.withColumn("drawn", F.coalesce(own, F.expr("cast(array() as array<struct<copy: bigint, shard: int>>)")))
 

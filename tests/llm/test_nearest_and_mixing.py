@@ -139,6 +139,20 @@ def test_mix_comes_near_its_targets_and_reruns_agree(spark, sf):
     assert rows.count() == sum(len(r.shards) for r in got) and rows.columns == [*docs.columns, "shard"]
 
 
+@pytest.mark.parametrize("seed", [1, 2, 3, 4])
+def test_a_giant_document_leaves_no_gap(spark, seed):
+    rows = [(0, "w " * 20_000, "a")] + [(i, "w " * (20 + i % 31), "a") for i in range(1, 700)] + [(1000 + i, "w " * 200, "b") for i in range(100)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixed_amounts(docs, seed=seed).collect()
+    for source in (lambda i: i < 1000, lambda i: i >= 1000):
+        own = [r for r in got if source(r.doc_id)]
+        gap = own[0].target - sum(r.taken for r in own)
+        least = min(r.taken // r.size for r in own)
+        free = [r.size for r in own if r.taken // r.size == least]
+        assert abs(gap) <= 50 if own[0].doc_id < 1000 else abs(gap) <= 100
+        assert not any(abs(gap - n) < abs(gap) for n in free)
+
+
 def test_splitting_tree_is_exact_and_unbiased(spark):
     quotas = {"a": 700, "b": 41, "c": 1, "d": 3000}
     df = spark.createDataFrame(list(quotas.items()), "skey string, quota long")
