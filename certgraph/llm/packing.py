@@ -24,9 +24,6 @@ from pyspark.sql.window import Window
 from certgraph.llm.tokens import coder
 from certgraph.plans.staging import Stages
 
-#: Sweeps of the local search at most, and underfull patterns that a sweep pairs with each other.
-SWEEPS, PAIRED = 12, 160
-
 
 def _piece_rows(path: str, end_id: int | None, capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -149,29 +146,71 @@ def _better(a: tuple[int, ...], b: tuple[int, ...], capacity: int) -> tuple[tupl
 
 
 def improved_patterns(patterns: dict[tuple[int, ...], int], capacity: int) -> dict[tuple[int, ...], int]:
-    """Local search over underfull bins; the number of bins never rises and falls when one is emptied."""
+    """Local search over all underfull bins until no exchange is left; the number of bins never rises, and falls when one is emptied.
+
+    Partners are looked up by the length that they give: an index holds, for each length, the underfull patterns with it by
+    fill. Every exchange raises the sum of squared fills, so the search ends.
+    """
     now = dict(patterns)
-    for _ in range(SWEEPS):
-        under = sorted((p for p in now if sum(p) < capacity), key=lambda p: (sum(p), p))
-        changed = False
-        for b in under[:PAIRED]:
-            for a in reversed(under[-PAIRED:]):
-                while now.get(b, 0) and now.get(a, 0) and (a != b or now[a] > 1):
-                    better = _better(a, b, capacity)
-                    if better is None:
+    holders: dict[int, list[tuple[int, tuple[int, ...]]]] = {}  # length: (fill, pattern), ascending
+    todo: list[tuple[int, tuple[int, ...]]] = []  # patterns that may grow, ascending by fill
+
+    def enter(p):
+        if sum(p) < capacity:
+            for y in set(p):
+                bisect.insort(holders.setdefault(y, []), (sum(p), p))
+
+    def leave(p):
+        if sum(p) < capacity:
+            for y in set(p):
+                own = holders[y]
+                own.pop(bisect.bisect_left(own, (sum(p), p)))
+                if not own:
+                    del holders[y]
+
+    def partner(a):
+        """The emptiest pattern that can give `a` an item for none, one or two smaller ones and leave it no more than full."""
+        fill, many = sum(a), Counter(a)
+        room, small = capacity - fill, sorted(many)
+        gives = {0, *small} | {x + z for i, x in enumerate(small) for z in small[i:] if x != z or many[x] > 1}
+        best = None
+        for s in gives:
+            for y in range(s + 1, s + room + 1):
+                for f, b in holders.get(y, ())[:2]:  # the second one if the first is `a`, alone
+                    if f <= fill and (b != a or now[a] > 1):
+                        best = min(best or (f, b), (f, b))
                         break
-                    times = now[a] // 2 if a == b else min(now[a], now[b])
-                    for p in (a, b):
-                        now[p] -= times
-                    for p in better:
-                        if p:
-                            now[p] = now.get(p, 0) + times
-                    changed = True
-                if not now.get(b, 0):
-                    break
-        now = {p: n for p, n in now.items() if n}
-        if not changed:
-            break
+        return best and best[1]
+
+    for p in now:
+        enter(p)
+    todo = sorted((sum(p), p) for p in now if sum(p) < capacity)
+    waits = set(todo)
+    while todo:
+        top = todo.pop()
+        waits.discard(top)
+        a = top[1]
+        while now.get(a, 0) and (b := partner(a)) is not None:
+            better = _better(a, b, capacity)
+            times = now[a] // 2 if a == b else min(now[a], now[b])
+            for p in (a, b):
+                now[p] -= times
+            for p in {a, b}:
+                if not now[p]:
+                    del now[p]
+                    leave(p)
+            for p in better:
+                if not p:
+                    continue
+                if p not in now:
+                    enter(p)
+                now[p] = now.get(p, 0) + times
+                if sum(p) < capacity and (sum(p), p) not in waits:
+                    waits.add((sum(p), p))
+                    bisect.insort(todo, (sum(p), p))
+        if not todo:  # what stands may have got new partners since it was looked at
+            again = [(sum(p), p) for p in now if sum(p) < capacity and partner(p) is not None]
+            todo, waits = sorted(again), set(again)
     return now
 
 

@@ -148,3 +148,23 @@ def test_plans_keep_every_item_and_improve():
         assert Counter({k: sum(p.count(k) * n for p, n in last.items()) for k in counts}) == counts
     # best fit by decreasing length needs three bins here, exchanges find two
     assert sum(packing_plan({6: 1, 5: 1, 4: 1, 3: 1, 2: 1}, 10).values()) == 2
+
+
+def test_packing_search_leaves_no_exchange():
+    import random
+    from collections import Counter
+
+    from certgraph.llm.packing import _better, best_fit_patterns, improved_patterns
+
+    rng = random.Random(1)
+    counts = Counter(rng.randint(340, 700) for _ in range(4000)) + Counter({n: rng.randint(1, 5000) for n in range(200, 1024)})
+    first = best_fit_patterns(counts, 1024)
+    plan = improved_patterns(first, 1024)
+    under = [p for p in plan if sum(p) < 1024]
+    assert len(under) > 320 and sum(plan.values()) <= sum(first.values()) and all(sum(p) <= 1024 for p in plan)
+    assert not any(_better(a, b, 1024) for i, a in enumerate(under) for b in under[i:] if a != b or plan[a] > 1)
+    items = Counter()
+    for p, n in plan.items():
+        for length in p:
+            items[length] += n
+    assert items == counts
