@@ -16,7 +16,8 @@ from certgraph.operators.components import component_labels
 from certgraph.operators.decide import all_pairs, certificate_for, is_k_connected, local_connectivity_pairs, shared_graph, spread
 from certgraph.operators.edges import remove_vertices, vertex_set
 from certgraph.operators.forest import edge_rows, oriented
-from certgraph.operators.layered import LayeredRun
+from certgraph.operators.layered import LayeredRun, layered_run
+from certgraph.operators.online import online_rounds
 from certgraph.operators.separators import separators
 
 
@@ -186,8 +187,15 @@ def timed_sweep(spark: SparkSession, graphs: dict[str, DataFrame], ks: tuple[int
         for k in ks:
             for method in methods:
                 began = time.time()
-                c = certificate_for(edges, k, method).count()
-                passes = {"layered": k + 1, "online_rounds": None}.get(method, 1)
+                passes = 1
+                if method == "layered":
+                    run = layered_run(edges, k)
+                    cert, passes = run.certificate, run.passes
+                elif method == "online_rounds":
+                    cert, passes = online_rounds(edges, k)
+                else:
+                    cert = certificate_for(edges, k, method)
+                c = cert.count()
                 rows.append((name, method, k, n, m, c, passes, time.time() - began))
         edges.unpersist()
     return spark.createDataFrame(rows, "workload string, method string, k int, n long, m long, cert_rows long, passes int, seconds double")

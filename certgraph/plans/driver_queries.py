@@ -249,6 +249,11 @@ def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.timed_sweep(spark, graphs, (1, 2, 3), ("layered", "layered_merge", "online_rounds", "online_merge")).drop("seconds")
 
 
+def _sweep_of(name: str) -> Query:
+    methods = ("layered", "layered_merge", "online", "online_rounds", "online_merge")
+    return lambda spark, sf_dir: measures.timed_sweep(spark, {name: WORKLOADS[name](spark, sf_dir)}, tuple(range(1, 7)), methods).drop("seconds")
+
+
 def _table() -> dict[str, tuple[Query, str | None]]:
     out: dict[str, tuple[Query, str | None]] = {}
     for name, make in WORKLOADS.items():
@@ -349,6 +354,9 @@ def _whole_tables() -> dict[str, tuple[Query, str | None]]:
             out[f"vertex_connectivity_{via}_{name}"] = _largest_k(name, 5, via)
         for via in ("layered", "layered_merge", "online", "online_merge", "full"):
             out[f"k_connected_{via}_{name}_3"] = _verdict(via, name, 3)
+    out["order_free_call_error_3"] = _order_free("call_error", 3)
+    for name in ("call_error", "user_topic_error", "part_supplier", "nation_trade", "customer_supplier_returns"):
+        out[f"sweep_rows_{name}"] = _sweep_of(name)
     return {name: (query, None) for name, query in out.items()}
 
 

@@ -305,3 +305,11 @@ def test_registered_separators_of_whole_tables_match_brute_force(spark, sf, name
     kappa = next((k for k in range(5, 0, -1) if K.brute_k_connected(g, k)), 0) if name == "nation_trade" else 0 if K.component_count(g) > 1 else 1 if want[1] else None
     assert q[f"vertex_connectivity_layered_{name}"](spark, sf).first().kappa == kappa
     assert f"separators2_{name}" not in oracle_sql() and "k_connected_layered_nation_trade_3" in oracle_sql()
+
+
+def test_sweep_counts_its_passes(spark, calls):
+    from certgraph.plans.driver_queries import queries
+
+    tree = measures.timed_sweep(spark, {"p": known_edges(spark, "path", 6)}, (3,), ("layered", "online_rounds", "online_merge")).collect()
+    assert {r.method: r.passes for r in tree} == {"layered": layered.layered_run(known_edges(spark, "path", 6), 3).passes, "online_rounds": 1, "online_merge": 1}
+    assert {f"sweep_rows_{n}" for n in ("call_error", "user_topic_error", "part_supplier", "nation_trade", "customer_supplier_returns")} | {"order_free_call_error_3"} <= set(queries())
