@@ -2,17 +2,52 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from certgraph.plans.staging import Stages
 
+#: As many edges (32 MB of labels at most) are contracted in one task instead of in rounds of joins.
+IN_ONE_TASK = 1_000_000
+
+
+def smallest_reachable(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Ids that occur in a or b, ascending, and for each the smallest id that the links a[i] - b[i] reach."""
+    ids, flat = np.unique(np.concatenate([a, b]), return_inverse=True)
+    u, v = flat[: len(a)], flat[len(a) :]
+    label = np.arange(len(ids))
+    while True:
+        x, y = label[u], label[v]
+        apart = x != y
+        if not apart.any():
+            return ids, ids[label]
+        u, v, x, y = u[apart], v[apart], x[apart], y[apart]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while True:
+            further = label[label]
+            if np.array_equal(further, label):
+                break
+            label = further
+
+
+def _in_one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    table = pa.Table.from_batches(list(batches))
+    if table.num_rows:
+        ids, least = smallest_reachable(*(c.to_numpy() for c in table.columns[:2]))
+        kind = table.schema.field(0).type
+        for k in range(0, len(ids), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(c[k : k + (1 << 16)], kind) for c in (ids, least)], names=["x", "p"])
+
 
 def component_labels(edges: DataFrame, src: str = "u", dst: str = "v", max_rounds: int = 60) -> DataFrame:
     """Return (id, comp) for every endpoint of `edges`; comp is the smallest id it can reach.
 
     Each round hooks every label to its smallest neighbouring label, follows those pointers to their
-    ends, and keeps only edges between different labels. Pointers always go to a smaller label, so they
+    ends, and keeps only edges between different labels; once no more than IN_ONE_TASK are left, one task ends it. Pointers always go to a smaller label, so they
     form a forest; the number of live edges shrinks each round. State between rounds is written to the
     shared folder. Null endpoints take no part. An edge table without rows gives an empty result.
     """
@@ -28,6 +63,12 @@ def component_labels(edges: DataFrame, src: str = "u", dst: str = "v", max_round
     labels = live.select(F.explode(F.array("u", "v")).alias("id")).distinct().withColumn("comp", F.col("id"))
     live = live.filter("u <> v")
     for _ in range(max_rounds):
+        if stored.count() <= IN_ONE_TASK:
+            kind = live.schema["u"].dataType.simpleString()
+            root = live.coalesce(1).mapInArrow(_in_one_task, f"x {kind}, p {kind}").withColumnRenamed("x", "comp")
+            out = st.keep(labels.join(root, "comp", "left").select("id", F.coalesce(F.col("p"), F.col("comp")).alias("comp")), "labels")
+            st.drop(stored, labels)
+            return out
         # every label that has a smaller neighbour points to the smallest of them
         hook = st.keep(live.groupBy(F.col("v").alias("x")).agg(F.min("u").alias("p")), "hook")
         if hook.isEmpty():

@@ -14,8 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 DEFAULT_SHARED_DIR = "file:///tmp/checkpoints"
 #: While a stage table is written: shuffle files of the finished query go at once, instead of at some garbage collection,
-#: and Python workers get rows in batches that stay small when texts are long.
-WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "1000"}
+#: and Python workers get rows in batches that stay small when texts, or sets made of them, are long.
+WRITING = {
+    "spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true",
+    "spark.sql.execution.arrow.maxRecordsPerBatch": "1000",
+    "spark.sql.execution.arrow.maxBytesPerBatch": str(4 << 20),
+}
 
 
 def shared_dir(spark: SparkSession) -> str:
