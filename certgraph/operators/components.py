@@ -35,8 +35,9 @@ def smallest_reachable(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.nda
 
 
 def _in_one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    table = pa.Table.from_batches(list(batches))
-    if table.num_rows:
+    rows = [b for b in batches if b.num_rows]
+    if rows:
+        table = pa.Table.from_batches(rows)
         ids, least = smallest_reachable(*(c.to_numpy() for c in table.columns[:2]))
         kind = table.schema.field(0).type
         for k in range(0, len(ids), 1 << 16):
