@@ -7,8 +7,9 @@ candidate buckets; every link is then confirmed on full shingle sets.
 
 Skew. Texts with equal shingle sets collapse to one representative before banding. Inside a bucket nobody
 emits all pairs: members are first compared with a leader of the bucket, in a few rounds with other leaders
-each. What is then still in different components is compared block against block through an index of shingles
-inside the task, so that no candidate link is lost and no row is made for a pair that isn't a link. All grouping keys are pre-aggregated or joined with joins that Spark
+each. What is then still in different components is put into blocks of bounded size and compared inside its block, then block
+against block, through an index of each set's rarest shingles inside the task. A task keeps a forest of the components that it
+joins and emits only its edges, so that no component is missed and rows grow with documents, not with pairs. All grouping keys are pre-aggregated or joined with joins that Spark
 can split at run time.
 """
 
@@ -155,12 +156,17 @@ def near_duplicate_classes(docs: DataFrame, width: int = 5, percent: int = 80, i
     labels = nodes.select("rep", F.col("rep").alias("comp"))
     links = None
     for turn, most in enumerate(LEADER_ROUNDS):
-        here = st.keep(_unsettled(members, labels) if turn else members.withColumn("comp", F.col("rep")), f"open{turn}")
+        here = st.keep(_unsettled(here.drop("comp"), labels) if turn else members.withColumn("comp", F.col("rep")), f"open{turn}")
         found = st.keep(_confirmed(_leader_pairs(here, turn, most), sets, percent), f"links{turn}")
         links = found if links is None else links.unionByName(found)
         labels = _labels(st, nodes, links)
-    found = st.keep(_block_links(st, st.keep(_unsettled(members, labels), "open-last"), sets, percent), "links-last")
-    labels = _labels(st, nodes, links.unionByName(found))
+    here = st.keep(_unsettled(here.drop("comp"), labels), "open-within")
+    blocks = _blocks(st, here, sets)
+    links = links.unionByName(st.keep(_within_blocks(here, blocks, sets, percent), "links-within"))
+    labels = _labels(st, nodes, links)
+    here = st.keep(_unsettled(here.drop("comp"), labels), "open-between")
+    links = links.unionByName(st.keep(_between_blocks(st, here, blocks, sets, percent), "links-between"))
+    labels = _labels(st, nodes, links)
     st.drop(sets, members)
 
     by_class = classes.select("fp_a", "fp_b", "rep").join(labels, "rep", "left").select("fp_a", "fp_b", F.coalesce("comp", "rep").alias("component"))
@@ -214,54 +220,113 @@ def _leader_pairs(here: DataFrame, turn: int, most: int) -> DataFrame:
     return flat.select(F.least("rep", "leader").alias("u"), F.greatest("rep", "leader").alias("v")).distinct()
 
 
-def _block_links(st: Stages, here: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """All links between members of a bucket that lie in different components, found block against block.
-
-    Documents that share buckets are put into blocks of bounded size. Two blocks meet if some bucket has documents of both,
-    and in one of them a document outside the bucket's largest component. Inside a task only such documents are looked up
-    in an index of the other block's shingles, which counts exactly what each pair shares; one link to each component comes out.
-    """
-    sizes = here.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("m"), F.min(F.xxhash64("rep")).alias("lead"))
-    top = sizes.groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"), F.min("lead").alias("lead"))
-    near = st.keep(here.join(top, "bucket").groupBy("rep", "comp").agg(F.max(F.col("comp") != F.col("main")).alias("outside"), F.min("lead").alias("near")), "near")
+def _blocks(st: Stages, here: DataFrame, sets: DataFrame) -> DataFrame:
+    """(rep, block): documents that share buckets, put into blocks of bounded size."""
+    lead = here.groupBy("bucket").agg(F.min(F.xxhash64("rep")).alias("lead"))
+    near = st.keep(here.select("bucket", "rep").join(lead, "bucket").groupBy("rep").agg(F.min("lead").alias("near")), "near")
     # the smallest leader two buckets away: neighbours mostly agree on it, so few blocks meet
-    wider = here.select("bucket", "rep").join(near.select("rep", "near"), "rep").groupBy("bucket").agg(F.min("near").alias("near"))
+    wider = here.select("bucket", "rep").join(near, "rep").groupBy("bucket").agg(F.min("near").alias("near"))
     home = here.select("bucket", "rep").join(wider, "bucket").groupBy("rep").agg(F.min("near").alias("home"))
-    docs = near.drop("near").join(home, "rep").join(sets.select("rep", "n"), "rep")
+    docs = home.join(sets.select("rep", "n"), "rep")
     parts = docs.groupBy("home").agg(F.ceil(F.sum("n") / BLOCK_SHINGLES).alias("parts"))
-    docs = st.keep(docs.join(parts, "home").withColumn("block", F.xxhash64("home", F.pmod(F.xxhash64("rep"), "parts"))).select("rep", "comp", "outside", "block"), "blocks")
+    return st.keep(docs.join(parts, "home").select("rep", F.xxhash64("home", F.pmod(F.xxhash64("rep"), "parts")).alias("block")), "blocks")
+
+
+def _within_blocks(here: DataFrame, blocks: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links that join components inside each block, as few as do."""
+    rows = here.select("rep", "comp").distinct().join(blocks, "rep").join(sets, "rep").select("block", "rep", "comp", "shingles")
+
+    def run(table: pa.Table) -> pa.Table:
+        return _link_table(joining_links(*_columns(table), percent))
+
+    return rows.groupBy("block").applyInArrow(run, "u long, v long")
+
+
+def _between_blocks(st: Stages, here: DataFrame, blocks: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between members of a bucket that lie in different components and different blocks.
+
+    Two blocks meet if some bucket has documents of both, and in one of them a document outside the bucket's largest
+    component; only such documents are looked up in the other block.
+    """
+    sizes = here.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("m"))
+    top = sizes.groupBy("bucket").agg(F.max_by("comp", F.struct("m", "comp")).alias("main"))
+    docs = here.join(top, "bucket").groupBy("rep", "comp").agg(F.max(F.col("comp") != F.col("main")).alias("outside"))
+    docs = st.keep(docs.join(blocks, "rep"), "placed")
     there = here.select("bucket", "rep").join(docs, "rep").groupBy("bucket", "block").agg(F.max("outside").alias("outside"))
-    meet = there.filter("outside").select("bucket", F.col("block").alias("a")).join(there.select("bucket", F.col("block").alias("b")), "bucket").select("a", "b").distinct()
-    meet = st.keep(meet, "meetings")
+    other = there.select("bucket", F.col("block").alias("b"))
+    meet = st.keep(there.filter("outside").select("bucket", F.col("block").alias("a")).join(other, "bucket").filter("a <> b").select("a", "b").distinct(), "meetings")
 
     def side(block: str, rows: DataFrame) -> DataFrame:
         placed = rows.withColumnRenamed("block", block).join(meet, block).join(sets, "rep")
         return placed.select(*(F.col(c).alias(c) for c in ("a", "b", "rep", "comp", "shingles")))
 
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        return _link_table(joining_links(*_columns(left), percent, _columns(right)) if left.num_rows and right.num_rows else [])
+
     left, right = side("a", docs.filter("outside")), side("b", docs)
-    return left.groupBy("a", "b").cogroup(right.groupBy("a", "b")).applyInArrow(_compared(percent), "u long, v long")
+    return left.groupBy("a", "b").cogroup(right.groupBy("a", "b")).applyInArrow(run, "u long, v long")
 
 
-def _compared(percent: int):
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        us, vs = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-        if left.num_rows and right.num_rows:
-            ids, comps = right["rep"].to_numpy(), right["comp"].to_numpy()
-            own = [np.frombuffer(x, np.uint64) for x in right["shingles"].to_pylist()]
-            sizes = np.array([len(x) for x in own])
-            flat, holder = np.concatenate(own), np.repeat(np.arange(len(own)), sizes)
-            order = np.argsort(flat, kind="stable")
-            flat, holder = flat[order], holder[order]
-            for rep, comp, raw in zip(left["rep"].to_pylist(), left["comp"].to_pylist(), left["shingles"].to_pylist(), strict=True):
-                x = np.frombuffer(raw, np.uint64)
-                lo, hi = np.searchsorted(flat, x, "left"), np.searchsorted(flat, x, "right")
-                n = hi - lo
-                at = np.repeat(hi - np.cumsum(n), n) + np.arange(int(n.sum()))
-                shared = np.bincount(holder[at], minlength=len(own))
-                hit = np.flatnonzero((100 * shared >= percent * (len(x) + sizes - shared)) & (comps != comp))
-                hit = hit[np.unique(comps[hit], return_index=True)[1]]  # one link joins a component as well as many
-                us.append(np.full(len(hit), rep, dtype=np.int64))
-                vs.append(ids[hit])
-        return pa.table({"u": pa.array(np.concatenate(us), pa.int64()), "v": pa.array(np.concatenate(vs), pa.int64())})
+def _columns(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, components, all shingles one after another, and where each set begins."""
+    raws = table.column("shingles").to_pylist()
+    sizes = np.fromiter((len(r) // 8 for r in raws), dtype=np.int64, count=len(raws))
+    flat = np.frombuffer(b"".join(raws), np.uint64)
+    return table.column("rep").to_numpy(), table.column("comp").to_numpy(), flat, np.concatenate([[0], np.cumsum(sizes)])
 
-    return run
+
+def joining_links(ids, comps, flat, begin, percent: int, other=None) -> list[tuple[int, int]]:
+    """Links that join the components of the given sets, as few as do: a forest over their labels.
+
+    Sets whose intersection has `percent` of their union share one of the rarest shingles of each, when each gives as many as
+    it can lack and one more. So only those are indexed, and sets that meet in the index in different components are compared in full. With
+    `other`, links between the given sets and those are looked for, else links among the given ones.
+    """
+    own = len(ids)
+    if other is not None:
+        ids, comps = np.concatenate([ids, other[0]]), np.concatenate([comps, other[1]])
+        flat, begin = np.concatenate([flat, other[2]]), np.concatenate([begin, other[3][1:] + begin[-1]])
+    size = np.diff(begin)
+    _, place, often = np.unique(flat, return_inverse=True, return_counts=True)
+    holder = np.repeat(np.arange(len(ids)), size)
+    by_rarity = np.lexsort((place, often[place], holder))
+    rank = np.arange(len(flat)) - begin[holder]
+    lacking = size - -(-percent * size // 100)
+    rare = by_rarity[rank <= lacking[holder]]
+    index = rare if other is None else rare[holder[rare] >= own]
+    index = index[np.argsort(place[index], kind="stable")]
+    key, value = place[index], holder[index]
+    probe = rare[holder[rare] < own]
+    starts = np.searchsorted(holder[probe], np.arange(own + 1))
+    names, home = np.unique(comps, return_inverse=True)
+    label, links = np.arange(len(names)), []
+    for x in range(own):
+        p = place[probe[starts[x] : starts[x + 1]]]
+        lo, hi = np.searchsorted(key, p, "left"), np.searchsorted(key, p, "right")
+        n = hi - lo
+        met = np.unique(value[np.repeat(hi - np.cumsum(n), n) + np.arange(int(n.sum()))])
+        if other is None:
+            met = met[met > x]
+        least, most = np.minimum(size[met], size[x]), np.maximum(size[met], size[x])
+        met = met[100 * least >= percent * most]
+        mine, turns = flat[begin[x] : begin[x + 1]], 1
+        while len(met := met[label[home[met]] != label[home[x]]]):
+            roots = label[home[met]]
+            order = np.argsort(roots, kind="stable")
+            met, roots = met[order], roots[order]
+            now = np.arange(len(met)) - np.searchsorted(roots, roots) < turns  # a few of each component at a time
+            turn, met, turns = met[now], met[~now], 4 * turns
+            theirs = np.concatenate([flat[begin[y] : begin[y + 1]] for y in turn])
+            at = np.minimum(np.searchsorted(mine, theirs), len(mine) - 1)
+            shared = np.add.reduceat(mine[at] == theirs, np.concatenate([[0], np.cumsum(size[turn])[:-1]]), dtype=np.int64)
+            for y in turn[100 * shared >= percent * (len(mine) + size[turn] - shared)]:
+                a, b = label[home[x]], label[home[y]]
+                if a != b:
+                    label[label == b] = a
+                    links.append((int(ids[x]), int(ids[y])))
+    return links
+
+
+def _link_table(links: list[tuple[int, int]]) -> pa.Table:
+    u, v = zip(*links, strict=True) if links else ((), ())
+    return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})

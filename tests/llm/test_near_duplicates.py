@@ -83,3 +83,46 @@ def test_signature_values_agree_as_often_as_sets():
     same = (N.minmax_signature(np.unique(a)) == N.minmax_signature(np.unique(b))).mean()
     assert abs(same - 500 / 700) < 0.15
     assert len(N.band_keys(N.minmax_signature(a))) == 2 * N.PERMUTATIONS // N.BAND_ROWS
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_joining_links_are_a_forest_of_all_links(seed):
+    rng = np.random.default_rng(seed)
+    common = rng.integers(1, 200, 3)  # shingles that nearly every set holds
+    sets, base = [], None
+    for i in range(120):
+        if i % 6 == 0:
+            base = rng.choice(5000, rng.integers(1, 60), replace=False)
+        own = np.where(rng.random(len(base)) < 0.06, rng.integers(0, 5000, len(base)), base)
+        sets.append(np.unique(np.concatenate([own, common])).astype(np.uint64))
+    comps = np.array([0 if rng.random() < 0.1 else 1000 + i for i in range(len(sets))])
+
+    def table(part):
+        return np.array(part), comps[part], np.concatenate([sets[i] for i in part]), np.concatenate([[0], np.cumsum([len(sets[i]) for i in part])])
+
+    def joined(pairs):
+        up = {c: c for c in comps.tolist()}
+
+        def find(x):
+            while up[x] != x:
+                x = up[x]
+            return x
+
+        for a, b in pairs:
+            x, y = find(int(comps[a])), find(int(comps[b]))
+            up[max(x, y)] = min(x, y)
+        return [find(c) for c in comps.tolist()]
+
+    def linked(a, b):
+        n = len(np.intersect1d(sets[a], sets[b]))
+        return 100 * n >= 80 * (len(sets[a]) + len(sets[b]) - n)
+
+    every = list(range(len(sets)))
+    want = joined([(a, b) for a in every for b in every if a < b and linked(a, b)])
+    got = N.joining_links(*table(every), 80)
+    assert all(linked(a, b) for a, b in got) and joined(got) == want
+    assert len(got) == len(set(comps.tolist())) - len(set(want))
+    left, right = [i for i in every if i % 3], [i for i in every if not i % 3]
+    got = N.joining_links(*table(left), 80, table(right))
+    assert all(linked(a, b) and a % 3 and not b % 3 for a, b in got)
+    assert joined(got) == joined([(a, b) for a in left for b in right if linked(a, b)])
