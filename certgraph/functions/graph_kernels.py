@@ -1,19 +1,61 @@
 """Graph routines that run inside one task, on graphs of certificate size. No Spark here.
 
-Graphs are adjacency dicts `{vertex: set of neighbours}` with all vertices as keys.
+Graphs are adjacency mappings from each vertex to the set of its neighbours: a dict, or a `PackedGraph`, which holds arrays and
+makes the set of a vertex when a search first asks for it.
 """
 
 from __future__ import annotations
 
 from collections import deque
-from collections.abc import Callable, Iterable, Iterator
+from collections.abc import Callable, Container, Iterable, Iterator, Mapping
 from itertools import combinations
 
-Graph = dict[int, set[int]]
+import numpy as np
 
+Graph = Mapping[int, set[int]]
 
-def graph_of(edges: Iterable[tuple[int, int]], vertices: Iterable[int] = ()) -> Graph:
-    g: Graph = {v: set() for v in vertices}
+
+class PackedGraph(Mapping):
+    """An adjacency in three arrays (16 bytes for each edge end and vertex); only sets in use are kept as Python objects."""
+
+    #: Vertices whose neighbour sets are held at a time.
+    MOST_SETS = 200_000
+
+    def __init__(self, u: np.ndarray, v: np.ndarray, vertices: np.ndarray):
+        self.ids = np.unique(np.concatenate([u, v, vertices]).astype(np.int64))
+        a, b = np.concatenate([u, v]), np.concatenate([v, u])
+        order = np.argsort(a, kind="stable")
+        self.ends = b[order].astype(np.int64)
+        self.starts = np.searchsorted(a[order], np.append(self.ids, self.ids[-1] + 1) if len(self.ids) else np.zeros(1))
+        self._sets: dict[int, set[int]] = {}
+
+    @staticmethod
+    def bytes_of(edges: int, vertices: int) -> int:
+        return 16 * (edges + vertices)
+
+    def __getitem__(self, x: int) -> set[int]:
+        found = self._sets.get(x)
+        if found is None:
+            i = int(np.searchsorted(self.ids, x))
+            if i == len(self.ids) or self.ids[i] != x:
+                raise KeyError(x)
+            if len(self._sets) >= self.MOST_SETS:
+                self._sets.clear()
+            found = self._sets[x] = set(self.ends[self.starts[i] : self.starts[i + 1]].tolist())
+        return found
+
+    def __iter__(self) -> Iterator[int]:
+        return iter(self.ids.tolist())
+
+    def __len__(self) -> int:
+        return len(self.ids)
+
+    def __getstate__(self):
+        return {**self.__dict__, "_sets": {}}
+
+
+def graph_of(edges: Iterable[tuple[int, int]], vertices: Iterable[int] = ()) -> dict[int, set[int]]:
+    g: dict[int, set[int]] = {v: set() for v in vertices}
     for u, v in edges:
         if u != v:
             g.setdefault(u, set()).add(v)
@@ -45,12 +87,12 @@ class DisjointSets:
             self.parity[y], self.parent[y] = side, x
         return x
 
-    def join(self, a: int, b: int) -> bool:
-        """False if both were in one set."""
+    def join(self, a: int, b: int, across: int = 1) -> bool:
+        """False if both were in one set; `across` tells whether the ends are on different sides."""
         x, y = self.find(a), self.find(b)
         if x == y:
             return False
-        side = self.parity[a] ^ self.parity[b] ^ 1
+        side = self.parity[a] ^ self.parity[b] ^ across
         if self.rank[x] < self.rank[y]:
             x, y = y, x
         self.parent[y], self.parity[y] = x, side
@@ -64,6 +106,67 @@ def kept_edges(edges: Iterable[tuple[int, int, int]]) -> list[tuple[int, int, in
     return [e for e in edges if sets.join(e[1], e[2])]
 
 
+class ForestFold:
+    """The kept edges of a stream that comes in chunks of arrays, in order of seq; holds a few words for each vertex.
+
+    Ends that a chunk finds in one set already are dropped all at once; only the others are joined one by one. `parity` tells
+    on which side of its root a vertex is, and `odd` holds the first edge that closed an odd cycle.
+    """
+
+    def __init__(self, dense: int | None = None):
+        """`dense` says that vertices are 0 ... dense - 1, which need no dictionary."""
+        self.dense = dense is not None
+        self.ids, self.slots = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.up, self.side = np.arange(dense or 0), np.zeros(dense or 0, np.int8)
+        self.odd: tuple[int, int, int] | None = None
+
+    @property
+    def words(self) -> int:
+        """Words held for the vertices met so far."""
+        return 2 * len(self.ids) + 2 * len(self.up)
+
+    def _slots(self, x: np.ndarray) -> np.ndarray:
+        if self.dense:
+            return x
+        new = np.setdiff1d(x, self.ids)
+        if len(new):
+            at = np.searchsorted(self.ids, new)
+            n = len(self.up)
+            self.ids = np.insert(self.ids, at, new)
+            self.slots = np.insert(self.slots, at, np.arange(n, n + len(new)))
+            self.up = np.append(self.up, np.arange(n, n + len(new)))
+            self.side = np.append(self.side, np.zeros(len(new), np.int8))
+        return self.slots[np.searchsorted(self.ids, x)]
+
+    def _roots(self, s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        r, side = self.up[s], self.side[s].copy()
+        while True:
+            up = self.up[r]
+            going = up != r
+            if not going.any():
+                break
+            side[going] ^= self.side[r[going]]
+            r = up
+        self.up[s], self.side[s] = r, side
+        return r, side
+
+    def offer(self, seq: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+        """Which edges of the chunk are kept, as a mask."""
+        su, sv = self._slots(u), self._slots(v)
+        (ru, pu), (rv, pv) = self._roots(su), self._roots(sv)
+        keep = np.zeros(len(u), dtype=bool)
+        sets = DisjointSets()
+        for i in np.flatnonzero((ru != rv) | (pu == pv)).tolist():
+            a, b, across = int(ru[i]), int(rv[i]), 1 ^ int(pu[i]) ^ int(pv[i])
+            if a != b and sets.join(a, b, across):
+                keep[i] = True
+            elif self.odd is None and (0 if a == b else sets.parity[a] ^ sets.parity[b]) != across:
+                self.odd = (int(seq[i]), int(u[i]), int(v[i]))
+        for x in list(sets.parent):
+            self.up[x], self.side[x] = sets.find(x), sets.parity[x]
+        return keep
+
+
 def odd_cycle_edge(edges: Iterable[tuple[int, int, int]]) -> tuple[int, int, int] | None:
     """The first edge that closes a cycle of odd length; None if the graph is bipartite."""
     sets = DisjointSets()
@@ -132,18 +235,84 @@ def first_neighbours(edges: Iterable[tuple[int, int, int]], position: dict[int,
     return best
 
 
-def layered_rows(edges: list[tuple[int, int, int]], k: int, vertices: Iterable[int] = ()) -> list[tuple[int, int, int, int]]:
-    """Union of k scan-first forests as (seq, u, v, layer); each layer is built on what the earlier ones left."""
-    left, out, vertices = sorted(edges), [], list(vertices)
-    for layer in range(1, k + 1):
-        if not left:
+def preorder_arrays(n: int, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Place in depth-first preorder, root and depth of each of the vertices 0 ... n - 1 of a forest with edges a[i] - b[i]."""
+    heads, tails = np.concatenate([a, b]), np.concatenate([b, a])
+    order = np.lexsort((tails, heads))
+    starts, tails = np.searchsorted(heads[order], np.arange(n + 1)).tolist(), tails[order].tolist()
+    place, root, depth = [-1] * n, [0] * n, [0] * n
+    at = 0
+    for r in range(n):
+        if place[r] >= 0:
+            continue
+        stack = [r]
+        while stack:
+            x = stack.pop()
+            place[x], root[x] = at, r
+            at += 1
+            for y in reversed(tails[starts[x] : starts[x + 1]]):
+                if place[y] < 0:
+                    depth[y] = depth[x] + 1
+                    stack.append(y)
+    return np.array(place), np.array(root), np.array(depth)
+
+
+#: Edges that folds handle in one set of arrays.
+CHUNK = 1 << 16
+
+
+def layered_mask(seq: np.ndarray, u: np.ndarray, v: np.ndarray, k: int) -> np.ndarray:
+    """For each edge the scan-first forest that it is in, 1 ... k, or 0; each is built on what the earlier ones left."""
+    ids, flat = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = flat[: len(u)], flat[len(u) :]
+    layer, left = np.zeros(len(u), dtype=np.int32), np.argsort(seq, kind="stable")
+    for i in range(1, k + 1):
+        if not len(left):
             break
-        z = graph_of([(u, v) for _, u, v in kept_edges(left)], vertices)
-        position = {x: i for i, (x, _) in enumerate(preorder(z))}
-        taken = {s for _, s in first_neighbours(left, position).values()}
-        out += [(s, u, v, layer) for s, u, v in left if s in taken]
-        left = [e for e in left if e[0] not in taken]
-    return out
+        fold = ForestFold(len(ids))
+        kept = np.concatenate([fold.offer(seq[c], a[c], b[c]) for c in (left[j : j + CHUNK] for j in range(0, len(left), CHUNK))])
+        place = preorder_arrays(len(ids), a[left[kept]], b[left[kept]])[0]
+        pa, pb = place[a[left]], place[b[left]]
+        child = np.maximum(pa, pb)
+        order = np.lexsort((seq[left], np.minimum(pa, pb), child))
+        first = np.unique(child[order], return_index=True)[1]
+        layer[left[order[first]]] = i
+        left = left[layer[left] == 0]
+    return layer
+
+
+def layered_rows(edges: Iterable[tuple[int, int, int]], k: int) -> list[tuple[int, int, int, int]]:
+    """Union of k scan-first forests of a list of edges, as (seq, u, v, layer)."""
+    rows = np.array(sorted(edges), dtype=np.int64).reshape(-1, 3)
+    layer = layered_mask(rows[:, 0], rows[:, 1], rows[:, 2], k)
+    return [(*r, i) for r, i in zip(rows[layer > 0].tolist(), layer[layer > 0].tolist(), strict=True)]
+
+
+class LayeredFold:
+    """A layered certificate of a stream in chunks: what is held and a buffer no longer than it are certified together."""
+
+    def __init__(self, k: int):
+        self.k, self.peak = k, 0
+        self.cert = tuple(np.zeros(0, np.int64) for _ in range(3))
+        self.layer = np.zeros(0, np.int32)
+        self.buffer: list[tuple[np.ndarray, ...]] = []
+        self.waiting = 0
+
+    def offer(self, seq: np.ndarray, u: np.ndarray, v: np.ndarray) -> None:
+        self.buffer.append((seq, u, v))
+        self.waiting += len(seq)
+        if self.waiting >= max(CHUNK, len(self.layer)):
+            self.settle()
+
+    def settle(self) -> tuple[tuple[np.ndarray, ...], np.ndarray]:
+        """Edges held and their layers, after all that was offered."""
+        if self.waiting:
+            rows = tuple(np.concatenate(x) for x in zip(self.cert, *self.buffer, strict=True))
+            self.peak = max(self.peak, 3 * len(rows[0]))
+            layer = layered_mask(*rows, self.k)
+            self.cert, self.layer = tuple(x[layer > 0] for x in rows), layer[layer > 0]
+            self.buffer, self.waiting = [], 0
+        return self.cert, self.layer
 
 
 # ------------------------------------------------------------------------------------------------ disjoint paths
@@ -154,61 +323,55 @@ class PathFlow:
 
     A vertex other than the ends carries at most one path. `nxt` and `prv` link the vertices along the paths. A search state
     is a vertex with the side on which it was reached: 0 free to leave by any edge, 1 reached along an edge into a vertex on
-    a path, from where it can only go back along that path.
+    a path, from where it can only go back along that path. With `near` the sink is an extra vertex that `near` says who is joined to.
+    A search ends at the first state next to the sink, so it does not look at the sink's whole neighbourhood.
     """
 
-    def __init__(self, g: Graph, source: int, sink: int, cap: int):
+    def __init__(self, g: Graph, source: int, sink, cap: int, near: Container[int] | None = None):
         self.g, self.source, self.sink = g, source, sink
+        self.near: Container[int] = g[sink] if near is None else near
         self.nxt: dict[int, int] = {}
         self.prv: dict[int, int] = {}
         self.starts: list[int] = []
         self.value = self.searches = self.arcs = 0
-        if sink in g[source]:
+        if source in self.near:
             self.value = 1  # the edge itself is a path without inner vertices
         while self.value < cap and self._augment():
             self.value += 1
 
-    def _steps(self, x: int, side: int) -> Iterator[tuple[int, int]]:
-        """States after (x, side): forward along edges, or back along the path through x."""
-        if x == self.source:
-            for y in self.g[x]:
-                if y != self.sink and self.prv.get(y) != x:
-                    yield (y, 1) if y in self.prv else (y, 0)
-            return
-        if side == 0:
-            back = self.prv.get(x)
-            for y in self.g[x]:
-                if y == self.source or y == self.nxt.get(x):
-                    continue
-                if y == self.sink:
-                    yield y, 0
-                elif y in self.prv:
-                    yield y, 1
-                else:
-                    yield y, 0
-            if back is not None and back != self.source:
-                yield back, 0
-        else:
-            back = self.prv[x]
-            if back != self.source:
-                yield back, 0
-
     def _augment(self) -> bool:
         self.searches += 1
-        start = (self.source, 0)
-        came: dict[tuple[int, int], tuple[int, int] | None] = {start: None}
+        g, near, nxt, prv, source, sink = self.g, self.near, self.nxt, self.prv, self.source, self.sink
+        start = (source, 0)
+        came: dict[tuple, tuple | None] = {start: None}
         queue = deque([start])
         while queue:
             state = queue.popleft()
-            for after in self._steps(*state):
-                self.arcs += 1
-                if after in came:
-                    continue
-                came[after] = state
-                if after[0] == self.sink:
-                    self._apply(after, came)
+            x, side = state
+            if x == source:
+                onward = [y for y in g[x] if y != sink and prv.get(y) != source]
+            elif side == 0:
+                ahead = nxt.get(x)
+                if x in near and ahead != sink:
+                    came[(sink, 0)] = state
+                    self._apply((sink, 0), came)
                     return True
-                queue.append(after)
+                onward = [y for y in g[x] if y != source and y != sink and y != ahead]
+            else:
+                onward = ()
+            self.arcs += len(onward)
+            for y in onward:
+                after = (y, 1) if y in prv else (y, 0)
+                if after not in came:
+                    came[after] = state
+                    queue.append(after)
+            back = prv.get(x)
+            if back is not None and back != source:
+                self.arcs += 1
+                after = (back, 0)
+                if after not in came:
+                    came[after] = state
+                    queue.append(after)
         self.reached = came
         return False
 
@@ -230,7 +393,7 @@ class PathFlow:
         self.starts = [b for a, b in links if a == self.source]
 
     def paths(self) -> list[list[int]]:
-        out = [[self.source, self.sink]] if self.sink in self.g[self.source] else []
+        out = [[self.source, self.sink]] if self.source in self.near else []
         for x in sorted(self.starts):
             path = [self.source, x]
             while path[-1] != self.sink:
@@ -318,6 +481,17 @@ def component_count(g: Graph, removed: frozenset[int] | set[int] = frozenset())
     return n
 
 
+def distances_from(g: Graph, source: int) -> dict[int, int]:
+    """Edges on a shortest path from the source to each vertex that it reaches."""
+    found, todo = {source: 0}, [source]
+    for x in todo:
+        for y in g[x]:
+            if y not in found:
+                found[y] = found[x] + 1
+                todo.append(y)
+    return found
+
+
 def pieces_without_each_vertex(g: Graph, removed: set[int]) -> tuple[int, dict[int, int]]:
     """Components of g without `removed`, and for each other vertex how many there are without it too."""
     found: dict[int, int] = {}
@@ -375,49 +549,78 @@ def minimum_cuts(g: Graph, u: int, v: int, cap: int) -> list[tuple[int, ...]]:
     flow = PathFlow(g, u, v, cap)
     if flow.value >= cap:
         return []
-    # a smallest cut takes one inner vertex from each disjoint path; keep the choices that do part the ends
-    inner = [p[1:-1] for p in flow.paths()]
-    found = []
-
-    def choose(at: int, chosen: tuple[int, ...]):
-        if at == len(inner):
-            gone, seen, todo = set(chosen), {u}, [u]
-            while todo:
-                for y in g[todo.pop()]:
-                    if y not in seen and y not in gone:
-                        seen.add(y)
-                        todo.append(y)
-            if v not in seen:
-                found.append(tuple(sorted(chosen)))
-            return
-        for x in inner[at]:
-            choose(at + 1, (*chosen, x))
-
-    choose(0, ())
-    return sorted(set(found))
+    paths = [p[1:-1] for p in flow.paths()]
+
+    def closure(seed: set[tuple[int, int]], begin: Iterable[tuple[int, int]]) -> set[tuple[int, int]] | None:
+        """States that leave nothing to the residual graph beyond them; None if they reach v."""
+        closed, todo = set(seed), list(begin)
+        closed.update(todo)
+        while todo:
+            x, side = todo.pop()
+            after: list[tuple[int, int]] = []
+            if side == 0:
+                if x in flow.near:
+                    return None
+                after = [(y, 1) if y in flow.prv else (y, 0) for y in g[x] if y != u]
+            if x != u and flow.prv.get(x, u) != u:
+                after.append((flow.prv[x], 0))
+            for state in after:
+                if state not in closed:
+                    closed.add(state)
+                    todo.append(state)
+        return closed
+
+    def cut_of(closed: set[tuple[int, int]]) -> tuple[int, ...]:
+        # on each path the vertex that can be entered but not left
+        return tuple(next(x for x in p if (x, 0) not in closed) for p in paths)
+
+    # every closed set grows from the smallest by letting one of its cut's vertices through at a time
+    first = closure(set(), [(u, 0)])
+    found, todo = {cut_of(first)}, [first]
+    while todo:
+        closed = todo.pop()
+        for x in cut_of(closed):
+            more = closure(closed, [(x, 0), (x, 1)])
+            if more is not None and (c := cut_of(more)) not in found:
+                found.add(c)
+                todo.append(more)
+    return sorted(tuple(sorted(c)) for c in found)
 
 
 # ------------------------------------------------------------------------------------------------ decisions and brute force
 
 
-def connectivity_check(g: Graph, order: list[int], k: int, row: int) -> tuple[int, int] | None:
-    """One of the checks that together decide k-connectivity; the pair that fails, or None.
+def check_flow(g: Graph, order, k: int, row: int) -> PathFlow:
+    """The flow of one of the checks that together decide k-connectivity.
 
-    Rows below k(k-1)/2 are pairs of the first k vertices; each further row takes one later vertex against all before it,
-    joined to an extra vertex.
+    `order` is ascending. Rows below k(k-1)/2 are pairs of the first k vertices; each further row takes one later vertex against
+    all before it, joined to an extra vertex that is never built.
     """
     pairs = list(combinations(range(k), 2))
     if row < len(pairs):
-        a, b = order[pairs[row][0]], order[pairs[row][1]]
-        return None if local_connectivity(g, a, b, k) >= k else (a, b)
+        return PathFlow(g, order[pairs[row][0]], order[pairs[row][1]], k)
     at = k + row - len(pairs)
-    x = order[at]
-    hub = object()
-    h = dict(g)
-    h[hub] = set(order[:at])
-    for y in order[:at]:
-        h[y] = g[y] | {hub}
-    return None if PathFlow(h, hub, x, k).value >= k else (order[0], x)
+    return PathFlow(g, order[at], EXTRA, k, _Before(order, at))
+
+
+def connectivity_check(g: Graph, order, k: int, row: int) -> tuple[int, int] | None:
+    """The pair that fails one of these checks, or None."""
+    flow = check_flow(g, order, k, row)
+    return None if flow.value >= k else (flow.source, order[0] if flow.sink is EXTRA else flow.sink)
+
+
+#: The extra vertex of a connectivity check.
+EXTRA = object()
+
+
+class _Before:
+    """The first vertices of an ascending order, as what an extra vertex is joined to; nothing is copied."""
+
+    def __init__(self, order, at: int):
+        self.limit = order[at]
+
+    def __contains__(self, x) -> bool:
+        return x < self.limit
 
 
 def is_k_connected(g: Graph, k: int) -> bool:

@@ -2,85 +2,89 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from certgraph.functions.graph_kernels import brute_minimum_certificate, graph_of, odd_cycle_edge, scan_first_forest
+from certgraph.functions.graph_kernels import CHUNK, ForestFold, LayeredFold, brute_minimum_certificate, distances_from, graph_of, scan_first_forest
 from certgraph.operators.components import component_labels
+from certgraph.operators.decide import shared_graph, spread
 from certgraph.operators.edges import residual, vertex_set
-from certgraph.operators.forest import edge_batch, edge_rows, merge_tree
+from certgraph.operators.forest import edge_batch, edge_chunks, in_order, merge_tree
 from certgraph.operators.forest import min_spanning_forest as min_spanning_forest
-from certgraph.operators.online import online_certificate
+from certgraph.operators.online import kept_batch, online_certificate
 from certgraph.plans.staging import Stages
 from certgraph.schemas import CERTIFICATE, EDGE
 
 
-def small_k_certificate(edges: DataFrame, k: int, buffer: int | None = None) -> DataFrame:
+def _triples(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, int, int]]:
+    for chunk in edge_chunks(batches):
+        yield from zip(*(x.tolist() for x in chunk), strict=True)
+
+
+def _layer_batch(rows: list[tuple[int, int, int, int]]) -> pa.RecordBatch:
+    seq, u, v, layer = zip(*rows, strict=True) if rows else ((), (), (), ())
+    return edge_batch(seq, u, v, layer=pa.array(layer, pa.int32()))
+
+
+def small_k_certificate(edges: DataFrame, k: int, buffer: int = CHUNK) -> DataFrame:
     """A sparsification-style stand-in for the older one-pass methods for k up to 4.
 
-    Edges are read in chunks of about the number of vertices, and each chunk is certified together with what was kept.
+    One task reads the edges in order, in chunks, and certifies each chunk together with what was kept; it holds that and a chunk.
     """
     if not 1 <= k <= 4:
         raise ValueError("the older methods reach k = 4")
-    from certgraph.functions.graph_kernels import layered_rows
-
-    size = buffer
 
-    def local(batches):
-        kept: list[tuple[int, int, int]] = []
-        chunk: list[tuple[int, int, int]] = []
-        rows = edge_rows(batches)
-        n = size or max(1, len({x for _, u, v in rows for x in (u, v)}))
-        for e in rows:
-            chunk.append(e)
-            if len(chunk) == n:
-                kept, chunk = [r[:3] for r in layered_rows(kept + chunk, k)], []
-        yield edge_batch([r[:3] for r in layered_rows(kept + chunk, k)] if chunk else kept)
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fold = LayeredFold(k)
+        for chunk in edge_chunks(batches, buffer):
+            fold.offer(*chunk)
+        yield edge_batch(*fold.settle()[0])
 
-    return edges.select("seq", "u", "v").repartition(1).mapInArrow(local, EDGE)
+    return in_order(edges, 1).mapInArrow(local, EDGE)
 
 
 def forest_partition_certificate(edges: DataFrame, k: int) -> DataFrame:
     """A stand-in for the linear-time offline certificate: maximum-adjacency scanning labels each edge with a forest.
 
     Vertices are scanned by the number of scanned neighbours, most first; the edge to a neighbour goes to the forest after those
-    that the neighbour already has an edge in. The first k forests are the certificate. One task; for graphs that fit it.
+    that the neighbour already has an edge in. The first k forests are the certificate. One task that holds the whole graph, as
+    the method does; each edge moves one vertex up one list, so the work is linear.
     """
 
-    def local(batches):
-        rows = edge_rows(batches)
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = list(_triples(batches))
         near: dict[int, list[tuple[int, int]]] = {}
         for s, u, v in rows:
             near.setdefault(u, []).append((s, v))
             near.setdefault(v, []).append((s, u))
         weight = dict.fromkeys(near, 0)
-        levels: list[set[int]] = [set(near)]
+        levels: list[list[int]] = [sorted(near, reverse=True)]
         layer: dict[int, int] = {}
         done: set[int] = set()
         top = 0
-        for _ in range(len(near)):
-            while not levels[top]:
+        while top >= 0:
+            if not levels[top]:
                 top -= 1
-            x = min(levels[top])
-            levels[top].discard(x)
+                continue
+            x = levels[top].pop()
+            if x in done or weight[x] != top:  # it has moved up since it was listed here
+                continue
             done.add(x)
             for s, y in near[x]:
                 if y in done:
                     continue
-                levels[weight[y]].discard(y)
                 weight[y] += 1
                 layer[s] = weight[y]
                 if weight[y] == len(levels):
-                    levels.append(set())
-                levels[weight[y]].add(y)
+                    levels.append([])
+                levels[weight[y]].append(y)
                 top = max(top, weight[y])
-        kept = [(s, u, v, layer[s]) for s, u, v in rows if layer[s] <= k]
-        cols = zip(*kept, strict=True) if kept else ([], [], [], [])
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["seq", "u", "v", "layer"])
+        yield _layer_batch([(s, u, v, layer[s]) for s, u, v in rows if layer[s] <= k])
 
-    return edges.select("seq", "u", "v").repartition(1).mapInArrow(local, CERTIFICATE)
+    return in_order(edges, 1).mapInArrow(local, CERTIFICATE)
 
 
 def bfs_layer_certificate(edges: DataFrame, k: int) -> tuple[DataFrame, int]:
@@ -110,18 +114,16 @@ def bfs_layer_certificate(edges: DataFrame, k: int) -> tuple[DataFrame, int]:
 def local_layer_certificate(edges: DataFrame, k: int, pick: str = "fifo") -> DataFrame:
     """k scan-first forests searched in memory, with a rule for which marked vertex is scanned next; in one task."""
 
-    def local(batches):
-        left, out = edge_rows(batches), []
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        left, out = list(_triples(batches)), []
         for layer in range(1, k + 1):
             tree, _ = scan_first_forest(graph_of((u, v) for _, u, v in left), pick)
             pairs = {(min(a, b), max(a, b)) for a, b in tree}
             out += [(s, u, v, layer) for s, u, v in left if (u, v) in pairs]
             left = [e for e in left if (e[1], e[2]) not in pairs]
-        cols = zip(*out, strict=True) if out else ([], [], [], [])
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["seq", "u", "v", "layer"])
+        yield _layer_batch(out)
 
-    return edges.select("seq", "u", "v").repartition(1).mapInArrow(local, CERTIFICATE)
+    return in_order(edges, 1).mapInArrow(local, CERTIFICATE)
 
 
 def certificate_floor(n: int, k: int) -> int:
@@ -144,58 +146,111 @@ def is_bipartite(edges: DataFrame) -> DataFrame:
     A part of the stream is summed up by its spanning forest and its first edge that closes an odd cycle.
     """
 
-    def local(batches):
-        from certgraph.functions.graph_kernels import kept_edges
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fold = ForestFold()
+        for seq, u, v in edge_chunks(batches):
+            keep = fold.offer(seq, u, v)
+            yield edge_batch(seq[keep], u[keep], v[keep])
+        if fold.odd:
+            yield kept_batch([fold.odd])
 
-        rows = edge_rows(batches)
-        kept = kept_edges(rows)
-        bad = odd_cycle_edge(rows)
-        yield edge_batch(sorted({*kept, *([bad] if bad else [])}))
+    def last(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fold = ForestFold()
+        for chunk in edge_chunks(batches):
+            fold.offer(*chunk)
+        yield pa.RecordBatch.from_arrays([pa.array([fold.odd is None]), pa.array([fold.odd[0] if fold.odd else None], pa.int64())], names=["bipartite", "seq"])
 
-    def last(batches):
-        bad = odd_cycle_edge(edge_rows(batches))
-        yield pa.RecordBatch.from_arrays([pa.array([bad is None]), pa.array([bad[0] if bad else None], pa.int64())], names=["bipartite", "seq"])
-
-    return merge_tree(edges, local).coalesce(1).mapInArrow(last, "bipartite boolean, seq long")
+    return in_order(merge_tree(edges, local, deal=False), 1).mapInArrow(last, "bipartite boolean, seq long")
 
 
 def greedy_matching(edges: DataFrame, weight: str | None = None) -> DataFrame:
-    """A maximal matching in stream order, or by descending weight (at least half of the best)."""
-    rows = edges.select("seq", "u", "v") if weight is None else edges.select((-F.col(weight)).alias("w"), "seq", "u", "v")
+    """A maximal matching in stream order, or by descending weight (at least half of the best); the task holds the matched vertices."""
+    order = ["seq"] if weight is None else [F.desc(weight), "seq"]
 
-    def local(batches):
-        used, out, found = set(), [], []
-        for b in batches:
-            found += zip(*(b.column(i).to_pylist() for i in range(b.num_columns)), strict=True)
-        for *_, s, u, v in sorted(found):
-            if u not in used and v not in used:
-                used |= {u, v}
-                out.append((s, u, v))
-        yield edge_batch(out)
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        used: set[int] = set()
+        for seq, u, v in edge_chunks(batches):
+            out = []
+            for s, a, b in zip(seq.tolist(), u.tolist(), v.tolist(), strict=True):
+                if a not in used and b not in used:
+                    used |= {a, b}
+                    out.append((s, a, b))
+            yield kept_batch(out)
 
-    return rows.repartition(1).mapInArrow(local, EDGE)
+    return edges.repartition(1).sortWithinPartitions(*order).select("seq", "u", "v").mapInArrow(local, EDGE)
 
 
 def greedy_spanner(edges: DataFrame, t: int) -> DataFrame:
-    """Edges, in stream order, whose ends are not yet within distance t: distances grow t-fold at most."""
+    """Edges, in stream order, whose ends are not yet within distance t: distances grow t-fold at most. The task holds the spanner."""
 
-    def local(batches):
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         g: dict[int, set[int]] = {}
-        out = []
-        for s, u, v in edge_rows(batches):
-            near, front = {u}, {u}
-            for _ in range(t):
-                front = {y for x in front for y in g.get(x, ())} - near
-                near |= front
-                if v in near or not front:
-                    break
-            if v not in near:
-                out.append((s, u, v))
-                g.setdefault(u, set()).add(v)
-                g.setdefault(v, set()).add(u)
-        yield edge_batch(out)
-
-    return edges.select("seq", "u", "v").repartition(1).mapInArrow(local, EDGE)
+        for seq, us, vs in edge_chunks(batches):
+            out = []
+            for s, u, v in zip(seq.tolist(), us.tolist(), vs.tolist(), strict=True):
+                near, front = {u}, {u}
+                for _ in range(t):
+                    front = {y for x in front for y in g.get(x, ())} - near
+                    near |= front
+                    if v in near or not front:
+                        break
+                if v not in near:
+                    out.append((s, u, v))
+                    g.setdefault(u, set()).add(v)
+                    g.setdefault(v, set()).add(u)
+            yield kept_batch(out)
+
+    return in_order(edges, 1).mapInArrow(local, EDGE)
+
+
+def spanner_distances(spanner: DataFrame, vertices: DataFrame, sources: DataFrame) -> DataFrame:
+    """(source, id, distance) in the spanner, from each id of `sources`: at least the graph's distance, at most t times it."""
+    g = shared_graph(spanner, vertices)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for x in b.column(0).to_pylist():
+                found = distances_from(g.value, x)
+                yield pa.RecordBatch.from_arrays([pa.array([x] * len(found), pa.int64()), pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.int32())], names=["source", "id", "distance"])
+
+    return spread(sources.select(sources.columns[0])).mapInArrow(run, "source long, id long, distance int")
+
+
+def spanner_report(edges: DataFrame, spanner: DataFrame, vertices: DataFrame, t: int) -> DataFrame:
+    """One row: bounds of the graph's diameter (of its widest component) and girth from a t-spanner, null without cycles.
+
+    Every distance in the spanner is between one and t times the graph's. An edge that the spanner left out closes a cycle of at most
+    t + 1 edges; if it left out none, the girths are equal.
+    """
+    g = shared_graph(spanner, vertices)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            wide, cycles = [], []
+            for x in b.column(0).to_pylist():
+                found, up = {x: 0}, {x: None}
+                todo, shortest = [x], None
+                for y in todo:
+                    for z in g.value[y]:
+                        if z not in found:
+                            found[z], up[z] = found[y] + 1, y
+                            todo.append(z)
+                        elif up[y] != z and (shortest is None or found[y] + found[z] + 1 < shortest):
+                            shortest = found[y] + found[z] + 1
+                wide.append(found[todo[-1]])
+                cycles.append(shortest)
+            yield pa.RecordBatch.from_arrays([pa.array(wide, pa.int32()), pa.array(cycles, pa.int32())], names=["far", "cycle"])
+
+    seen = spread(vertices.select("id")).mapInArrow(run, "far int, cycle int").agg(F.max("far").alias("far"), F.min("cycle").alias("cycle"))
+    left_out = edges.agg(F.count(F.lit(1)).alias("m")).join(spanner.agg(F.count(F.lit(1)).alias("kept"))).select((F.col("m") > F.col("kept")).alias("thinned"))
+    rows = seen.join(left_out)
+    exact = ~F.col("thinned")
+    return rows.select(
+        F.ceil(F.col("far") / t).cast("int").alias("diameter_least"),
+        F.col("far").alias("diameter_most"),
+        F.when(exact, F.col("cycle")).otherwise(3).alias("girth_least"),
+        F.when(exact, F.col("cycle")).otherwise(F.least("cycle", F.lit(t + 1))).alias("girth_most"),
+    )
 
 
 def one_pass_connectivity(edges: DataFrame) -> tuple[DataFrame, DataFrame]:

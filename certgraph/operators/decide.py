@@ -5,33 +5,36 @@ from __future__ import annotations
 from collections.abc import Iterator
 from math import comb
 
+import numpy as np
 import pyarrow as pa
 from pyspark import Broadcast
 from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
-from certgraph.functions.graph_kernels import Graph, PathFlow, connectivity_check, graph_of, minimum_cuts
+from certgraph.functions.graph_kernels import Graph, PackedGraph, PathFlow, connectivity_check, minimum_cuts
 from certgraph.operators.edges import vertex_set
 from certgraph.operators.layered import layered_certificate
 from certgraph.operators.online import online_certificate
+from certgraph.plans.staging import Stages
 from certgraph.schemas import PAIR, VERDICT
 
-#: Most edges and vertices that are broadcast as a whole graph.
-MOST_BROADCAST = 20_000_000
+#: Bytes of the largest graph that is broadcast, as arrays.
+MOST_BROADCAST = 1 << 30
 
 
 def shared_graph(cert: DataFrame, vertices: DataFrame) -> Broadcast:
-    """The certificate as a broadcast adjacency, if it is small enough to be one."""
-    e, v = cert.select("u", "v").limit(MOST_BROADCAST + 1).toArrow(), vertices.select("id").limit(MOST_BROADCAST + 1).toArrow()
-    if max(e.num_rows, v.num_rows) > MOST_BROADCAST:
-        raise ValueError("the certificate is too large to broadcast; use components for k = 1")
-    g = graph_of(zip(e.column("u").to_pylist(), e.column("v").to_pylist(), strict=True), v.column("id").to_pylist())
-    return cert.sparkSession.sparkContext.broadcast(g)
+    """The certificate as broadcast arrays, if these are small enough."""
+    e, v = cert.select("u", "v"), vertices.select("id")
+    n, m = v.count(), e.count()
+    if PackedGraph.bytes_of(m, n) > MOST_BROADCAST:
+        raise ValueError(f"{m} edges and {n} vertices are too many to broadcast; use components for k = 1")
+    e, v = e.toArrow(), v.toArrow()
+    return cert.sparkSession.sparkContext.broadcast(PackedGraph(e.column("u").to_numpy(), e.column("v").to_numpy(), v.column("id").to_numpy()))
 
 
-def local_connectivity_pairs(cert: DataFrame, vertices: DataFrame, pairs: DataFrame, cap: int) -> DataFrame:
+def local_connectivity_pairs(cert: DataFrame, vertices: DataFrame, pairs: DataFrame, cap: int, shared: Broadcast | None = None) -> DataFrame:
     """(u, v, kappa): node-disjoint paths between each pair, counted up to cap."""
-    g = shared_graph(cert, vertices)
+    g = shared or shared_graph(cert, vertices)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -46,10 +49,26 @@ def spread(rows: DataFrame) -> DataFrame:
     return rows.repartition(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
 
+#: Pairs of vertices that are gone through one by one.
+MOST_PAIRS = 2_000_000_000
+
+
 def all_pairs(vertices: DataFrame) -> DataFrame:
-    """Every unordered pair; for small vertex sets."""
-    a, b = vertices.select(F.col("id").alias("u")), vertices.select(F.col("id").alias("v"))
-    return a.join(b, F.col("u") < F.col("v"))
+    """Every unordered pair u < v, made from its number; no join of the vertices with themselves."""
+    spark, n = vertices.sparkSession, vertices.count()
+    if comb(n, 2) > MOST_PAIRS:
+        raise ValueError(f"{n} vertices have too many pairs to go through")
+    order = spark.sparkContext.broadcast(np.sort(vertices.select("id").toArrow().column("id").to_numpy()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            r = b.column(0).to_numpy()
+            j = ((1 + np.sqrt(1 + 8 * r.astype(float))) / 2).astype(np.int64)
+            j -= j * (j - 1) // 2 > r
+            j += j * (j + 1) // 2 <= r
+            yield pa.RecordBatch.from_arrays([pa.array(order.value[r - j * (j - 1) // 2]), pa.array(order.value[j])], names=["u", "v"])
+
+    return spark.range(comb(n, 2)).mapInArrow(run, "u long, v long")
 
 
 def local_connectivity(cert: DataFrame, vertices: DataFrame, u: int, v: int, cap: int) -> int:
@@ -71,11 +90,12 @@ def all_min_cuts(cert: DataFrame, vertices: DataFrame, u: int, v: int, cap: int)
     return minimum_cuts(shared_graph(cert, vertices).value, u, v, cap)
 
 
-def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:
+def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int, shared: Broadcast | None = None) -> DataFrame:
     """One row (k, verdict, reason, witness) from a certificate for at least k.
 
     Too few vertices and low degrees are settled by aggregates. Then the first k vertices are compared pairwise and each further
-    one with all before it; these checks run in parallel, and one failure settles the verdict.
+    one with all before it; these checks run in parallel, and one failure settles the verdict. `cert` is read more than once, so it
+    should be a stored table; `shared` is its broadcast where there is one already.
     """
     spark = cert.sparkSession
 
@@ -89,12 +109,11 @@ def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:
     low = degree.filter(F.col("d") < k).agg(F.min("id").alias("id")).first()
     if low.id is not None:
         return verdict(False, "low_degree", [low.id])
-    g = shared_graph(cert, vertices)
-    order = spark.sparkContext.broadcast(sorted(g.value))
+    g = shared or shared_graph(cert, vertices)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            bad = [p for r in b.column(0).to_pylist() if (p := connectivity_check(g.value, order.value, k, r))]
+            bad = [(int(p[0]), int(p[1])) for r in b.column(0).to_pylist() if (p := connectivity_check(g.value, g.value.ids, k, r))]
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in bad], pa.int64()), pa.array([y for _, y in bad], pa.int64())], names=["u", "v"])
 
     failed = spread(spark.range(comb(k, 2) + n - k).select("id")).mapInArrow(run, "u long, v long").limit(1).collect()
@@ -102,14 +121,16 @@ def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:
 
 
 def certificate_for(edges: DataFrame, k: int, via: str, vertices: DataFrame | None = None) -> DataFrame:
-    """The graph's edges as they are ("full"), or one of its certificates."""
+    """The graph's edges as they are ("full"), or one of its certificates, as a stored table."""
     if via == "full":
         return edges
     if via == "layered":
         return layered_certificate(edges, k, vertices)
     if via == "layered_merge":
-        return layered_certificate(edges, k, mode="merge")
-    return online_certificate(edges, k, {"online": "exact", "online_rounds": "rounds", "online_merge": "merge"}[via])
+        cert = layered_certificate(edges, k, mode="merge")
+    else:
+        cert = online_certificate(edges, k, {"online": "exact", "online_rounds": "rounds", "online_merge": "merge"}[via])
+    return Stages(edges.sparkSession, "certificate").keep(cert, via)
 
 
 def k_connected(edges: DataFrame, k: int, via: str = "layered", vertices: DataFrame | None = None) -> DataFrame:
@@ -119,13 +140,13 @@ def k_connected(edges: DataFrame, k: int, via: str = "layered", vertices: DataFr
 
 def vertex_connectivity(edges: DataFrame, k_max: int, via: str = "layered", vertices: DataFrame | None = None) -> int:
     """Largest k up to k_max for which the graph is k-connected, by bisection on one certificate."""
-    vertices = (vertex_set(edges) if vertices is None else vertices).cache()
-    cert = certificate_for(edges, k_max, via, vertices).cache()
+    vertices = Stages(edges.sparkSession, "vertices").keep(vertex_set(edges) if vertices is None else vertices.select("id"), "vertices")
+    cert = certificate_for(edges, k_max, via, vertices)
+    shared = shared_graph(cert, vertices)
     low, high = 0, k_max
     while low < high:
         mid = (low + high + 1) // 2
-        row: Row = is_k_connected(cert, vertices, mid).first()
+        row: Row = is_k_connected(cert, vertices, mid, shared).first()
         low, high = (mid, high) if row.verdict else (low, mid - 1)
-    cert.unpersist()
-    vertices.unpersist()
+    shared.unpersist()
     return low

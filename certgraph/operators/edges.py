@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column, DataFrame
+from py4j.protocol import Py4JJavaError
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -26,12 +27,15 @@ def dense_numbers(df: DataFrame, order_by: Sequence[str | Column], name: str, fi
     return placed.join(F.broadcast(starts), "_part").withColumn(name, F.col("_start") + F.col("_at") + first).drop("_part", "_at", "_start")
 
 
-def canonical_edges(df: DataFrame, src: str, dst: str, order_by: Sequence[str]) -> DataFrame:
+def canonical_edges(df: DataFrame, src: str, dst: str, order_by: Sequence[str], directed: bool = False, symmetrise: bool = False) -> DataFrame:
     """Simple undirected graph edges(seq, u, v) of a two-column table: u < v, each pair once, at its first occurrence.
 
     Loops and rows with a null end are dropped. `seq` numbers the kept edges 1, 2, ... in stream order; `order_by` must be
-    a total order of the rows, up to rows that stand for the same edge.
+    a total order of the rows, up to rows that stand for the same edge. Rows whose direction means something (`directed`) are refused,
+    as no method here answers for directed paths, unless `symmetrise` says to forget it.
     """
+    if directed and not symmetrise:
+        raise ValueError("directed edges: connectivity along directions cannot be decided in a bounded number of passes; pass symmetrise=True to forget them")
     ends = df.select(F.col(src).cast("long").alias("a"), F.col(dst).cast("long").alias("b"), F.struct(*order_by).alias("o")).filter("a IS NOT NULL AND b IS NOT NULL AND a <> b")
     pairs = ends.groupBy(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).agg(F.min("o").alias("o"))
     return dense_numbers(pairs, ["o", "u", "v"], "seq").select("seq", "u", "v")
@@ -90,21 +94,35 @@ def in_layer(edges: DataFrame, positions: DataFrame, forest: DataFrame) -> DataF
 
 
 class EdgeStream:
-    """An edge table read in passes, one direction, in an order; counts the passes."""
+    """An edge table read in passes, one direction, in an order; counts the rows that each pass does read."""
 
     def __init__(self, edges: DataFrame, order: str = "seq"):
-        self.edges, self.order, self.labels = edges, order, []
+        self.edges, self.order = edges, order
+        self._seen: list[Observation] = []
+
+    def open_pass(self, edges: DataFrame | None = None) -> DataFrame:
+        """The edges, or what is left of them, as the next pass reads them; the plan that uses it must run."""
+        seen = Observation()
+        self._seen.append(seen)
+        return (self.edges if edges is None else edges).observe(seen, F.count(F.lit(1)).alias("rows"))
+
+    def sorted_pass(self, partitions: int) -> DataFrame:
+        return self.open_pass().repartitionByRange(partitions, self.order).sortWithinPartitions(self.order)
+
+    def reads(self) -> list[int]:
+        """Rows read by each pass so far; none by a plan that turned out to be empty before it was run."""
+        return [_observed(seen) for seen in self._seen]
 
     @property
     def passes(self) -> int:
-        return len(self.labels)
+        return len(self.reads())
 
-    def open_pass(self, label: str) -> DataFrame:
-        self.labels.append(label)
-        return self.edges
 
-    def sorted_pass(self, label: str, partitions: int) -> DataFrame:
-        return self.open_pass(label).repartitionByRange(partitions, self.order).sortWithinPartitions(self.order)
+def _observed(seen: Observation) -> int:
+    try:
+        return int(seen.get["rows"])
+    except Py4JJavaError:  # no row to report, as the plan was replaced by an empty one
+        return 0
 
 
 def reordered(edges: DataFrame, rule: str, seed: int = 1) -> DataFrame:

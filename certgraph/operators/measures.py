@@ -11,14 +11,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from certgraph.functions.graph_kernels import OnlineCertificate
+from certgraph.functions.graph_kernels import OnlineCertificate, check_flow
 from certgraph.operators.components import component_labels
 from certgraph.operators.decide import all_pairs, certificate_for, is_k_connected, local_connectivity_pairs, shared_graph, spread
 from certgraph.operators.edges import remove_vertices, vertex_set
-from certgraph.operators.forest import edge_rows, oriented
+from certgraph.operators.forest import edge_chunks, fold_words, in_order, oriented
 from certgraph.operators.layered import LayeredRun, layered_run
 from certgraph.operators.online import online_rounds
 from certgraph.operators.separators import separators
+from certgraph.plans.staging import Stages
 
 
 def certificate_stats(edges: DataFrame, cert: DataFrame, k: int, vertices: DataFrame | None = None) -> DataFrame:
@@ -46,16 +47,17 @@ def online_work(edges: DataFrame, k: int) -> DataFrame:
     """Per edge of the exact online method: flows run, arcs visited, whether it was kept, and words held after it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c, out = OnlineCertificate(k), []
-        for e in edge_rows(batches):
-            f, a = c.flows, c.arcs
-            kept = c.offer(e)
-            out.append((e[0], c.flows - f, c.arcs - a, kept, 2 * len(c.kept) + 2 * len(c.g)))
-        cols = zip(*out, strict=True) if out else ([],) * 5
+        c = OnlineCertificate(k)
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(cols, kinds, strict=True)], names=["seq", "flows", "arcs", "kept", "words"])
+        for seq, u, v in edge_chunks(batches):
+            out = []
+            for e in zip(seq.tolist(), u.tolist(), v.tolist(), strict=True):
+                f, a = c.flows, c.arcs
+                kept = c.offer(e)
+                out.append((e[0], c.flows - f, c.arcs - a, kept, 5 * len(c.kept) + len(c.g)))  # each edge once as a row and at both ends
+            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["seq", "flows", "arcs", "kept", "words"])
 
-    return edges.select("seq", "u", "v").repartition(1).mapInArrow(run, "seq long, flows long, arcs long, kept boolean, words long")
+    return in_order(edges, 1).mapInArrow(run, "seq long, flows long, arcs long, kept boolean, words long")
 
 
 def work_summary(work: DataFrame) -> DataFrame:
@@ -63,6 +65,72 @@ def work_summary(work: DataFrame) -> DataFrame:
     return work.agg(F.avg("flows").alias("mean_flows"), F.max("flows").alias("max_flows"), F.avg("arcs").alias("mean_arcs"), F.percentile_approx("arcs", 0.99).alias("p99_arcs"), F.max("arcs").alias("max_arcs"), F.max("words").alias("peak_words"), F.sum(F.col("kept").cast("long")).alias("kept"))
 
 
+def layered_work(run: LayeredRun) -> DataFrame:
+    """One row: tests of an edge for membership in finished layers, over all passes, mean and most for one edge, and most in one pass.
+
+    In pass p an edge meets the layers up to p - 2, in order, until one holds it; here rows are filed by their fate instead, so
+    this is what an edge-at-a-time reading of the same run would cost.
+    """
+    k = len(run.forests)
+    tests = lambda layer: sum(min(layer, p - 2) for p in range(2, k + 2))
+    kept = run.edges.select("seq").join(run.certificate.select("seq", "layer"), "seq", "left")
+    cost = F.lit(tests(k))
+    for i in range(1, k + 1):
+        cost = F.when(F.col("layer") == i, F.lit(tests(i))).otherwise(cost)
+    return kept.select(cost.alias("tests")).agg(F.avg("tests").alias("mean_tests"), F.max("tests").alias("most_tests")).withColumn("most_in_a_pass", F.lit(k - 1))
+
+
+def decision_work(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:
+    """One row: checks of the decision, searches for paths and arcs that they look at, beside the bound of the best known routine."""
+    g, n = shared_graph(cert, vertices), vertices.count()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            flows = [check_flow(g.value, g.value.ids, k, r) for r in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([f.searches for f in flows], pa.int64()), pa.array([f.arcs for f in flows], pa.int64()), pa.array([f.value >= k for f in flows], pa.bool_())], names=["searches", "arcs", "passed"])
+
+    rows = max(0, math.comb(k, 2) + n - k) if n > k else 0
+    done = spread(cert.sparkSession.range(rows)).mapInArrow(run, "searches long, arcs long, passed boolean")
+    return done.agg(F.count(F.lit(1)).alias("checks"), F.coalesce(F.sum("searches"), F.lit(0)).alias("searches"), F.coalesce(F.sum("arcs"), F.lit(0)).alias("arcs"), F.coalesce(F.every("passed"), F.lit(False)).alias("all_passed")).withColumn("cited_bound", F.lit(cited_bound(n, k)))
+
+
+class SparkCost:
+    """What Spark did within a `with` block: seconds, tasks, rows and bytes read, shuffled and spilled."""
+
+    FIELDS = ("tasks", "rows_read", "mb_read", "mb_shuffled", "mb_spilled")
+
+    def __init__(self, spark: SparkSession):
+        self.spark = spark
+
+    def _stages(self) -> dict[tuple[int, int], tuple[float, ...]]:
+        sc = self.spark.sparkContext
+        jvm = sc._jvm
+        found = sc._jsc.sc().statusStore().stageList(jvm.java.util.ArrayList(), False, False, sc._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+        return {(s.stageId(), s.attemptId()): (s.numCompleteTasks(), s.inputRecords(), s.inputBytes() / 1e6, s.shuffleWriteBytes() / 1e6, s.diskBytesSpilled() / 1e6) for s in (found.apply(i) for i in range(found.size()))}
+
+    def __enter__(self) -> SparkCost:
+        self.before, self.began = self._stages(), time.time()
+        return self
+
+    def __exit__(self, *_) -> None:
+        self.seconds = time.time() - self.began
+        new = [v for k, v in self._stages().items() if k not in self.before]
+        self.tasks, self.rows_read, self.mb_read, self.mb_shuffled, self.mb_spilled = (sum(x) for x in zip(*new, strict=True)) if new else (0,) * 5
+
+
+def peak_words(edges: DataFrame, k: int) -> DataFrame:
+    """(method, n, m, words): the most words that a task held while it read the edges, metered in the task.
+
+    "online": the certificate, as rows and as sets of neighbours. "layered": one instance's disjoint sets, with the order, its
+    inverse and a stored parent for each layer beside them.
+    """
+    vertices = vertex_set(edges).count()
+    m = edges.count()
+    online = online_work(edges, k).agg(F.max("words").alias("words")).select(F.lit("online").alias("method"), "words")
+    layered = fold_words(edges).agg((F.max("words") + F.lit(3 * k * vertices)).alias("words")).select(F.lit("layered").alias("method"), "words")
+    return online.unionByName(layered).select("method", F.lit(vertices).cast("long").alias("n"), F.lit(m).cast("long").alias("m"), "words")
+
+
 def layered_words(n: int, k: int) -> int:
     """Words that the layered method holds: order, inverse and one stored parent for each layer, and the live disjoint sets."""
     return k * 3 * n + 2 * n
@@ -85,13 +153,13 @@ def cited_bound(n: int, k: int) -> float:
 
 def agreement(edges: DataFrame, k: int, methods: tuple[str, ...] = ("layered", "layered_merge", "online_rounds", "online_merge")) -> DataFrame:
     """(k, method, verdict, agrees): the verdict from each certificate beside that from the full graph."""
-    spark, vertices = edges.sparkSession, vertex_set(edges).cache()
+    spark = edges.sparkSession
+    vertices = Stages(spark, "agreement").keep(vertex_set(edges), "vertices")
     truth = is_k_connected(edges, vertices, k).first().verdict
     rows = []
     for m in methods:
         got = is_k_connected(certificate_for(edges, k, m, vertices), vertices, k).first().verdict
         rows.append((k, m, got, got == truth))
-    vertices.unpersist()
     return spark.createDataFrame(rows, "k int, method string, verdict boolean, agrees boolean")
 
 
@@ -179,26 +247,31 @@ def forest_faults(run: LayeredRun) -> DataFrame:
 
 
 def timed_sweep(spark: SparkSession, graphs: dict[str, DataFrame], ks: tuple[int, ...], methods: tuple[str, ...]) -> DataFrame:
-    """(workload, method, k, n, m, cert_rows, passes, seconds) for each combination."""
+    """(workload, method, k, n, m, cert_rows, passes, rows_read, mb_shuffled, seconds) for each combination.
+
+    `passes` are the reads that the layered run counted as they happened, the rounds of "online_rounds", and one for methods that
+    read the stream once; `rows_read` and `mb_shuffled` are what Spark itself counted, intermediate tables included.
+    """
     rows = []
     for name, edges in graphs.items():
-        edges = edges.cache()
-        m, n = edges.count(), vertex_set(edges).count()
+        st = Stages(spark, "sweep")
+        edges = st.keep(edges, name)
+        vertices = st.keep(vertex_set(edges), "vertices")
+        m, n = edges.count(), vertices.count()
         for k in ks:
             for method in methods:
-                began = time.time()
                 passes = 1
-                if method == "layered":
-                    run = layered_run(edges, k)
-                    cert, passes = run.certificate, run.passes
-                elif method == "online_rounds":
-                    cert, passes = online_rounds(edges, k)
-                else:
-                    cert = certificate_for(edges, k, method)
-                c = cert.count()
-                rows.append((name, method, k, n, m, c, passes, time.time() - began))
-        edges.unpersist()
-    return spark.createDataFrame(rows, "workload string, method string, k int, n long, m long, cert_rows long, passes int, seconds double")
+                with SparkCost(spark) as cost:
+                    if method == "layered":
+                        run = layered_run(edges, k, vertices)
+                        cert, passes = run.certificate, run.passes
+                    elif method == "online_rounds":
+                        cert, passes = online_rounds(edges, k)
+                    else:
+                        cert = certificate_for(edges, k, method, vertices)
+                    c = cert.count()
+                rows.append((name, method, k, n, m, c, passes, int(cost.rows_read), float(cost.mb_shuffled), cost.seconds))
+    return spark.createDataFrame(rows, "workload string, method string, k int, n long, m long, cert_rows long, passes int, rows_read long, mb_shuffled double, seconds double")
 
 
 def sweep_report(sweep: DataFrame) -> DataFrame:

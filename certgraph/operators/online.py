@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from certgraph.functions.graph_kernels import OnlineCertificate
-from certgraph.operators.forest import edge_batch, edge_rows, merge_tree
+from certgraph.functions.graph_kernels import LayeredFold, OnlineCertificate
+from certgraph.operators.forest import edge_batch, edge_chunks, in_order, merge_tree
 from certgraph.plans.staging import Stages
 from certgraph.schemas import EDGE
 
@@ -15,12 +17,32 @@ from certgraph.schemas import EDGE
 HEAD = 2000
 
 
+def kept_batch(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
+    return edge_batch(*(zip(*rows, strict=True) if rows else ((), (), ())))
+
+
 def _folded(k: int):
-    def local(batches):
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = OnlineCertificate(k)
-        for e in edge_rows(batches):
+        for seq, u, v in edge_chunks(batches):
+            before = len(c.kept)
+            for e in zip(seq.tolist(), u.tolist(), v.tolist(), strict=True):
+                c.offer(e)
+            yield kept_batch(c.kept[before:])
+
+    return local
+
+
+def _thinned_and_folded(k: int):
+    """The online certificate of the layered certificate of a part: a certificate of a certificate is one of the part."""
+
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        thin, c = LayeredFold(k), OnlineCertificate(k)
+        for chunk in edge_chunks(batches):
+            thin.offer(*chunk)
+        for e in sorted(zip(*(x.tolist() for x in thin.settle()[0]), strict=True)):
             c.offer(e)
-        yield edge_batch(c.kept)
+        yield kept_batch(c.kept)
 
     return local
 
@@ -28,17 +50,18 @@ def _folded(k: int):
 def online_certificate(edges: DataFrame, k: int, mode: str = "exact", head: int = HEAD, fan_in: int = 8) -> DataFrame:
     """(seq, u, v) of at most 2kn edges, k-connected iff the graph is.
 
-    "exact": one pass, in stream order, in one task, since each decision depends on all before it; only the certificate is
-    held. "rounds": the same rows, mostly in parallel: fold a head of the stream in order, then let all tasks drop every later
+    "exact": one pass, in stream order, in one task, since each decision depends on all before it; the task holds the certificate
+    and a chunk of arrays. "rounds": the same rows, mostly in parallel: fold a head of the stream in order, then let all tasks drop every later
     edge whose ends already have k paths (the certificate only grows, so it would be rejected on arrival), and go on with
-    the rest. "merge": one pass in parallel; partitions are certified apart and unions again, a certificate but other rows.
+    the rest. "merge": one pass in parallel; parts are certified apart and unions again, a certificate but other rows. A part is
+    first thinned to k scan-first forests, which takes no searches for paths; a task holds O(kn) edges and a chunk.
     """
     if k < 1:
         raise ValueError("k must be at least 1")
     if mode == "exact":
-        return edges.select("seq", "u", "v").repartition(1).mapInArrow(_folded(k), EDGE)
+        return in_order(edges, 1).mapInArrow(_folded(k), EDGE)
     if mode == "merge":
-        return merge_tree(edges, _folded(k), fan_in=fan_in)
+        return merge_tree(edges, _thinned_and_folded(k), fan_in=fan_in)
     if mode != "rounds":
         raise ValueError("mode must be exact, rounds or merge")
     return online_rounds(edges, k, head)[0]
@@ -69,7 +92,7 @@ def online_rounds(edges: DataFrame, k: int, head: int = HEAD) -> tuple[DataFrame
         nxt = st.keep(left.filter(F.col("seq") > last).mapInArrow(undecided, EDGE), "left")
         st.drop(left)
         left = nxt
-    return spark.createDataFrame(pa.Table.from_batches([edge_batch(state.kept)])), rounds
+    return spark.createDataFrame(pa.Table.from_batches([kept_batch(state.kept)])), rounds
 
 
 def certificate_at(edges: DataFrame, k: int, upto_seq: int) -> DataFrame:

@@ -7,6 +7,7 @@ from functools import reduce
 from math import comb
 
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,7 +30,7 @@ def separates(cert: DataFrame, vertices: DataFrame, members: list[int]) -> tuple
     return pieces > component_count(g), pieces
 
 
-def separators(cert: DataFrame, vertices: DataFrame, size: int, layers: int | None = None, minimal: bool = False, limit: int | None = None) -> DataFrame:
+def separators(cert: DataFrame, vertices: DataFrame, size: int, layers: int | None = None, minimal: bool = False, limit: int | None = None, shared: Broadcast | None = None) -> DataFrame:
     """(l, members ascending, pieces): all sets of `size` vertices without which there are more components.
 
     Each set of one vertex fewer is one work item: a single low-link search tells for every further vertex how many pieces
@@ -39,15 +40,14 @@ def separators(cert: DataFrame, vertices: DataFrame, size: int, layers: int | No
     """
     _require(cert, size, layers)
     spark = cert.sparkSession
-    g = shared_graph(cert, vertices)
-    order = spark.sparkContext.broadcast(sorted(g.value))
+    g = shared or shared_graph(cert, vertices)
     whole = component_count(g.value)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             members, pieces = [], []
             for index in b.column(0).to_pylist():
-                chosen = tuple(order.value[i] for i in nth_combination(len(order.value), size - 1, index))
+                chosen = tuple(int(g.value.ids[i]) for i in nth_combination(len(g.value), size - 1, index))
                 _, left = pieces_without_each_vertex(g.value, set(chosen))
                 least = chosen[-1] if chosen else None
                 for v in sorted(left):
@@ -56,10 +56,10 @@ def separators(cert: DataFrame, vertices: DataFrame, size: int, layers: int | No
                         pieces.append(left[v])
             yield pa.RecordBatch.from_arrays([pa.array([size] * len(pieces), pa.int32()), pa.array(members, pa.list_(pa.int64())), pa.array(pieces, pa.int32())], names=["l", "members", "pieces"])
 
-    found = spread(spark.range(comb(len(order.value), size - 1)).select("id")).mapInArrow(run, SEPARATOR)
+    found = spread(spark.range(comb(len(g.value), size - 1)).select("id")).mapInArrow(run, SEPARATOR)
     if minimal:
         for smaller in range(1, size):
-            less = separators(cert, vertices, smaller, layers).select(F.col("members").alias("_less"), F.col("_less")[0].alias("_key"))
+            less = separators(cert, vertices, smaller, layers, shared=g).select(F.col("members").alias("_less"), F.col("_less")[0].alias("_key"))
             hit = found.withColumn("_x", F.explode("members")).join(less, F.col("_x") == F.col("_key")).filter(F.size(F.array_except("_less", "members")) == 0).select("members").distinct()
             found = found.join(hit, "members", "left_anti").select("l", "members", "pieces")
     return found if limit is None else found.limit(limit)
@@ -67,7 +67,8 @@ def separators(cert: DataFrame, vertices: DataFrame, size: int, layers: int | No
 
 def all_separators(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:
     """Separators of every size below k."""
-    return reduce(DataFrame.unionByName, (separators(cert, vertices, size, k) for size in range(1, k)))
+    g = shared_graph(cert, vertices)
+    return reduce(DataFrame.unionByName, (separators(cert, vertices, size, k, shared=g) for size in range(1, k)))
 
 
 def minimum_separators(cert: DataFrame, vertices: DataFrame, k: int) -> DataFrame:

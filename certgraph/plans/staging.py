@@ -56,11 +56,12 @@ class Stages:
         self._n += 1
         return f"{self.root}/{self._n:03d}-{label}"
 
-    def keep(self, df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
-        """Write `df`, release the shuffle files behind it, and return the written table."""
+    def keep(self, df: DataFrame, label: str, compression: str = "zstd", by: str | None = None) -> DataFrame:
+        """Write `df`, release the shuffle files behind it, and return the written table; `by` files its rows by a column's values."""
         at = self.path(label)
         with writing_settings(self.spark):
-            df.write.option("compression", compression).parquet(at)
+            writer = df.write.option("compression", compression)
+            (writer if by is None else writer.partitionBy(by)).parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out._certgraph_path = at
         return out

@@ -3,6 +3,7 @@
 import random
 from itertools import combinations
 
+import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -51,14 +52,14 @@ def test_paths_and_cuts(data):
 
 
 @settings(max_examples=120, deadline=None)
-@given(graphs(7), st.integers(1, 4))
+@given(graphs(8), st.integers(1, 6))
 def test_certificates_keep_verdicts_separators_and_components(data, k):
     n, edges = data
     g = K.graph_of([(u, v) for _, u, v in edges], range(n))
     online = K.OnlineCertificate(k)
     for e in edges:
         online.offer(e)
-    layers = K.layered_rows(edges, k, range(n))
+    layers = K.layered_rows(edges, k)
     assert len(online.kept) <= 2 * k * n and len(layers) <= k * max(0, n - 1)
     for kept in ([(u, v) for _, u, v in online.kept], [(u, v) for _, u, v, _ in layers]):
         c = K.graph_of(kept, range(n))
@@ -70,6 +71,69 @@ def test_certificates_keep_verdicts_separators_and_components(data, k):
                 assert K.component_count(c, set(gone)) == K.component_count(g, set(gone))
 
 
+@settings(max_examples=80, deadline=None)
+@given(graphs(9), st.integers(1, 5))
+def test_folds_in_chunks_equal_plain_scans(data, chunk):
+    n, edges = data
+    plain, dense = K.ForestFold(), K.ForestFold(n)
+    kept = []
+    for i in range(0, len(edges), chunk):
+        seq, u, v = (np.array(x) for x in zip(*edges[i : i + chunk], strict=True))
+        keep = plain.offer(seq, u * 10 - 7, v * 10 - 7)
+        assert keep.tolist() == dense.offer(seq, u, v).tolist()
+        kept += [e for e, k in zip(edges[i : i + chunk], keep, strict=True) if k]
+    assert kept == K.kept_edges(edges)
+    assert dense.odd == K.odd_cycle_edge(edges) and dense.words == 2 * n
+    z = K.graph_of([(u, v) for _, u, v in kept], range(n))
+    place, root, depth = K.preorder_arrays(n, np.array([u for _, u, v in kept], dtype=int), np.array([v for _, u, v in kept], dtype=int))
+    want = K.preorder(z)
+    assert [(int(x), int(root[x])) for x in np.argsort(place)] == want
+    assert all(depth[x] == K.distances_from(z, r)[x] for x, r in want)
+
+
+@settings(max_examples=60, deadline=None)
+@given(graphs(9), st.integers(1, 4))
+def test_layers_are_first_neighbour_forests(data, k):
+    n, edges = data
+    left, want = list(edges), []
+    for layer in range(1, k + 1):
+        z = K.graph_of([(u, v) for _, u, v in K.kept_edges(left)], range(n))
+        position = {x: i for i, (x, _) in enumerate(K.preorder(z))}
+        taken = {s for _, s in K.first_neighbours(left, position).values()}
+        want += [(s, u, v, layer) for s, u, v in left if s in taken]
+        left = [e for e in left if e[0] not in taken]
+    assert K.layered_rows(edges, k) == sorted(want)
+
+
+def test_a_chunked_certificate_keeps_separators(monkeypatch):
+    monkeypatch.setattr(K, "CHUNK", 3)
+    rng = random.Random(8)
+    for _ in range(40):
+        n, k = rng.randint(4, 8), rng.randint(1, 4)
+        edges = [(i, u, v) for i, (u, v) in enumerate(combinations(range(n), 2), 1) if rng.random() < 0.6]
+        fold = K.LayeredFold(k)
+        for i in range(0, len(edges), 2):
+            fold.offer(*(np.array(x) for x in zip(*edges[i : i + 2], strict=True)))
+        (_, u, v), layer = fold.settle()
+        g, c = K.graph_of([e[1:] for e in edges], range(n)), K.graph_of(zip(u.tolist(), v.tolist(), strict=True), range(n))
+        assert len(layer) <= k * (n - 1)
+        for size in range(1, k):
+            assert K.brute_separators(c, size) == K.brute_separators(g, size)
+
+
+def test_packed_graphs_answer_like_dicts(monkeypatch):
+    import pickle
+
+    monkeypatch.setattr(K.PackedGraph, "MOST_SETS", 2)
+    g = K.graph_of(known_graph("wheel", 6), [99])
+    u, v = (np.array(x) for x in zip(*known_graph("wheel", 6), strict=True))
+    p = pickle.loads(pickle.dumps(K.PackedGraph(u, v, np.array([99, 0]))))
+    assert list(p) == sorted(g) and {x: p[x] for x in p} == g and 98 not in p and len(p) == len(g)
+    assert K.component_count(p) == 2 and K.PathFlow(p, 1, 4, 9).value == 3
+    empty = K.PackedGraph(*(np.zeros(0, np.int64) for _ in range(3)))
+    assert len(empty) == 0 and K.component_count(empty) == 0
+
+
 def test_merging_certificates_is_safe():
     rng = random.Random(5)
     for _ in range(60):

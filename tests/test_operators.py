@@ -10,6 +10,7 @@ from certgraph.functions import graph_kernels as K
 from certgraph.operators import baselines, decide, layered, measures, online, separators
 from certgraph.operators.edges import EdgeStream, canonical_edges, decode_ids, encode_ids, in_layer, induced, remove_vertices, reordered, vertex_set
 from certgraph.operators.forest import check_scan_order, components, first_neighbour_forest, is_connected, min_spanning_forest, scan_first_forest, scan_order, spanning_forest
+from certgraph.plans.staging import Stages
 from certgraph.sources.workloads import WORKLOADS, known_edges, known_graph
 
 
@@ -119,10 +120,37 @@ def test_nested_schedule_equals_the_replay(spark):
         assert sorted((r.seq, r.layer) for r in got.collect()) == replay(edges, 3)
 
 
+@pytest.mark.parametrize("rule", ["preorder", "level"])
+def test_orders_by_rounds_equal_those_of_one_task(spark, rule):
+    rng = random.Random(3)
+    pairs = [(i, rng.randrange(i)) for i in range(1, 40) if i % 13]  # trees of mixed shape
+    pairs += [(50, x) for x in range(51, 60)]  # a star
+    pairs += [(x, x + 1) for x in range(60, 90)]  # a path
+    e = spark.createDataFrame([(i, min(p) * 3, max(p) * 3) for i, p in enumerate(pairs, 1)], "seq long, u long, v long")
+    v = vertex_set(e, spark.createDataFrame([(1000,), (-5,)], "id long"))
+    rows = lambda df: sorted((r.pos, r.id, r.comp) for r in df.collect())
+    assert rows(scan_order(e, v, rule, in_one_task=0)) == rows(scan_order(e, v, rule))
+
+
+def test_handing_on_in_stretches(spark, calls):
+    e, v = calls
+    order = Stages(spark, "t").keep(scan_order(spanning_forest(e), v), "order")
+    rows = lambda df: sorted((r.seq, r.u, r.v, r.handed) for r in df.collect())
+    whole = rows(layered.handed_edges(e, order))
+    assert len(whole) > 50 and rows(layered.handed_edges(e, order, stretch=7)) == whole
+    hub = spark.createDataFrame([(i, i, 500) for i in range(1, 60)] + [(100 + i, i, i + 1) for i in range(1, 59)], "seq long, u long, v long")
+    back = spark.createDataFrame([(x, 1, 60 - x) for x in range(1, 60)] + [(500, 1, 60)], "id long, comp long, pos long")
+    assert rows(layered.handed_edges(hub, back, stretch=7)) == rows(layered.handed_edges(hub, back))
+
+
 def test_layered_run_keeps_its_promises(spark, calls):
     e, v = calls
     run = layered.layered_run(e, 3, v)
+    m, sizes = e.count(), [f.count() for f in run.forests]
     assert run.passes == 4 and len(layered.pass_schedule(3)) == 4
+    assert run.reads == [m, m, m - sizes[0], m - sizes[0] - sizes[1]]  # as they happened
+    assert layered.layered_run(e, 3, v, feed="original", rule="level").passes == 4
+    assert layered.layered_run(e, 2, v, forest="boruvka").certificate.count() <= 2 * (v.count() - 1)
     assert measures.forest_faults(run).filter("n <> 0").count() == 0
     n = v.count()
     assert run.certificate.count() <= 3 * (n - 1)
@@ -258,10 +286,80 @@ def test_measures(spark, calls):
     assert measures.sweep_report(t).count() == 2 * 3 * 3
 
 
+def test_words_held_follow_vertices_not_edges(spark):
+    """Ten times the edges on the same vertices: forest folds hold as much as before, the online method what it keeps."""
+    rng = random.Random(6)
+    pairs = rng.sample(list(combinations(range(120), 2)), 4000)
+    few, many = (spark.createDataFrame([(i, *p) for i, p in enumerate(pairs[:m], 1)], "seq long, u long, v long").coalesce(1) for m in (400, 4000))
+    a, b = ({r.method: r.words for r in measures.peak_words(x, 2).collect()} for x in (few, many))
+    assert a["layered"] == b["layered"] == (4 + 6) * 120
+    assert b["online"] <= 5 * 2 * 2 * 120 + 120 and b["online"] < 2 * a["online"]
+
+
+def test_work_of_decisions_and_layers(spark, calls):
+    e, v = calls
+    run = layered.layered_run(e, 3, v)
+    w = measures.layered_work(run).first()
+    assert 0 < w.mean_tests <= w.most_tests <= 3 and w.most_in_a_pass == 2
+    cube = known_edges(spark, "cube", 3)
+    d = measures.decision_work(cube, vertex_set(cube), 3).first()
+    assert d.checks == 3 + 8 - 3 and d.searches >= d.checks and d.all_passed and d.cited_bound > 8
+
+
+def test_directed_edges_are_refused_or_made_plain(spark):
+    df = spark.createDataFrame([(1, 2, 1), (2, 1, 2), (3, 3, 3)], "a long, b long, t long")
+    with pytest.raises(ValueError, match="directed"):
+        canonical_edges(df, "a", "b", ["t"], directed=True)
+    assert canonical_edges(df, "a", "b", ["t"], directed=True, symmetrise=True).count() == 1
+
+
+def test_spanner_bounds(spark, calls):
+    e, v = calls
+    g = K.graph_of([(a, b) for _, a, b in triples(e)])
+    far = max(d for x in g for d in K.distances_from(g, x).values())
+    girth = min(_distance_without(g, a, b) + 1 for _, a, b in triples(e))
+    s = Stages(spark, "t").keep(baselines.greedy_spanner(e, 3), "spanner")
+    r = baselines.spanner_report(e, s, v, 3).first()
+    assert r.diameter_least <= far <= r.diameter_most and r.girth_least <= girth <= r.girth_most
+    one = v.orderBy("id").limit(1)
+    for d in baselines.spanner_distances(s, v, one).collect():
+        true = K.distances_from(g, d.source)[d.id]
+        assert true <= d.distance <= 3 * true
+    whole = baselines.spanner_report(e, e, v, 1).first()
+    assert whole.diameter_least == whole.diameter_most == far and whole.girth_least == whole.girth_most == girth
+
+
+def _distance_without(g, a, b):
+    h = {x: g[x] - ({b} if x == a else {a} if x == b else set()) for x in g}
+    return K.distances_from(h, a).get(b, 10**6)
+
+
+def test_weighted_matching_is_half_of_the_best(spark):
+    rng = random.Random(4)
+    rows = [(i, u, v, rng.randint(1, 20)) for i, (u, v) in enumerate(combinations(range(8), 2), 1) if rng.random() < 0.6]
+    e = spark.createDataFrame(rows, "seq long, u long, v long, w long")
+
+    def best(left):
+        return max([0, *(w + best([r for r in left[i + 1 :] if not {u, v} & {r[1], r[2]}]) for i, (_, u, v, w) in enumerate(left))])
+
+    weight = {r[0]: r[3] for r in rows}
+    got = triples(baselines.greedy_matching(e, "w"))
+    used = [x for _, a, b in got for x in (a, b)]
+    assert len(used) == len(set(used)) and 2 * sum(weight[s] for s, _, _ in got) >= best(rows)
+
+
+def test_merged_certificates(spark, calls):
+    e, v = calls
+    a, b = e.filter("seq % 2 = 0"), e.filter("seq % 2 = 1")
+    for method in ("online", "layered"):
+        c = online.merge_certificates(online.online_certificate(a, 2), layered.layered_certificate(b, 2), 2, method)
+        assert {r.id for r in separators.cut_vertices(c, v).collect()} == {r.id for r in separators.cut_vertices(e, v).collect()}
+
+
 def test_pass_counter(spark):
     s = EdgeStream(known_edges(spark, "path", 4))
-    s.open_pass("a")
-    assert [r.seq for r in s.sorted_pass("b", 2).collect()] == [1, 2, 3] and s.passes == 2
+    s.open_pass().count()
+    assert [r.seq for r in s.sorted_pass(2).collect()] == [1, 2, 3] and s.passes == 2 and s.reads()[0] == 3
 
 
 @pytest.mark.parametrize("edges", [[], [(1, 0, 1)]])
@@ -274,7 +372,8 @@ def test_tiny_graphs(spark, edges):
 
 def test_plans(spark, calls, capsys):
     e, v = calls
-    first_neighbour_forest(e, scan_order(spanning_forest(e), v)).explain("formatted")
+    order = Stages(spark, "plans").keep(scan_order(spanning_forest(e), v), "order")
+    first_neighbour_forest(e, order).explain("formatted")
     plan = capsys.readouterr().out
     assert "partial_min" in plan.lower() or "Aggregate" in plan
     assert "CartesianProduct" not in plan and "MapInArrow" not in plan
