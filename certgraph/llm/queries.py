@@ -51,9 +51,10 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_compression_band_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from certgraph.llm.quality import quality_verdicts
+    from certgraph.llm.quality import fitted_bands, labels_beside, quality_verdicts
 
-    return quality_verdicts(_table(spark, sf_dir, "documents"))
+    docs = _table(spark, sf_dir, "documents")
+    return quality_verdicts(docs, fitted_bands(docs, labels_beside(spark, sf_dir)))
 
 
 def op10_splitting_tree_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

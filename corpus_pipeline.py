@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from certgraph.llm.mixing import Mix
 from certgraph.llm.near_duplicates import distinct_documents
 from certgraph.llm.packing import pack_documents
-from certgraph.llm.quality import passing_documents
+from certgraph.llm.quality import fitted_bands, labels_beside, passing_documents
 from certgraph.plans.staging import Stages
 
 #: Ids of one training sequence.
@@ -20,8 +20,8 @@ SEQUENCE_IDS, END_ID = 1024, 2
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep; a null or empty text goes."""
-    return passing_documents(docs)
+    """Documents that the quality rules keep, with limits fitted on labelled ones; a null or empty text goes."""
+    return passing_documents(docs, fitted_bands(docs, labels_beside(spark, sf_dir)))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
