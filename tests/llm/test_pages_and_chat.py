@@ -40,6 +40,32 @@ def test_regions_decide_on_marked_pages_too():
     assert main_text(f"<body><article>{prose}{menu}</article></body>").split("\n") == plain
 
 
+def test_the_ratio_decides_without_marks(monkeypatch):
+    from certgraph.llm import html_text
+
+    prose = [f"{i} " + "A paragraph of plain prose that goes on for quite a while, so that it holds far more text than tags. " * 3 for i in range(6)]
+    tags = "".join(f"<li><i><b>{x}</b></i></li>" for x in ("Tags", "Up", "On", "More", "Less", "Top"))
+    page = f"<body><div><h3><b>Lists</b></h3><ul>{tags}</ul></div><div><h2>Title</h2>{''.join(f'<p>{p}</p>' for p in prose)}<p>End.</p></div></body>"
+    assert main_text(page).split("\n") == ["Title", *(p.strip() for p in prose), "End."]
+    monkeypatch.setattr(html_text, "smoothed", lambda v: np.ones(len(v)))
+    assert main_text(page).startswith("Lists\nTags")
+
+
+def test_pages_without_marks_give_the_same_text(spark, sf):
+    import re
+
+    for r in spark.read.parquet(f"{sf}/pages.parquet").collect():
+        plain = re.sub(r"<article\b[^>]*>", "<div>", r.html).replace("</article>", "</div>")
+        assert main_text(plain) == main_text(r.html)
+
+
+def test_unclosed_links_lose_nothing():
+    rest = [f"Line {i} of a page without an article, long enough to be prose." for i in range(12)]
+    page = "<body><div><p>Some <a href='x'>words that link.</p>" + "".join(f"<p>{x}</p>" for x in rest) + "</div></body>"
+    assert main_text(page).split("\n") == ["Some words that link.", *rest]
+    assert main_text(page.replace("that link.", "that</a> link.")) == main_text(page)
+
+
 def test_cut_off_and_broken_pages():
     whole = PAGE.format(f"<article>{BODY}</article>")
     assert main_text(whole[: whole.index("<aside")]) == WANT
