@@ -2,13 +2,17 @@
 
 Words are tokens; every text ends with one end token. The model's latent states emit classes of words: each frequent word
 is a class of its own (at most 1 / HEAD_SHARE of them), other words fall into classes by their last bytes, words seen
-once in training into like classes of their own, and unseen words form one type. A class gives its words by their
-training counts. So all tables that the workers need are of bounded size while counts cover every word.
-
-Counting. Texts are cut into blocks of bounded size; a block's distinct words travel as packed arrays by hash range, are
-summed over all blocks, and the totals travel back to the blocks. Training is Baum-Welch: a start from a bounded sample, then
-passes over all training texts, in which every task adds up expected counts and the sums are merged in a tree. The score is
-the exact likelihood by the scaled forward recursion over the whole text.
+once in training into like classes of their own, and unseen words form one class. A class gives its words by their
+training counts, the class of unseen words each of them by one share of an estimated number of unseen types. So all tables
+that the workers need are of bounded size while counts cover every word; the grain of the classes is a share of the corpus,
+thus as the corpus grows more words (though no greater share of tokens) are told apart by their endings only.
+
+Counting. Texts are cut into blocks of bounded size. A block's distinct words are cut by hash into 64 ranges, and the like
+ranges of 64 neighbouring blocks are summed; these sums are cut and summed in the same way, until one group holds all
+blocks. Totals go back down the same way. A level moves 64 rows for each block, so rows grow with n log n, and no group
+holds more than 64 such pieces. Training is Baum-Welch: a start from a bounded sample, then passes over all training
+texts, in which every task adds up expected counts and the sums are merged in a tree. The score is the exact likelihood by
+the scaled forward recursion over the whole text, in stretches of bounded size.
 
 Words are compared by 64-bit hashes.
 """
@@ -25,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from certgraph.llm.wordhash import Words, mix, slices, text_bytes
+from certgraph.operators.edges import dense_numbers
 from certgraph.plans.staging import Stages
 
 #: A word with at least this share of all training tokens is a class of its own.
@@ -35,6 +40,8 @@ SAMPLE_TEXTS, SAMPLE_ROUNDS, FULL_PASSES = 512, 12, 2
 #: Text of one counting block, and tokens whose forward and backward values are held at a time.
 BLOCK_BYTES, HELD_TOKENS = 12 << 20, 250_000
 FAN_IN = 16
+#: Two to the power of this: how many blocks' words are summed in one step, and hash ranges that each sum is cut into.
+FAN_BITS = 6
 
 
 def _squeeze(a: np.ndarray) -> bytes:
@@ -72,8 +79,16 @@ _BLOCK_FIELDS = pa.schema([("block", pa.int64()), ("doc_id", pa.int64()), ("held
 _BLOCK_DDL = "block long, doc_id long, held_out boolean, n_tokens long, words binary, hashes binary, tails binary, counts binary"
 
 
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _blocks(block_bytes: int):
     """Texts to rows with their words numbered within the block, then one row with the block's distinct words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return _into_blocks(batches, block_bytes)
+
+    return run
+
+
+def _into_blocks(batches: Iterator[pa.RecordBatch], block_bytes: int) -> Iterator[pa.RecordBatch]:
     from pyspark import TaskContext
 
     part, number = TaskContext.get().partitionId(), 0
@@ -97,7 +112,7 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                         np.add.at(counts, own, 1)
                 rows.append({"block": block, "doc_id": doc, "held_out": out, "n_tokens": len(own) + 1, "words": _squeeze(own)})
             at += len(h)
-        rows.append({"block": block, "hashes": distinct.astype("<u8").tobytes(), "tails": tails.astype("<u2").tobytes(), "counts": _squeeze(counts.astype("<u4"))})
+        rows.append({"block": block, "hashes": distinct.astype("<u8").tobytes(), "tails": tails.astype("<u2").tobytes(), "counts": _squeeze(counts.astype("<i8"))})
         for k in range(0, len(rows), 2000):
             yield pa.RecordBatch.from_pylist(rows[k : k + 2000], schema=_BLOCK_FIELDS)
 
@@ -109,48 +124,109 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 w = Words(raws[a:b])
                 held.append((ids[a:b], w.hashes, _tails(w), w.bounds - w.bounds[0]))
                 size += len(w.data)
-                if size >= BLOCK_BYTES:
+                if size >= block_bytes:
                     yield from flush()
                     held, size, number = [], 0, number + 1
     if held:
         yield from flush()
 
 
-def _by_range(bits: int):
+_PIECE = pa.schema([("g", pa.int64()), ("p", pa.int64()), ("child", pa.int64()), ("hashes", pa.binary()), ("tails", pa.binary()), ("counts", pa.binary())])
+_PIECE_DDL = "g long, p long, child long, hashes binary, tails binary, counts binary"
+_SUM_DDL = "g long, p long, hashes binary, tails binary, counts binary"
+_TOTAL = pa.schema([("g", pa.int64()), ("p", pa.int64()), ("part", pa.int64()), ("totals", pa.binary()), ("tails", pa.binary()), ("heads", pa.binary())])
+_TOTAL_DDL = "g long, p long, part long, totals binary, tails binary, heads binary"
+
+
+def _cut(level: int, bits: int):
+    """Each holder's words, cut by the bits of the hash that follow those of its own range."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fan, shift = 1 << bits, np.uint64(64 - bits * (level + 1))
         for batch in batches:
             for r in batch.to_pylist():
-                h, t, c = np.frombuffer(r["hashes"], "<u8"), np.frombuffer(r["tails"], "<u2"), _widen(r["counts"], "<u4")
-                cuts = np.searchsorted(h >> np.uint64(64 - bits), np.arange((1 << bits) + 1, dtype=np.uint64)) if bits else np.array([0, len(h)])
-                rows = [{"part": p, "block": r["block"], "hashes": h[a:b].tobytes(), "tails": t[a:b].tobytes(), "counts": _squeeze(c[a:b])} for p, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)) if b > a]
-                yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("part", pa.int64()), ("block", pa.int64()), ("hashes", pa.binary()), ("tails", pa.binary()), ("counts", pa.binary())]))
+                h, t, c = np.frombuffer(r["hashes"], "<u8"), np.frombuffer(r["tails"], "<u2"), _widen(r["counts"], "<i8")
+                cuts = np.searchsorted((h >> shift) & np.uint64(fan - 1), np.arange(fan + 1, dtype=np.uint64))
+                rows = [{"g": r["g"] // fan, "p": r["p"] * fan + i, "child": r["g"], "hashes": h[a:b].tobytes(), "tails": t[a:b].tobytes(), "counts": _squeeze(c[a:b])} for i, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)) if b > a]
+                if rows:
+                    yield pa.RecordBatch.from_pylist(rows, schema=_PIECE)
 
     return run
 
 
-def _summed(head_least: float):
-    """Totals of one hash range over all blocks; a row for each block, and one with what the whole range holds."""
+def _merged(table: pa.Table) -> tuple[list[dict], list[np.ndarray], np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Pieces of one range and group, in order of their holders: rows, their words, and sums by distinct word."""
+    rows = sorted(table.to_pylist(), key=lambda r: r["child"])
+    hs = [np.frombuffer(r["hashes"], "<u8") for r in rows]
+    distinct, first, back = np.unique(np.concatenate(hs), return_index=True, return_inverse=True)
+    total = np.bincount(back, weights=np.concatenate([_widen(r["counts"], "<i8") for r in rows]), minlength=len(distinct)).astype("<i8")
+    tails = np.concatenate([np.frombuffer(r["tails"], "<u2") for r in rows])[first]
+    return rows, hs, distinct, back, total, tails
+
+
+def _summed(table: pa.Table) -> pa.Table:
+    rows, _, distinct, _, total, tails = _merged(table)
+    out = [{"g": rows[0]["g"], "p": rows[0]["p"], "hashes": distinct.tobytes(), "tails": tails.astype("<u2").tobytes(), "counts": _squeeze(total)}]
+    return pa.Table.from_pylist(out, schema=pa.schema([f for f in _PIECE if f.name != "child"]))
+
+
+def _pieces_back(bits: int, rows: list[dict], hs: list[np.ndarray], back: np.ndarray, total: np.ndarray, tails: np.ndarray, heads: np.ndarray) -> list[dict]:
+    """Totals of a range for each holder that gave a piece; a holder's own range is its p without the last digit."""
+    out, at = [], 0
+    for r, h in zip(rows, hs, strict=True):
+        own = back[at : at + len(h)]
+        out.append({"g": r["child"], "p": r["p"] >> bits, "part": r["p"] & ((1 << bits) - 1), "totals": _squeeze(total[own]), "tails": _squeeze(tails[own]), "heads": _squeeze(heads[own])})
+        at += len(h)
+    return out
+
+
+def _totals(head_least: float, bits: int):
+    """Totals of one range over all blocks; a row for each holder below, and one with what the whole range holds."""
 
     def run(table: pa.Table) -> pa.Table:
-        rows = table.to_pylist()
-        hs = [np.frombuffer(r["hashes"], "<u8") for r in rows]
-        distinct, first, back = np.unique(np.concatenate(hs), return_index=True, return_inverse=True)
-        total = np.bincount(back, weights=np.concatenate([_widen(r["counts"], "<u4") for r in rows]), minlength=len(distinct)).astype(np.int64)
-        tails = np.concatenate([np.frombuffer(r["tails"], "<u2") for r in rows])[first]
+        rows, hs, distinct, back, total, tails = _merged(table)
         head = total >= head_least
-        once = (total == 1) & ~head
+        once, twice = (total == 1) & ~head, (total == 2) & ~head
         sums = np.concatenate([np.bincount(tails[m], weights=total[m], minlength=TAIL_CLASSES) for m in ((total > 1) & ~head, once)])
-        out, at = [], 0
-        for r, h in zip(rows, hs, strict=True):
-            own = back[at : at + len(h)]
-            out.append({"part": r["part"], "block": r["block"], "totals": _squeeze(total[own]), "tails": _squeeze(tails[own]), "heads": _squeeze(np.where(head[own], distinct[own], 0).astype("<u8"))})
-            at += len(h)
-        out.append({"part": rows[0]["part"], "block": None, "totals": _squeeze(np.array([int((total > 0).sum())], dtype=np.int64)), "tails": sums.astype("<f8").tobytes(), "heads": np.stack([distinct[head], total[head].astype(np.uint64)]).astype("<u8").tobytes()})
-        return pa.Table.from_pylist(out, schema=pa.schema([("part", pa.int64()), ("block", pa.int64()), ("totals", pa.binary()), ("tails", pa.binary()), ("heads", pa.binary())]))
+        out = _pieces_back(bits, rows, hs, back, total, tails, np.where(head, distinct, 0).astype("<u8"))
+        seen = np.array([(total > 0).sum(), once.sum(), twice.sum()], dtype="<i8")
+        out.append({"g": None, "p": rows[0]["p"], "part": None, "totals": _squeeze(seen), "tails": sums.astype("<f8").tobytes(), "heads": np.stack([distinct[head], total[head].astype(np.uint64)]).astype("<u8").tobytes()})
+        return pa.Table.from_pylist(out, schema=_TOTAL)
+
+    return run
+
+
+def _handed_down(bits: int):
+    """Totals of a holder, in pieces by the next digit of the hash, to the holders whose words it sums."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows:
+            return _TOTAL.empty_table()
+        rows, hs, _, back, _, _ = _merged(left)
+        parts = sorted(right.to_pylist(), key=lambda r: r["part"])
+        totals, tails, heads = (np.concatenate([_widen(r[c], d) for r in parts]) for c, d in (("totals", "<i8"), ("tails", "<u2"), ("heads", "<u8")))
+        return pa.Table.from_pylist(_pieces_back(bits, rows, hs, back, totals, tails, heads), schema=_TOTAL)
 
     return run
 
 
+def _word_totals(st: Stages, words: DataFrame, head_least: float, bits: int) -> tuple[DataFrame, DataFrame]:
+    """(g = block, part, totals, tails, heads) for each block, and a row for each hash range over all blocks."""
+    holders, levels = words, []
+    for level in range(64 // bits):
+        pieces = st.keep(holders.mapInArrow(_cut(level, bits), _PIECE_DDL), "pieces")
+        levels.append(pieces)
+        if (pieces.agg(F.max("g")).first()[0] or 0) == 0:
+            break
+        holders = st.keep(pieces.groupBy("g", "p").applyInArrow(_summed, _SUM_DDL), "sums")
+    found = st.keep(levels[-1].groupBy("g", "p").applyInArrow(_totals(head_least, bits), _TOTAL_DDL), "totals")
+    whole, down = found.filter("g IS NULL"), found.filter("g IS NOT NULL")
+    for pieces in reversed(levels[:-1]):
+        down = st.keep(pieces.groupBy("g", "p").cogroup(down.groupBy("g", "p")).applyInArrow(_handed_down(bits), _TOTAL_DDL), "totals")
+    st.drop(*levels)
+    return down, whole
+
+
 def _tree_sum(st: Stages, rows: DataFrame, dtype: str = "<f8") -> np.ndarray | None:
     """Sum of equally long float arrays in (part long, blob binary), merged FAN_IN rows at a time."""
 
@@ -182,6 +258,13 @@ class Vocabulary:
     heads: np.ndarray  # sorted hashes
     head_counts: np.ndarray
     tail_sums: np.ndarray  # words seen more than once, then those seen once, by class
+    once: int = 0  # types seen once, and twice
+    twice: int = 0
+
+    @property
+    def new_types(self) -> float:
+        """Types that training missed, estimated from those that it saw once and twice; as many as it saw at least."""
+        return max(1.0, self.types, self.once * (self.once - 1) / (2.0 * (self.twice + 1)))
 
     @property
     def classes(self) -> int:
@@ -219,6 +302,7 @@ def _encoded(v: Vocabulary):
         inner = np.zeros(len(c))
         plain = (c > 0) & ~is_head
         inner[plain] = np.log(c[plain] / v.tail_sums[place[plain] - h])
+        inner[c == 0] = -np.log(v.new_types)
         base = np.log10((c + 1) / (v.tokens + v.types + 1))
         base_end = np.log10((v.ends + 1) / (v.tokens + v.types + 1))
         out: dict[str, list] = {k: [] for k in ("doc_id", "held_out", "n_tokens", "n_known", "base_score", "inner", "classes")}
@@ -249,6 +333,9 @@ class HiddenMarkov:
 
     def _walk(self, texts: list[np.ndarray]):
         """Tokens of the texts laid out by time, longest text first: order, active texts by time, begin of each time."""
+        if len(texts) == 1:
+            n = len(texts[0])
+            return np.zeros(1, dtype=np.int64), np.ones(n, dtype=np.int64), np.arange(n + 1), texts[0]
         order = np.argsort([-len(t) for t in texts], kind="stable")
         lengths = np.array([len(texts[i]) for i in order])
         active = len(lengths) - np.searchsorted(lengths[::-1], np.arange(1, lengths[0] + 1))
@@ -259,48 +346,70 @@ class HiddenMarkov:
         flat[begin[time] + row] = np.concatenate([texts[i] for i in order])
         return order, active, begin, flat
 
-    def _forward(self, active, begin, flat):
-        e = self.emit[flat]
-        alpha, scale = np.empty_like(e), np.empty(len(flat))
-        for t in range(len(active)):
-            a, b = begin[t], begin[t] + active[t]
-            f = self.first * e[a:b] if t == 0 else (alpha[begin[t - 1] : begin[t - 1] + active[t]] @ self.move) * e[a:b]
-            s = f.sum(axis=1)
-            alpha[a:b] = f / s[:, None]
-            scale[a:b] = s
+    @staticmethod
+    def _stretches(active: np.ndarray, begin: np.ndarray) -> Iterator[tuple[int, int]]:
+        """Ranges of times that hold HELD_TOKENS tokens or a single time."""
+        s = 0
+        while s < len(active):
+            t = max(s + 1, int(np.searchsorted(begin, begin[s] + HELD_TOKENS, "right")) - 1)
+            yield s, t
+            s = t
+
+    def _forward(self, active, begin, flat, s: int, t: int, last):
+        """Emissions, forward values and scales of times s to t; `last` holds the forward values of the time before."""
+        e = self.emit[flat[begin[s] : begin[t]]]
+        alpha, scale = np.empty_like(e), np.empty(len(e))
+        for i in range(s, t):
+            a, b = begin[i] - begin[s], begin[i + 1] - begin[s]
+            f = (self.first if last is None else last[: active[i]] @ self.move) * e[a:b]
+            scale[a:b] = f.sum(axis=1)
+            alpha[a:b] = f / scale[a:b, None]
+            last = alpha[a:b]
         return e, alpha, scale
 
     def log_likelihoods(self, texts: list[np.ndarray]) -> np.ndarray:
         """Natural logarithm of each text's probability, over all paths."""
         order, active, begin, flat = self._walk(texts)
-        _, _, scale = self._forward(active, begin, flat)
-        logs, out = np.log(scale), np.zeros(len(texts))
-        row = np.arange(len(flat)) - np.repeat(begin[:-1], active)
-        out[order] = np.bincount(row, weights=logs, minlength=len(texts))
+        sums, last = np.zeros(len(texts)), None
+        for s, t in self._stretches(active, begin):
+            _, alpha, scale = self._forward(active, begin, flat, s, t, last)
+            last = alpha[len(alpha) - active[t - 1] :].copy()
+            row = np.arange(len(scale)) - np.repeat(begin[s:t] - begin[s], active[s:t])
+            sums += np.bincount(row, weights=np.log(scale), minlength=len(texts))
+        out = np.zeros(len(texts))
+        out[order] = sums
         return out
 
     def expected(self, texts: list[np.ndarray]) -> np.ndarray:
         """Expected counts of first states, moves and emissions, in one array."""
         _, active, begin, flat = self._walk(texts)
-        e, alpha, scale = self._forward(active, begin, flat)
         k = len(self.first)
-        moves, gamma = np.zeros((k, k)), np.empty_like(alpha)
-        beta = np.ones((active[-1], k))
-        for t in range(len(active) - 1, -1, -1):
-            a, b = begin[t], begin[t] + active[t]
-            gamma[a:b] = alpha[a:b] * beta
-            if t:
-                p = begin[t - 1]
-                onward = e[a:b] * beta / scale[a:b, None]
-                moves += alpha[p : p + active[t]].T @ onward
-                beta = np.ones((active[t - 1], k))
-                beta[: active[t]] = onward @ self.move.T
-        emissions = np.stack([np.bincount(flat, weights=gamma[:, j], minlength=len(self.emit)) for j in range(k)], axis=1)
+        spans, before, last = list(self._stretches(active, begin)), [], None
+        for s, t in spans:
+            before.append(last)
+            e, alpha, scale = self._forward(active, begin, flat, s, t, last)
+            last = alpha[len(alpha) - active[t - 1] :].copy()
+        moves, emissions, beta = np.zeros((k, k)), np.zeros_like(self.emit), np.ones((active[-1], k))
+        for (s, t), last in zip(reversed(spans), reversed(before), strict=True):
+            if t < len(active):  # a stretch before the last one is walked again
+                e, alpha, scale = self._forward(active, begin, flat, s, t, last)
+            lo, gamma = begin[s], np.empty_like(alpha)
+            for i in range(t - 1, s - 1, -1):
+                a, b = begin[i] - lo, begin[i + 1] - lo
+                gamma[a:b] = alpha[a:b] * beta
+                if i:
+                    ahead = last[: active[i]] if i == s else alpha[begin[i - 1] - lo : begin[i - 1] - lo + active[i]]
+                    onward = e[a:b] * beta / scale[a:b, None]
+                    moves += ahead.T @ onward
+                    beta = np.ones((active[i - 1], k))
+                    beta[: active[i]] = onward @ self.move.T
+            for j in range(k):
+                emissions[:, j] += np.bincount(flat[lo : begin[t]], weights=gamma[:, j], minlength=len(self.emit))
         return np.concatenate([gamma[: active[0]].sum(axis=0), (moves * self.move).ravel(), emissions.ravel()])
 
     @staticmethod
     def from_counts(counts: np.ndarray, v: Vocabulary, states: int) -> HiddenMarkov:
-        """Smoothed probabilities; unseen words get, in each state, the share of words seen once."""
+        """Smoothed probabilities; all unseen words together get, in each state, the share of words seen once."""
         first, move, emit = counts[:states], counts[states : states * (states + 1)].reshape(states, states), counts[states * (states + 1) :].reshape(-1, states)
         share = v.shares() + 0.01
         share /= share.sum()
@@ -377,39 +486,40 @@ def _scored(model, end: int):
     return run
 
 
-def language_model_scores(docs: DataFrame, states: int = STATES, passes: int = FULL_PASSES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def language_model_scores(docs: DataFrame, states: int = STATES, passes: int = FULL_PASSES, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, fan_bits: int = FAN_BITS) -> DataFrame:
     """Return doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, one row for each row of `docs`.
 
-    base_score is the add-one unigram log10 probability; score the hidden Markov model's. Both are over the known words and
-    one type for all unseen ones. A null or empty text is its end token alone. Null ids are learned from; repeated ids are
+    base_score is the add-one unigram log10 probability, with one type for all unseen words; score the hidden Markov model's,
+    in which an unseen word costs what its class costs in the path's states and a choice among `Vocabulary.new_types`. HEAD_SHARE and
+    TAIL_CLASSES set which words have emissions of their own and which share them by their endings. A null or empty text is its end token alone. Null ids are learned from; repeated ids are
     rows like any other; an empty table gives an empty result; other columns are not read.
     """
     spark = docs.sparkSession
     st = Stages(spark, "hmm")
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    rows = st.keep(texts.mapInArrow(_blocks, _BLOCK_DDL), "blocks")
+    rows = st.keep(texts.mapInArrow(_blocks(block_bytes), _BLOCK_DDL), "blocks")
     documents, words = rows.filter("hashes IS NULL"), rows.filter("hashes IS NOT NULL").select("block", "hashes", "tails", "counts")
-    n_blocks = words.count()
     learned = documents.filter("NOT held_out").agg(F.sum("n_tokens"), F.count(F.lit(1))).first()
     tokens, ends = int(learned[0] or 0), int(learned[1])
-    bits = max(0, (max(1, n_blocks) - 1).bit_length())
-    ranges = words.mapInArrow(_by_range(bits), "part long, block long, hashes binary, tails binary, counts binary")
-    head_least = max(2.0, HEAD_SHARE * tokens)
-    totals = st.keep(ranges.groupBy("part").applyInArrow(_summed(head_least), "part long, block long, totals binary, tails binary, heads binary"), "totals")
+    # blocks are numbered 0, 1, ... so that neighbours form groups
+    numbers = st.keep(dense_numbers(words.select("block"), ["block"], "g", first=0), "numbers")
+    holders = words.join(numbers, "block").select("g", F.lit(0).cast("long").alias("p"), "hashes", "tails", "counts")
+    totals, whole = _word_totals(st, holders, max(2.0, HEAD_SHARE * tokens), fan_bits)
 
-    whole = totals.filter("block IS NULL")
-    heads = [np.frombuffer(r.heads, "<u8").reshape(2, -1) for r in whole.select("heads").toLocalIterator()]  # 1 / HEAD_SHARE words at most, over all ranges
+    # 1 / HEAD_SHARE words at most, over all ranges
+    heads = [np.frombuffer(x, "<u8").reshape(2, -1) for x in whole.filter(F.octet_length("heads") > 0).select("heads").toArrow().column(0).to_pylist()]
     heads = np.concatenate(heads, axis=1) if heads else np.zeros((2, 0), dtype="<u8")
     by_hash = np.argsort(heads[0])
-    sums = _tree_sum(st, whole.select("part", F.col("tails").alias("blob")))
-    types = _tree_sum(st, whole.select("part", "totals").mapInArrow(_as_floats, "part long, blob binary"))
-    v = Vocabulary(tokens, int(types[0] if types is not None else 0) + (ends > 0), ends, heads[0][by_hash], heads[1][by_hash].astype(np.int64), sums if sums is not None else np.zeros(2 * TAIL_CLASSES))
+    sums = _tree_sum(st, whole.select(F.col("p").alias("part"), F.col("tails").alias("blob")))
+    seen = _tree_sum(st, whole.select(F.col("p").alias("part"), "totals").mapInArrow(_as_floats, "part long, blob binary"))
+    types, once, twice = (int(x) for x in (seen if seen is not None else (0, 0, 0)))
+    v = Vocabulary(tokens, types + (ends > 0), ends, heads[0][by_hash], heads[1][by_hash].astype(np.int64), sums if sums is not None else np.zeros(2 * TAIL_CLASSES), once, twice)
 
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, inner double, classes binary"
     left = documents.select("block", "doc_id", "held_out", "n_tokens", "words")
-    right = totals.filter("block IS NOT NULL")
+    right = totals.join(numbers, "g").select("block", "part", "totals", "tails", "heads")
     coded = st.keep(left.groupBy("block").cogroup(right.groupBy("block")).applyInArrow(_encoded(v), schema), "coded")
-    st.drop(rows, totals)
+    st.drop(rows, numbers, totals)
 
     training = coded.filter("NOT held_out")
     sample = training.orderBy(F.xxhash64("doc_id", "n_tokens", "base_score")).limit(SAMPLE_TEXTS).select("classes").toArrow()

@@ -67,6 +67,42 @@ def test_probabilities_of_all_words_sum_to_one(spark):
     assert got[probes[-2][0]] < 0
 
 
+def test_stretches_give_what_whole_texts_give(monkeypatch):
+    rng = np.random.default_rng(5)
+    norm = lambda a, axis: a / a.sum(axis=axis, keepdims=True)
+    m = L.HiddenMarkov(norm(rng.random(3), 0), norm(rng.random((3, 3)), 1), norm(rng.random((6, 3)), 0))
+    texts = [rng.integers(6, size=n) for n in (1, 40, 7, 23, 40, 2)]
+    whole, counts, single = m.log_likelihoods(texts), m.expected(texts), m.expected(texts[1:2])
+    for held in (1, 5, 11):
+        monkeypatch.setattr(L, "HELD_TOKENS", held)
+        assert np.allclose(m.log_likelihoods(texts), whole) and np.allclose(m.expected(texts), counts)
+        assert np.allclose(m.expected(texts[1:2]), single)
+
+
+def test_totals_over_several_levels(spark, sf):
+    """Many small blocks, summed four at a time, give what one block gives; base scores are exact either way."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    columns = ("doc_id", "n_tokens", "n_known", "train_tokens")
+    one = {r.doc_id: r for r in L.language_model_scores(docs, passes=0).collect()}
+    many = {r.doc_id: r for r in L.language_model_scores(docs.repartition(3), passes=0, block_bytes=5000, fan_bits=2).collect()}
+    assert one.keys() == many.keys()
+    for i, r in one.items():
+        assert [r[c] for c in columns] == [many[i][c] for c in columns]
+        assert many[i].base_score == pytest.approx(r.base_score) and many[i].score == pytest.approx(r.score, rel=0.02)
+
+
+def test_noise_scores_below_prose(spark, sf):
+    rng = np.random.default_rng(7)
+    noise = " ".join("".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz0123456789"), rng.integers(4, 12))) for _ in range(300))
+    held = next(i for i in range(10**6, 10**6 + 100) if L.held_out(i))
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").unionByName(spark.createDataFrame([(held, noise)], "doc_id long, text string"))
+    each = {r.doc_id: (r.score / r.n_tokens, r.n_known / r.n_tokens, r.held_out, r.n_tokens) for r in L.language_model_scores(docs).collect()}
+    long = {i: x for i, x in each.items() if x[3] >= 20}
+    assert long[held][0] < min(x[0] for i, x in long.items() if i != held and x[1] > 0.5)
+    train, held_out = (np.median([x[0] for x in long.values() if x[2] == side]) for side in (False, True))
+    assert held_out < train  # texts that the model hasn't seen are less likely to it
+
+
 def test_odd_texts(spark):
     docs = spark.createDataFrame([(None, "a b", 1.0), (1, None, 2.0), (1, "", 3.0), (2, "a b A", 4.0)], "doc_id long, text string, score double")
     got = L.language_model_scores(docs).collect()
