@@ -15,6 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from certgraph.plans.staging import Stages
 
@@ -158,8 +159,9 @@ def as_transcripts(conversations: DataFrame) -> DataFrame:
     """Plain transcripts of conversations (conv_id, turn, role, text), in one of eight styles by conv_id.
 
     A transcript holds at most about SEGMENT_TURNS turns, so that a conversation of any length is never gathered in one
-    task: longer ones are cut by turn number, and turns that repeat a number are split by a hash. Rows without conv_id are
-    transcripts of their own; a null text is empty; a role that isn't known counts as user.
+    task: longer ones are cut by turn number, and turns that repeat a number are split by a hash and, where rows are
+    equal, by how many there are. Rows without conv_id are transcripts of their own; a null text is empty; a role that isn't known
+    counts as user.
     """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     h = F.xxhash64("turn", "role", "text")
@@ -167,9 +169,12 @@ def as_transcripts(conversations: DataFrame) -> DataFrame:
     rows = rows.withColumn("own", F.when(F.col("conv_id").isNull(), h).otherwise(F.lit(0))).withColumn("cut", F.coalesce(F.floor(F.col("turn") / SEGMENT_TURNS), F.lit(0)))
     many = rows.groupBy("conv_id", "own", "cut").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > SEGMENT_TURNS)
     many = many.select(F.col("conv_id").alias("k"), F.col("own").alias("o"), F.col("cut").alias("c"), F.ceil(F.col("n") / SEGMENT_TURNS).alias("pieces"))
-    rows = rows.join(many, F.col("conv_id").eqNullSafe(F.col("k")) & (F.col("own") == F.col("o")) & (F.col("cut") == F.col("c")), "left")
-    piece = F.when(F.col("pieces").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("text", "role"), F.col("pieces")))
-    rows = rows.withColumn("segment", F.col("cut") * 1_000_000 + piece).withColumn("style", F.pmod(F.xxhash64("conv_id", "segment"), F.lit(8)).cast("int"))
+    rows = rows.join(many, F.col("conv_id").eqNullSafe(F.col("k")) & (F.col("own") == F.col("o")) & (F.col("cut") == F.col("c")), "left").drop("k", "o", "c")
+    few = rows.filter("pieces IS NULL").withColumn("piece", F.lit(0).cast("long")).drop("pieces")
+    equal = rows.filter("pieces IS NOT NULL").groupBy("conv_id", "turn", "role", "text", "own", "cut", "pieces").agg(F.count(F.lit(1)).alias("n"))
+    spread = equal.withColumn("nth", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1))).withColumn("piece", F.pmod(F.pmod(F.xxhash64("text", "role"), F.col("pieces")) + F.col("nth"), F.col("pieces")))
+    rows = few.unionByName(spread.drop("n", "nth", "pieces"))
+    rows = rows.withColumn("segment", F.col("cut") * 1_000_000 + F.col("piece")).withColumn("style", F.pmod(F.xxhash64("conv_id", "segment"), F.lit(8)).cast("int"))
     return rows.select("conv_id", "own", "segment", "turn", "role", "text", "style").groupBy("conv_id", "own", "segment").applyInArrow(_assembled, _TRANSCRIPT_DDL)
 
 
@@ -180,10 +185,17 @@ def fitted_model(transcripts: DataFrame) -> TranscriptModel:
 
 
 def parse_transcripts(transcripts: DataFrame, model: TranscriptModel, text_col: str = "transcript") -> DataFrame:
-    """Adds `turns` (role, text) and the canonical `chat` to each transcript; a null or blank one has no turns."""
+    """Adds `turns` (role, text) and the canonical `chat` to each transcript; a null or blank one has no turns.
+
+    Other columns stay, whatever their names; columns that are called turns or chat already are replaced.
+    """
     shared = transcripts.sparkSession.sparkContext.broadcast(model)
-    at = transcripts.columns.index(text_col)
-    schema = transcripts.schema.simpleString()[7:-1] + ",turns:array<struct<role:string,text:string>>,chat:string"
+    rest = [c for c in transcripts.columns if c.lower() not in ("turns", "chat") or c.lower() == text_col.lower()]
+    at = [c.lower() for c in rest].index(text_col.lower())
+    names = [f"c{i}" for i in range(len(rest))]
+    plain = transcripts.select(*(F.col(f"`{c.replace('`', '``')}`").alias(n) for c, n in zip(rest, names, strict=True)))
+    added = T.ArrayType(T.StructType([T.StructField("role", T.StringType()), T.StructField("text", T.StringType())]))
+    schema = T.StructType([*plain.schema.fields, T.StructField("turns", added), T.StructField("chat", T.StringType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("role", pa.string()), ("text", pa.string())]))
@@ -192,7 +204,7 @@ def parse_transcripts(transcripts: DataFrame, model: TranscriptModel, text_col:
             own = [[{"role": r, "text": x} for r, x in t] for t in turns]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(own, kind), pa.array([render_turns(t) for t in turns], pa.string())], names=[*batch.schema.names, "turns", "chat"])
 
-    return transcripts.mapInArrow(run, schema)
+    return plain.mapInArrow(run, schema).toDF(*rest, "turns", "chat")
 
 
 def formatted_chats(conversations: DataFrame) -> DataFrame:

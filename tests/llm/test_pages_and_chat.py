@@ -130,3 +130,50 @@ def test_odd_conversations(spark):
     assert sum(r.n_turns for r in got) == len(rows)
     assert Counter(r.conv_id for r in got) == {1: 1, None: 2, 7: 3}
     assert chat.formatted_chats(df.limit(0)).count() == 0
+
+
+def test_viterbi_equals_the_best_of_all_paths():
+    from itertools import product
+
+    rng = np.random.default_rng(3)
+    texts = ["Hello there.", "What is it?", "", "User: hi", "Assistant: yes", "more of it " * 9, "[SYSTEM] be kind", "note: this"]
+    labelled = []
+    for style in range(8):
+        roles = ["system", "user", "assistant", "user", "assistant"]
+        text, states = chat._joined(roles, [texts[i] for i in rng.integers(0, 3, 5)], style)
+        labelled.append((text.split("\n"), states))
+    m = chat.TranscriptModel.fitted(labelled)
+    n = len(chat.STATES)
+    for size in (1, 2, 3, 4, 5):
+        lines = [texts[i] for i in rng.integers(0, len(texts), size)]
+        rows, _ = chat.line_features(lines)
+        seen = sum(f[:, rows[:, j]] for j, f in enumerate(m.features)).T
+        cost = lambda p: m.first[p[0]] + seen[0, p[0]] + sum(m.move[p[i - 1], p[i]] + seen[i, p[i]] for i in range(1, size))  # noqa: E731, B023
+        path, _ = m.states(lines)
+        assert np.isclose(cost(path), max(cost(p) for p in product(range(n), repeat=size)))
+
+
+def test_clashing_columns_and_equal_turns(spark):
+    rows = [(1, "User: a\nAssistant: b", "x", 5, "y"), (2, None, "x", 6, "y")]
+    df = spark.createDataFrame(rows, "conv_id long, transcript string, turns string, `odd name:` int, Chat string")
+    m = chat.TranscriptModel.fitted([(["User: a", "Assistant: b"], [2, 4])])
+    got = chat.parse_transcripts(df, m)
+    assert got.columns == ["conv_id", "transcript", "odd name:", "turns", "chat"]
+    assert {r.conv_id: len(r.turns) for r in got.collect()} == {1: 2, 2: 0}
+    same = spark.createDataFrame([(7, 1, "user", "again")] * 3000 + [(8, 1, "user", "once")], "conv_id long, turn long, role string, text string")
+    parts = chat.as_transcripts(same).collect()
+    assert sum(r.n_turns for r in parts if r.conv_id == 7) == 3000 and max(r.n_turns for r in parts) <= chat.SEGMENT_TURNS
+    again = chat.as_transcripts(same.repartition(5)).collect()
+    assert sorted((r.conv_id, r.segment, r.n_turns) for r in again) == sorted((r.conv_id, r.segment, r.n_turns) for r in parts)
+
+
+def test_very_long_pages_and_transcripts():
+    page = "<html><body><article>" + "".join(f"<p>Paragraph {i} with words enough to be prose in it.</p>" for i in range(20_000)) + "</article></body></html>"
+    assert main_text(page).count("\n") == 19_999
+    m = chat.TranscriptModel.fitted([(["User: a", "Assistant: b"], [2, 4])])
+    assert len(m.turns("\n".join(f"User: line {i}" for i in range(5000)))) == 5000
+
+
+def test_ties_between_articles():
+    half = "<article><p>Equal words in equal articles, both of the same length here.</p></article>"
+    assert main_text(f"<body>{half}{half}</body>").split("\n") == ["Equal words in equal articles, both of the same length here."] * 2
