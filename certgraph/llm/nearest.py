@@ -175,15 +175,14 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
         if probes is not None:
             break
         hashes -= 1
-    own = f"table_no int, bucket long, vec_id long, vec {rows.schema['vec'].dataType.simpleString()}"  # as wide as it came
+    vec = rows.schema["vec"].dataType.simpleString()  # as wide as it came
 
     def filed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a in range(0, batch.num_rows, 2048):
                 part = batch.slice(a, 2048)
                 keys = family.keys(_matrix(part.column(1), dim))
-                for t in range(tables):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), t), pa.int32()), pa.array(keys[:, t], pa.int64()), part.column(0), part.column(1)], names=["table_no", "bucket", "vec_id", "vec"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.FixedSizeListArray.from_arrays(pa.array(keys.ravel(), pa.int64()), tables).cast(pa.list_(pa.int64()))], names=["vec_id", "vec", "keys"])
 
     def looked_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -191,10 +190,8 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
                 part = batch.slice(a, 256)
                 keys = family.probes(_matrix(part.column(1), dim), probes)
                 for t in range(tables):
-                    own_keys = keys[:, t]
-                    take = pa.array(np.repeat(np.arange(len(keys)), own_keys.shape[1]))
-                    again = part.take(take)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(again.num_rows, t), pa.int32()), pa.array(own_keys.reshape(-1), pa.int64()), again.column(0), again.column(1)], names=["table_no", "bucket", "vec_id", "vec"])
+                    own = pa.FixedSizeListArray.from_arrays(pa.array(keys[:, t].ravel(), pa.int64()), keys.shape[2]).cast(pa.list_(pa.int64()))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), t), pa.int32()), part.column(0), part.column(1), own], names=["table_no", "vec_id", "vec", "keys"])
 
     def searched(left: pa.Table, right: pa.Table) -> pa.Table:
         q, x = left.combine_chunks(), right.combine_chunks()
@@ -215,7 +212,13 @@ def nearest_neighbours(vectors: DataFrame, queries: str = "vec_id % 20 = 0", k:
         ask = ask.join(parts, ["table_no", "bucket"]).select("table_no", "bucket", F.explode(F.expr("sequence(0, data_parts - 1)")).alias("data_part"), F.pmod(h, "ask_parts").cast("int").alias("ask_part"), "vec_id", "vec")
         return ask.groupBy(*key).cogroup(data.groupBy(*key)).applyInArrow(searched, "query_id long, vec_id long, score double")
 
-    found = st.keep(_best(compared(rows.mapInArrow(filed, own), asked.mapInArrow(looked_up, own)), k), "found")
+    # hashed once: bucket sizes and the search both read the stored keys
+    keyed = st.keep(rows.mapInArrow(filed, f"vec_id long, vec {vec}, keys array<long>"), "keyed")
+    data = keyed.select(F.posexplode("keys").alias("table_no", "bucket"), "vec_id", "vec")
+    probed = st.keep(asked.mapInArrow(looked_up, f"table_no int, vec_id long, vec {vec}, keys array<long>"), "probed")
+    ask = probed.select("table_no", F.explode("keys").alias("bucket"), "vec_id", "vec")
+    found = st.keep(_best(compared(data, ask), k), "found")
+    st.drop(keyed, probed)
     enough = found.groupBy("query_id").count().filter(F.col("count") >= min(k, distinct - 1)).select(F.col("query_id").alias("vec_id"))
     short = st.keep(asked.join(enough, "vec_id", "left_anti"), "short")
     if distinct > 1 and not short.isEmpty():  # one bucket that holds all, searched in parts like any other
