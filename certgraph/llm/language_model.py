@@ -3,7 +3,8 @@
 Words are tokens; every text ends with one end token. The model's latent states emit classes of words: each frequent word
 is a class of its own (at most 1 / HEAD_SHARE of them), other words fall into classes by their last bytes, words seen
 once in training into like classes of their own, and unseen words form one class. A class gives its words by their
-training counts, the class of unseen words each of them by one share of an estimated number of unseen types. So all tables
+training counts, the class of unseen words each of them by one share of an estimated number of unseen types, which are taken to
+be as many as the types seen once. So all tables
 that the workers need are of bounded size while counts cover every word; the grain of the classes is a share of the corpus,
 thus as the corpus grows more words (though no greater share of tokens) are told apart by their endings only.
 
@@ -186,10 +187,10 @@ def _totals(head_least: float, bits: int):
     def run(table: pa.Table) -> pa.Table:
         rows, hs, distinct, back, total, tails = _merged(table)
         head = total >= head_least
-        once, twice = (total == 1) & ~head, (total == 2) & ~head
+        once = (total == 1) & ~head
         sums = np.concatenate([np.bincount(tails[m], weights=total[m], minlength=TAIL_CLASSES) for m in ((total > 1) & ~head, once)])
         out = _pieces_back(bits, rows, hs, back, total, tails, np.where(head, distinct, 0).astype("<u8"))
-        seen = np.array([(total > 0).sum(), once.sum(), twice.sum()], dtype="<i8")
+        seen = np.array([(total > 0).sum(), once.sum()], dtype="<i8")
         out.append({"g": None, "p": rows[0]["p"], "part": None, "totals": _squeeze(seen), "tails": sums.astype("<f8").tobytes(), "heads": np.stack([distinct[head], total[head].astype(np.uint64)]).astype("<u8").tobytes()})
         return pa.Table.from_pylist(out, schema=_TOTAL)
 
@@ -258,13 +259,12 @@ class Vocabulary:
     heads: np.ndarray  # sorted hashes
     head_counts: np.ndarray
     tail_sums: np.ndarray  # words seen more than once, then those seen once, by class
-    once: int = 0  # types seen once, and twice
-    twice: int = 0
+    once: int = 0  # types seen once
 
     @property
     def new_types(self) -> float:
-        """Types that training missed, estimated from those that it saw once and twice; as many as it saw at least."""
-        return max(1.0, self.types, self.once * (self.once - 1) / (2.0 * (self.twice + 1)))
+        """Types that training missed: taken to be as many as it saw once, which all together are as likely as new ones."""
+        return max(1.0, float(self.once))
 
     @property
     def classes(self) -> int:
@@ -512,8 +512,8 @@ def language_model_scores(docs: DataFrame, states: int = STATES, passes: int = F
     by_hash = np.argsort(heads[0])
     sums = _tree_sum(st, whole.select(F.col("p").alias("part"), F.col("tails").alias("blob")))
     seen = _tree_sum(st, whole.select(F.col("p").alias("part"), "totals").mapInArrow(_as_floats, "part long, blob binary"))
-    types, once, twice = (int(x) for x in (seen if seen is not None else (0, 0, 0)))
-    v = Vocabulary(tokens, types + (ends > 0), ends, heads[0][by_hash], heads[1][by_hash].astype(np.int64), sums if sums is not None else np.zeros(2 * TAIL_CLASSES), once, twice)
+    types, once = (int(x) for x in (seen if seen is not None else (0, 0)))
+    v = Vocabulary(tokens, types + (ends > 0), ends, heads[0][by_hash], heads[1][by_hash].astype(np.int64), sums if sums is not None else np.zeros(2 * TAIL_CLASSES), once)
 
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, inner double, classes binary"
     left = documents.select("block", "doc_id", "held_out", "n_tokens", "words")
