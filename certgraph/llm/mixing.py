@@ -11,8 +11,10 @@ many of each source go left is one multivariate hypergeometric draw, taken sourc
 distributions. A shard gets the next blocks of each source's permutation, so shards are disjoint, and its rows
 are put in random order. Every random choice is a hash of the seed and of what it is for, so reruns agree.
 
-Skew. Sizes are pre-aggregated by source and by block; running sums go over blocks, and over documents only in one
-partly taken block of each source at a time. No source is ever gathered in one task.
+Skew. Sizes are pre-aggregated by source and by block; running sums go over blocks, a stretch of the permutation at a time on top
+of sums of the stretches before, and over documents only in one partly taken block of each source at a time. No source is ever
+gathered in one task. The tree's nodes hold the draws of strata: each source, or where there are more than MOST_STRATA,
+that many groups of sources, whose draws in permuted order are split by the same law.
 """
 
 from __future__ import annotations
@@ -24,6 +26,21 @@ from pyspark.sql.window import Window
 from certgraph.plans.staging import Stages
 
 WORD = r"[^\x20\x09-\x0D]+"
+#: Entries of one node of the splitting tree, stretches of one source's permutation, and draws of one output shard, as powers of two.
+MOST_STRATA, STRETCH_BITS, SHARD_BITS = 4096, 10, 6
+
+
+def running_sum(rows: DataFrame, key: str, spot: str, ties: list[str], value: Column, name: str) -> DataFrame:
+    """Adds the sum of `value` over the rows of the same key before this one, by `spot` (a hash) and `ties`.
+
+    The permutation is cut by the hash's leading bits into stretches, so a window holds a stretch, not all rows of a key.
+    """
+    cut = rows.withColumn("_cut", F.shiftright(F.col(spot), 64 - STRETCH_BITS)).withColumn("_value", value)
+    sums = cut.groupBy(key, "_cut").agg(F.sum("_value").alias("_sum"))
+    earlier = Window.partitionBy(key).orderBy("_cut").rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.select(key, "_cut", F.coalesce(F.sum("_sum").over(earlier), F.lit(0)).alias("_before"))
+    inside = Window.partitionBy(key, "_cut").orderBy(spot, *ties).rowsBetween(Window.unboundedPreceding, -1)
+    return cut.join(sums, [key, "_cut"]).withColumn(name, F.col("_before") + F.coalesce(F.sum("_value").over(inside), F.lit(0))).drop("_cut", "_value", "_before")
 
 
 def _source_key(source: Column) -> Column:
@@ -79,9 +96,9 @@ def _hypergeometric(total: str, marked: str, drawn: str, u: str) -> str:
 
 
 def splitting_tree(quotas: DataFrame, depth: int, seed: int) -> DataFrame:
-    """From (skey, quota) the draws of each source in each of 2 ** depth shards: (shard, skey, draws).
+    """From (skey, quota) the draws of each stratum in each of 2 ** depth shards: (shard, skey, draws).
 
-    All nodes of a level are split at once. A node is one row that holds the draws of all sources, which are few.
+    All nodes of a level are split at once. A node is one row that holds its draws of all strata, at most MOST_STRATA of them.
     """
     nodes = quotas.filter("quota > 0").agg(F.sort_array(F.collect_list(F.struct("skey", F.col("quota").alias("k")))).alias("own")).select(F.lit(1).cast("long").alias("node"), "own")
     draw = _hypergeometric("s.total", "e.k", "s.drawn", f"((pmod(xxhash64({seed}L, node, e.skey), 9007199254740992L) + 0.5d) / 9007199254740992d)")
@@ -100,7 +117,7 @@ def splitting_tree(quotas: DataFrame, depth: int, seed: int) -> DataFrame:
 class Mix:
     """A mixing plan for one table: sizes, targets, and for each block how often and where it is taken."""
 
-    def __init__(self, docs: DataFrame, most_repeats: int = 3, block_words: int = 1 << 18, depth: int = 4, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source"):
+    def __init__(self, docs: DataFrame, most_repeats: int = 3, block_words: int = 1 << 18, depth: int | None = None, seed: int = 11, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source"):
         self.seed, self.cols, self.docs = seed, (id_col, text_col, source_col), docs
         self.st = Stages(docs.sparkSession, "mixing")
         doc, text, source = F.col(id_col), F.col(text_col).cast("string"), F.col(source_col).cast("string")
@@ -117,14 +134,14 @@ class Mix:
         """Rows with skey and h joined to their source, with their block."""
         return rows.join(self.sources.drop("source"), "skey").withColumn("block", F.pmod("h", "n_blocks"))
 
-    def _plan_blocks(self, depth: int) -> None:
+    def _plan_blocks(self, depth: int | None) -> None:
         rows = self.blocked(self.slim)
-        blocks = rows.groupBy("skey", "block", "passes", "rest").agg(F.sum("size").alias("words"))
         spot = F.xxhash64(F.lit(self.seed + 1), "skey", "block")
-        permuted = Window.partitionBy("skey").orderBy(spot, "block")
-        before = F.sum("words").over(permuted.rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("words")
+        blocks = rows.groupBy("skey", "block", "passes", "rest").agg(F.sum("size").alias("words")).withColumn("spot", spot)
+        before = F.col("before")
         part = F.when(before + F.col("words") <= F.col("rest"), 1).when(before < F.col("rest"), 2).otherwise(0)
-        blocks = self.st.keep(blocks.withColumn("before", before).withColumn("extra", part).select("skey", "block", "passes", "extra", (F.col("rest") - F.col("before")).alias("wanted")), "blocks")
+        placed = running_sum(self.st.keep(blocks, "words"), "skey", "spot", ["block"], F.col("words"), "before")
+        blocks = self.st.keep(placed.withColumn("extra", part).select("skey", "block", "passes", "extra", (F.col("rest") - F.col("before")).alias("wanted")), "blocks")
 
         cuts = blocks.filter("extra = 2").select("skey", F.col("wanted").alias("gap"))
         units = rows.join(blocks.filter("extra <> 1").select("skey", "block"), ["skey", "block"]).filter("size > 0").groupBy("skey", "block", "h").agg(F.sum("size").alias("size"))
@@ -134,14 +151,23 @@ class Mix:
         blocks = self.st.keep(blocks, "blocks")
 
         draws = blocks.select("skey", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("passes"))).alias("copy"), "passes", "extra").filter("copy < passes OR extra > 0")
-        order = Window.partitionBy("skey").orderBy(F.xxhash64(F.lit(self.seed + 2), "skey", "block", "copy"), "block", "copy")
-        draws = draws.withColumn("nth", F.row_number().over(order).cast("long") - 1).select("skey", "block", "copy", "nth")
-        draws = self.st.keep(draws, "draws")
-        leaves = self.st.keep(splitting_tree(draws.groupBy("skey").agg(F.count(F.lit(1)).alias("quota")), depth, self.seed + 3), "leaves")
+        if self.sources.count() <= MOST_STRATA:
+            stratum = F.col("skey")
+        else:
+            stratum = F.concat(F.lit("g"), F.pmod(F.xxhash64("skey"), F.lit(MOST_STRATA)).cast("string"))
+        draws = draws.withColumn("stratum", stratum).withColumn("at", F.xxhash64(F.lit(self.seed + 2), "skey", "block", "copy"))
+        draws = self.st.keep(draws.select("stratum", "skey", "block", "copy", "at"), "draws")
+        if depth is None:  # about as many shards as hold 2 ** SHARD_BITS draws each
+            depth = max(4, draws.count().bit_length() - SHARD_BITS)
+        draws = self.st.keep(running_sum(draws, "stratum", "at", ["skey", "block", "copy"], F.lit(1).cast("long"), "nth"), "numbered")
+        leaves = self.st.keep(splitting_tree(draws.groupBy(F.col("stratum").alias("skey")).agg(F.count(F.lit(1)).alias("quota")), depth, self.seed + 3), "leaves")
         upto = F.sum("draws").over(Window.partitionBy("skey").orderBy("shard"))
-        ranges = leaves.withColumn("end", upto).filter("draws > 0").groupBy("skey").agg(F.sort_array(F.collect_list(F.struct("end", "shard"))).alias("ranges"))
-        shard = F.expr("filter(ranges, r -> r.end > nth)[0].shard")
-        dealt = draws.join(ranges, "skey").withColumn("shard", shard.cast("int")).groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.struct("copy", "shard"))).alias("dealt"))
+        ranges = leaves.withColumn("end", upto).filter("draws > 0").select(F.col("skey").alias("stratum"), (F.col("end") - F.col("draws")).alias("begin"), "end", "shard")
+        # stratum by stratum, draws and ranges in order: a range is filed under the stretch of places that it begins in and those it goes on to
+        wide = F.floor(F.col("begin") / 1024), F.floor((F.col("end") - 1) / 1024)
+        ranges = ranges.withColumn("near", F.explode(F.sequence(*wide)))
+        found = draws.withColumn("near", F.floor(F.col("nth") / 1024)).join(ranges, ["stratum", "near"]).filter("nth >= begin AND nth < end")
+        dealt = found.groupBy("skey", "block").agg(F.sort_array(F.collect_list(F.struct("copy", F.col("shard").cast("int").alias("shard")))).alias("dealt"))
         self.plan = self.st.keep(blocks.join(dealt, ["skey", "block"], "left").select("skey", "block", "extra", "dealt"), "plan")
 
     def _filled(self, free: DataFrame, gaps: DataFrame) -> DataFrame:

@@ -166,6 +166,34 @@ def test_splitting_tree_is_exact_and_unbiased(spark):
     assert len(set(left)) > 3 and abs(np.mean(left) - 20.5) < 2.5  # hypergeometric: mean 20.5, deviation 3.2
 
 
+def test_many_sources_and_stretches(spark, monkeypatch):
+    """More sources than a node of the tree holds are drawn in groups; every draw still gets one shard."""
+    from certgraph.llm import mixing
+
+    rng = np.random.default_rng(9)
+    docs = spark.createDataFrame([(i, "w " * int(rng.integers(1, 40)), f"s{i % 60}") for i in range(1500)], "doc_id long, text string, source string")
+    plain = {r.doc_id: r.taken for r in mixed_amounts(docs, block_words=64).collect()}
+    monkeypatch.setattr(mixing, "MOST_STRATA", 7)
+    m = Mix(docs, block_words=64)
+    got = {r.doc_id: (r.taken, r.size, len(r.shards)) for r in m.amounts().collect()}
+    assert {i: t for i, (t, _, _) in got.items()} == plain and all(t == s * n for t, s, n in got.values())
+    assert m.rows().count() == sum(n for _, _, n in got.values())
+    shards = [r.shard for r in m.rows(with_shard=True).select("shard").collect()]
+    assert len(set(shards)) >= 16
+
+
+def test_running_sums_in_stretches(spark):
+    from pyspark.sql import functions as F
+
+    from certgraph.llm.mixing import running_sum
+
+    rng = np.random.default_rng(2)
+    rows = [(f"k{i % 3}", int(rng.integers(-(2**63), 2**63, dtype=np.int64)) if i % 5 else 7, i, i % 11) for i in range(300)]
+    got = running_sum(spark.createDataFrame(rows, "k string, spot long, t long, n long"), "k", "spot", ["t"], F.col("n"), "upto").collect()
+    for r in got:
+        assert r.upto == sum(n for k, s, t, n in rows if k == r.k and (s, t) < (r.spot, r.t))
+
+
 def test_odd_documents(spark):
     rows = [(1, "a b c", "s", 0), (1, "a b c", "s", 0), (2, None, None, 0), (None, "x y", None, 0), (3, "", "t", 0)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, source string, size int")
