@@ -261,23 +261,49 @@ def preorder_arrays(n: int, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, n
 CHUNK = 1 << 16
 
 
-def layered_mask(seq: np.ndarray, u: np.ndarray, v: np.ndarray, k: int) -> np.ndarray:
-    """For each edge the scan-first forest that it is in, 1 ... k, or 0; each is built on what the earlier ones left."""
+def _handed(child: np.ndarray, parent: np.ndarray, seq: np.ndarray) -> np.ndarray:
+    """For edges with the places of their ends: when each is handed on, -1 for the one that its child keeps.
+
+    In order of arrival a child stores an edge from an earlier place than all before it, which displaces the one stored.
+    """
+    order = np.lexsort((seq, child))
+    c, p, s = child[order], parent[order], seq[order]
+    group = np.cumsum(np.append(0, c[1:] != c[:-1]))
+    span = int(p.max()) + 2
+    least = np.minimum.accumulate(p - group * span)  # later groups lie below earlier ones, so each begins anew
+    stored = np.append(True, (group[1:] != group[:-1]) | (least[1:] < least[:-1]))
+    when = s.copy()
+    at = np.flatnonzero(stored)
+    same = np.append(group[at[1:]] == group[at[:-1]], False)
+    when[at] = np.where(same, s[np.append(at[1:], 0)], -1)
+    out = np.empty_like(when)
+    out[order] = when
+    return out
+
+
+def layered_mask(seq: np.ndarray, u: np.ndarray, v: np.ndarray, k: int, feed: str = "original", rule: str = "preorder") -> np.ndarray:
+    """For each edge the scan-first forest that it is in, 1 ... k, or 0; each is built on what the earlier ones left.
+
+    `feed` is the order in which the next layer's order sees an edge: as they came, or as they are handed on ("handover").
+    """
     ids, flat = np.unique(np.concatenate([u, v]), return_inverse=True)
     a, b = flat[: len(u)], flat[len(u) :]
-    layer, left = np.zeros(len(u), dtype=np.int32), np.argsort(seq, kind="stable")
+    layer, left, when = np.zeros(len(u), dtype=np.int32), np.arange(len(u)), seq.copy()
     for i in range(1, k + 1):
         if not len(left):
             break
+        left = left[np.argsort(when[left], kind="stable")]
         fold = ForestFold(len(ids))
         kept = np.concatenate([fold.offer(seq[c], a[c], b[c]) for c in (left[j : j + CHUNK] for j in range(0, len(left), CHUNK))])
-        place = preorder_arrays(len(ids), a[left[kept]], b[left[kept]])[0]
-        pa, pb = place[a[left]], place[b[left]]
-        child = np.maximum(pa, pb)
-        order = np.lexsort((seq[left], np.minimum(pa, pb), child))
-        first = np.unique(child[order], return_index=True)[1]
-        layer[left[order[first]]] = i
-        left = left[layer[left] == 0]
+        place, root, depth = preorder_arrays(len(ids), a[left[kept]], b[left[kept]])
+        if rule == "level":
+            place = np.argsort(np.lexsort((np.arange(len(ids)), depth, root)))
+        x, y = place[a[left]], place[b[left]]
+        handed = _handed(np.maximum(x, y), np.minimum(x, y), seq[left])
+        layer[left[handed < 0]] = i
+        if feed == "handover":
+            when[left] = handed
+        left = left[handed >= 0]
     return layer
 
 

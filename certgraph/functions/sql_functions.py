@@ -91,6 +91,24 @@ def grouped_verdicts(edges: DataFrame, graph: str, k: int) -> DataFrame:
     return edges.groupBy(graph).applyInArrow(run, f"{graph} {kind}, n long, verdict boolean")
 
 
+def grouped_connectivity(edges: DataFrame, graph: str, k_max: int) -> DataFrame:
+    """(graph, kappa): for many small graphs at once the largest k up to k_max, each from its online certificate."""
+    kind = edges.schema[graph].dataType.simpleString()
+
+    def run(key, table):
+        cert = OnlineCertificate(k_max)
+        for e in sorted(zip(*(table[c].to_pylist() for c in ("seq", "u", "v")), strict=True)):
+            cert.offer(e)
+        g = graph_of(((u, v) for _, u, v in cert.kept), {x for c in ("u", "v") for x in table[c].to_pylist()})
+        low, high = 0, k_max
+        while low < high:
+            mid = (low + high + 1) // 2
+            low, high = (mid, high) if is_k_connected(g, mid) else (low, mid - 1)
+        return pa.table([pa.array([key[0].as_py()], table.schema.field(graph).type), pa.array([low], pa.int32())], names=[graph, "kappa"])
+
+    return edges.groupBy(graph).applyInArrow(run, f"{graph} {kind}, kappa int")
+
+
 def register_all(spark: SparkSession, sf_dir: str | None = None) -> None:
     """Registers the functions, the generated-graph source and, where tables are given, a view for each workload."""
     from certgraph.sources.edge_files import KnownGraphSource

@@ -24,12 +24,14 @@ MOST_BROADCAST = 1 << 30
 
 def shared_graph(cert: DataFrame, vertices: DataFrame) -> Broadcast:
     """The certificate as broadcast arrays, if these are small enough."""
-    e, v = cert.select("u", "v"), vertices.select("id")
-    n, m = v.count(), e.count()
-    if PackedGraph.bytes_of(m, n) > MOST_BROADCAST:
-        raise ValueError(f"{m} edges and {n} vertices are too many to broadcast; use components for k = 1")
-    e, v = e.toArrow(), v.toArrow()
-    return cert.sparkSession.sparkContext.broadcast(PackedGraph(e.column("u").to_numpy(), e.column("v").to_numpy(), v.column("id").to_numpy()))
+    rows = cert.select("u", "v").unionByName(vertices.select(F.col("id").alias("u"), F.lit(None).cast("long").alias("v")))
+    n = rows.count()
+    if PackedGraph.bytes_of(n, 0) > MOST_BROADCAST:
+        raise ValueError(f"{n} edges and vertices are too many to broadcast; use components for k = 1")
+    t = rows.toArrow()
+    edge = t.column("v").is_valid().to_numpy()
+    u, v = t.column("u").to_numpy(), t.column("v").fill_null(0).to_numpy()
+    return cert.sparkSession.sparkContext.broadcast(PackedGraph(u[edge], v[edge], u[~edge]))
 
 
 def local_connectivity_pairs(cert: DataFrame, vertices: DataFrame, pairs: DataFrame, cap: int, shared: Broadcast | None = None) -> DataFrame:
@@ -93,7 +95,7 @@ def all_min_cuts(cert: DataFrame, vertices: DataFrame, u: int, v: int, cap: int)
 def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int, shared: Broadcast | None = None) -> DataFrame:
     """One row (k, verdict, reason, witness) from a certificate for at least k.
 
-    Too few vertices and low degrees are settled by aggregates. Then the first k vertices are compared pairwise and each further
+    Too few vertices and low degrees are settled at once. Then the first k vertices are compared pairwise and each further
     one with all before it; these checks run in parallel, and one failure settles the verdict. `cert` is read more than once, so it
     should be a stored table; `shared` is its broadcast where there is one already.
     """
@@ -102,14 +104,12 @@ def is_k_connected(cert: DataFrame, vertices: DataFrame, k: int, shared: Broadca
     def verdict(ok: bool, reason: str | None, witness: list[int]) -> DataFrame:
         return spark.createDataFrame([(k, ok, reason, witness)], VERDICT)
 
-    n = vertices.count()
+    g = shared or shared_graph(cert, vertices)
+    n, degrees = len(g.value), np.diff(g.value.starts)
     if n <= k:
         return verdict(False, "too_few_vertices", [])
-    degree = vertices.select("id").join(cert.select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").count(), "id", "left").withColumn("d", F.coalesce("count", F.lit(0)))
-    low = degree.filter(F.col("d") < k).agg(F.min("id").alias("id")).first()
-    if low.id is not None:
-        return verdict(False, "low_degree", [low.id])
-    g = shared or shared_graph(cert, vertices)
+    if degrees.min() < k:
+        return verdict(False, "low_degree", [int(g.value.ids[np.argmax(degrees < k)])])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

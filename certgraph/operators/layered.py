@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from certgraph.functions.graph_kernels import ForestFold, LayeredFold
+from certgraph.functions.graph_kernels import ForestFold, LayeredFold, layered_mask
 from certgraph.operators.edges import EdgeStream, vertex_set
 from certgraph.operators.forest import edge_batch, edge_chunks, first_neighbour_forest, merge_tree, oriented, scan_order, spanning_forest
 from certgraph.plans.staging import Stages
@@ -20,6 +20,8 @@ from certgraph.schemas import CERTIFICATE
 
 #: Stream positions of one stretch: a child's edges are handled together within a stretch, however many it has in all.
 STRETCH = 1 << 20
+#: Edges (three words each, and some as many again while a layer is built) that one task certifies instead of k + 1 distributed passes.
+IN_ONE_TASK = 1 << 20
 
 
 @dataclass
@@ -138,15 +140,29 @@ def layered_run(edges: DataFrame, k: int, vertices: DataFrame | None = None, rul
     return run
 
 
-def layered_certificate(edges: DataFrame, k: int, vertices: DataFrame | None = None, rule: str = "preorder", feed: str = "handover", forest: str = "tree_merge", mode: str = "exact") -> DataFrame:
+def layered_certificate(edges: DataFrame, k: int, vertices: DataFrame | None = None, rule: str = "preorder", feed: str = "handover", forest: str = "tree_merge", mode: str = "exact", in_one_task: int = IN_ONE_TASK) -> DataFrame:
     """certificate(seq, u, v, layer) of at most k(n - 1) edges: k-connected iff the graph is, with the same l-separators, l < k.
 
-    mode "exact" makes k + 1 passes; "merge" reads the edges once: every partition is certified on its own, and unions of
+    mode "exact" makes k + 1 passes, see `layered_run`; a graph of at most `in_one_task` edges is certified by one task
+    instead, with the same rows. "merge" reads the edges once: every partition is certified on its own, and unions of
     certificates are certified again up a tree. Layers are then those of the last merge.
     """
-    if mode == "exact":
+    if mode != "exact":
+        return merged_layers(edges, k)
+    if k < 1 or feed not in ("handover", "original") or rule not in ("preorder", "level"):
+        raise ValueError("k must be at least 1, feed handover or original, rule preorder or level")
+    st = Stages(edges.sparkSession, "layered")
+    edges = st.keep(edges.select("seq", "u", "v"), "edges")
+    if edges.count() > in_one_task:
         return layered_run(edges, k, vertices, rule, feed, forest).certificate
-    return merged_layers(edges, k)
+
+    def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for seq, u, v in edge_chunks(batches, in_one_task + 1):
+            layer = layered_mask(seq, u, v, k, feed, rule)
+            on = layer > 0
+            yield edge_batch(seq[on], u[on], v[on], layer=pa.array(layer[on], pa.int32()))
+
+    return st.keep(edges.coalesce(1).mapInArrow(local, CERTIFICATE), "certificate")
 
 
 def merged_layers(edges: DataFrame, k: int, partitions: int | None = None) -> DataFrame:

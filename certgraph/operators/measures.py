@@ -5,13 +5,13 @@ from __future__ import annotations
 import math
 import time
 from collections.abc import Iterator
-from itertools import combinations
 
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from certgraph.functions.graph_kernels import OnlineCertificate, check_flow
+from certgraph.functions.graph_kernels import OnlineCertificate, check_flow, component_count, nth_combination
 from certgraph.operators.components import component_labels
 from certgraph.operators.decide import all_pairs, certificate_for, is_k_connected, local_connectivity_pairs, shared_graph, spread
 from certgraph.operators.edges import remove_vertices, vertex_set
@@ -179,43 +179,62 @@ def local_agreement(edges: DataFrame, cert: DataFrame, vertices: DataFrame, cap:
     return a.join(b, ["u", "v"]).filter("in_graph <> in_certificate")
 
 
+def _small_sets(shared: Broadcast, spark: SparkSession, k: int, sets: int | None, work, schema: str) -> DataFrame:
+    """`work` on vertex sets of fewer than k, all of them or so many drawn by a fixed rule; made in the tasks from their numbers."""
+    n = len(shared.value)
+    counts = [math.comb(n, r) for r in range(min(k, n + 1))]
+    rows = spark.range(sum(counts)) if sets is None else spark.range(sets).select(F.pmod(F.xxhash64("id", F.lit(17)), F.lit(sum(counts))).alias("id"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids = shared.value.ids
+        for b in batches:
+            chosen = []
+            for index in b.column(0).to_pylist():
+                size = 0
+                while index >= counts[size]:
+                    index -= counts[size]
+                    size += 1
+                chosen.append([int(ids[i]) for i in nth_combination(n, size, index)])
+            yield work(chosen)
+
+    return spread(rows).mapInArrow(run, schema)
+
+
+def pieces_without(cert: DataFrame, vertices: DataFrame, k: int, sets: int | None = None) -> DataFrame:
+    """(removed, pieces): into how many components a certificate falls without each set of fewer than k vertices."""
+    c = shared_graph(cert, vertices)
+
+    def work(chosen: list[list[int]]) -> pa.RecordBatch:
+        pieces = [component_count(c.value, set(s)) for s in chosen]
+        return pa.RecordBatch.from_arrays([pa.array(chosen, pa.list_(pa.int64())), pa.array(pieces, pa.int32())], names=["removed", "pieces"])
+
+    return _small_sets(c, cert.sparkSession, k, sets, work, "removed array<long>, pieces int")
+
+
 def validate_certificate(edges: DataFrame, cert: DataFrame, vertices: DataFrame, k: int, sets: int | None = None) -> DataFrame:
     """(removed, same): for removed sets of fewer than k vertices, whether graph and certificate have equal components.
 
     All sets if `sets` is None (for small graphs), else so many drawn by a fixed rule.
     """
     g, c = shared_graph(edges, vertices), shared_graph(cert, vertices)
-    ids = sorted(g.value)
-    if sets is None:
-        removed = [list(s) for r in range(min(k, len(ids) + 1)) for s in combinations(ids, r)]
-    else:
-        import random
-
-        rng = random.Random(17)
-        removed = [sorted(rng.sample(ids, min(len(ids), rng.randrange(k)))) for _ in range(sets)]
 
     def labels(graph, gone):
-        out, n = {}, 0
-        for s in sorted(graph):
-            if s in gone or s in out:
-                continue
-            todo = [s]
-            out[s] = n
-            while todo:
-                for y in graph[todo.pop()]:
-                    if y not in gone and y not in out:
-                        out[y] = n
-                        todo.append(y)
-            n += 1
+        out: dict[int, int] = {}
+        for s in graph:
+            if s not in gone and s not in out:
+                todo, out[s] = [s], s
+                while todo:
+                    for y in graph[todo.pop()]:
+                        if y not in gone and y not in out:
+                            out[y] = s
+                            todo.append(y)
         return out
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = b.column(0).to_pylist()
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([labels(g.value, set(s)) == labels(c.value, set(s)) for s in rows], pa.bool_())], names=["removed", "same"])
+    def work(chosen: list[list[int]]) -> pa.RecordBatch:
+        same = [labels(g.value, set(s)) == labels(c.value, set(s)) for s in chosen]
+        return pa.RecordBatch.from_arrays([pa.array(chosen, pa.list_(pa.int64())), pa.array(same, pa.bool_())], names=["removed", "same"])
 
-    spark = edges.sparkSession
-    return spread(spark.createDataFrame([(s,) for s in removed], "removed array<long>")).mapInArrow(run, "removed array<long>, same boolean")
+    return _small_sets(g, edges.sparkSession, k, sets, work, "removed array<long>, same boolean")
 
 
 def without(edges: DataFrame, vertices: DataFrame, members: list[int]) -> int:

@@ -7,12 +7,13 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from certgraph.functions.sql_functions import grouped_connectivity
 from certgraph.operators import baselines, decide, layered, measures, online, separators
 from certgraph.operators.edges import in_layer, induced, remove_vertices, reordered, residual, vertex_set
 from certgraph.operators.forest import check_scan_order, components, first_neighbour_forest, min_spanning_forest, scan_first_forest, scan_order, spanning_forest
 from certgraph.plans import oracle_sql as sql
 from certgraph.plans.staging import Stages
-from certgraph.sources.workloads import WORKLOADS, known_edges
+from certgraph.sources.workloads import KNOWN, WORKLOADS, known_edges, known_graph
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -24,7 +25,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _graph(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
     st = Stages(spark, name)
-    e = st.keep(WORKLOADS[name](spark, sf_dir), "edges")
+    e = st.keep(known_edges(spark, name[6:]) if name.startswith("known_") else WORKLOADS[name](spark, sf_dir), "edges")
     return e, st.keep(vertex_set(e), "vertices")
 
 
@@ -151,6 +152,22 @@ def _order_free_sql(name: str, k: int) -> str:
     return f"SELECT stream, k, verdict FROM (VALUES ('given'), ('reversed'), ('hashed')) t(stream), ({sql.k_connected(name, k)}) q"
 
 
+def _order_free_separators(name: str, size: int) -> Query:
+    """How many separators each stream order shows, and how many all of them show: the same number."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        out = None
+        for rule in ("given", "reversed", "hashed"):
+            c = layered.layered_certificate(reordered(e, rule), size + 1, v)
+            row = separators.all_separators(c, v, size + 1).select("l", "members").withColumn("stream", F.lit(rule))
+            out = row if out is None else out.unionByName(row)
+        shown = out.groupBy("l", "members").agg(F.count(F.lit(1)).alias("streams"))
+        return shown.groupBy("l").agg(F.count(F.lit(1)).alias("separators"), F.min("streams").alias("fewest_streams"))
+
+    return run
+
+
 def _without_hubs(name: str, keep: bool) -> Query:
     """The graph without its ten busiest vertices, or only with those of degree three and more."""
 
@@ -204,19 +221,88 @@ def _smallest(name: str, k: int) -> Query:
     return run
 
 
-def _faults(name: str, k: int, via: str) -> Query:
-    """Removed sets of fewer than k vertices for which certificate and graph fall into other components; none."""
+def _pieces(name: str, k: int, via: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.pieces_without(decide.certificate_for(e, k, via, v), v, k)
+
+    return run
+
+
+def _valid(name: str, k: int, via: str, sets: int) -> Query:
+    """Drawn sets of fewer than k vertices for which certificate and graph fall into other components; none."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         e, v = _graph(spark, sf_dir, name)
-        found = measures.validate_certificate(e, decide.certificate_for(e, k, via, v), v, k)
+        found = measures.validate_certificate(e, decide.certificate_for(e, k, via, v), v, k, sets)
         return found.agg(F.count(F.lit(1)).alias("sets"), F.sum(F.when(F.col("same"), 0).otherwise(1)).alias("faults"))
 
     return run
 
 
 def _agreement(name: str, k: int) -> Query:
-    return lambda spark, sf_dir: measures.agreement(_graph(spark, sf_dir, name)[0], k)
+    return lambda spark, sf_dir: measures.agreement(_graph(spark, sf_dir, name)[0], k).select("k", "method", "verdict")
+
+
+def _floor(name: str, k: int) -> Query:
+    """Smallest degree in the certificate of a k-connected graph, and whether it and its rows reach the floor."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        c = layered.layered_certificate(e, k, v)
+        least = measures.min_degree(c, v).select((F.col("min_degree") >= k).alias("degrees_reach_k"))
+        size = measures.certificate_stats(e, c, k, v).select("n", "m", (F.col("of_floor") >= 1).alias("rows_reach_floor"), (F.col("of_layers") <= 1).alias("rows_within_layers"))
+        return least.join(F.broadcast(size))
+
+    return run
+
+
+def _floor_sql(name: str, k: int) -> str:
+    """What a k-connected graph must show; empty unless its own degrees reach k."""
+    return f"SELECT n, m, TRUE AS degrees_reach_k, TRUE AS rows_reach_floor, TRUE AS rows_within_layers FROM ({sql.degree_stats(name)}) WHERE min_degree >= {k}"
+
+
+def _passes(name: str, k: int) -> Query:
+    """Rows that each pass of the layered method read, counted while it ran."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        reads = layered.layered_run(e, k, v, feed="original").reads
+        return spark.createDataFrame([(i, n) for i, n in enumerate(reads, 1)], "pass int, rows_read long").withColumnRenamed("pass", "pass_no")
+
+    return run
+
+
+def _passes_sql(name: str, k: int) -> str:
+    """The whole graph twice, then what earlier layers leave."""
+    cert = sql.layered(name, k)
+    return f"SELECT p::INT AS pass_no, (SELECT count(*) FROM ({sql.edges(name)})) - (SELECT count(*) FROM ({cert}) WHERE layer < p - 1) AS rows_read FROM range(1, {k + 2}) t(p)"
+
+
+def _spanner_bounds(name: str, t: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return baselines.spanner_report(e, Stages(spark, name).keep(baselines.greedy_spanner(e, t), "spanner"), v, t)
+
+    return run
+
+
+def _work_of_decision(name: str, k: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.decision_work(layered.layered_certificate(e, k, v), v, k)
+
+    return run
+
+
+def _separators_agree(name: str, size: int, via: str) -> Query:
+    """Separators of the graph, of its certificate, and of both."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e, v = _graph(spark, sf_dir, name)
+        return measures.separator_agreement(e, decide.certificate_for(e, size + 1, via, v), v, size)
+
+    return run
 
 
 def _layer_faults(name: str, k: int) -> Query:
@@ -235,23 +321,18 @@ def _sizes(name: str, k: int) -> Query:
     return run
 
 
-#: Graphs of known connectivity.
-KNOWN = (("path", (7,), 1), ("cycle", (8,), 2), ("star", (5,), 1), ("wheel", (6,), 3), ("complete", (5,), 4), ("bipartite", (3, 4), 3), ("grid", (3, 4), 2), ("cube", (3,), 3), ("harary", (4, 9), 4), ("cliques", (5, 3), 3))
-
-
 def _known(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = [(kind, decide.vertex_connectivity(known_edges(spark, kind, *size), 5, "online")) for kind, size, _ in KNOWN]
-    return spark.createDataFrame(rows, "graph string, kappa int")
+    rows = [(name, i, min(e), max(e)) for name, (kind, size, _) in KNOWN.items() for i, e in enumerate(known_graph(kind, *size), 1)]
+    return grouped_connectivity(spark.createDataFrame(rows, "graph string, seq long, u long, v long"), "graph", 8)
 
 
-def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    graphs = {n: WORKLOADS[n](spark, sf_dir) for n in ("call_error", "nation_trade", "nation_bulk")}
-    return measures.timed_sweep(spark, graphs, (1, 2, 3), ("layered", "layered_merge", "online_rounds", "online_merge")).drop("seconds")
+#: Methods of the sweep.
+METHODS = ("layered", "layered_merge", "online", "online_rounds", "online_merge")
 
 
-def _sweep_of(name: str) -> Query:
-    methods = ("layered", "layered_merge", "online", "online_rounds", "online_merge")
-    return lambda spark, sf_dir: measures.timed_sweep(spark, {name: WORKLOADS[name](spark, sf_dir)}, tuple(range(1, 7)), methods).drop("seconds")
+def _sweep(name: str) -> Query:
+    """Passes and certificate rows of every method for k = 1 ... 6."""
+    return lambda spark, sf_dir: measures.timed_sweep(spark, {name: WORKLOADS[name](spark, sf_dir)}, tuple(range(1, 7)), METHODS).select("workload", "method", "k", "n", "m", "cert_rows", "passes")
 
 
 def _table() -> dict[str, tuple[Query, str | None]]:
@@ -272,36 +353,28 @@ def _table() -> dict[str, tuple[Query, str | None]]:
         out[f"scan_order_{name}"] = (_order(name, "preorder"), sql.scan_order(name))
         out[f"scan_first_forest_{name}"] = (lambda s, d, n=name: scan_first_forest(*_graph(s, d, n)), sql.scan_first_forest(name))
         out[f"handed_edges_{name}"] = (_handed(name), sql.handed(name))
-    out["scan_order_level_host_link"] = (_order("host_link", "level"), None)
+    out["scan_order_level_host_link"] = (_order("host_link", "level"), sql.level_order("host_link"))
     out["layered_original_nation_trade_3"] = (_layered("nation_trade", 3, feed="original"), sql.layered("nation_trade", 3))
     out["layered_original_host_link_2"] = (_layered("host_link", 2, feed="original"), sql.layered("host_link", 2))
-    out["layered_handover_host_link_3"] = (_layered("host_link", 3), None)
+    out["layered_handover_host_link_3"] = (_layered("host_link", 3), sql.layered_handover("host_link", 3))
+    out["layered_handover_nation_trade_6"] = (_layered("nation_trade", 6), sql.layered_handover("nation_trade", 6))
+    out["layered_original_nation_trade_6"] = (_layered("nation_trade", 6, feed="original"), sql.layered("nation_trade", 6))
     out["layered_level_host_link_2"] = (_layered("host_link", 2, rule="level"), None)
     out["layered_merge_part_supplier_3"] = (_layered("part_supplier", 3, mode="merge"), None)
     for via in ("online", "online_rounds", "online_merge"):
         out[f"{via}_certificate_call_error_3"] = (_cert(via, "call_error", 3), None)
-    for name, k in (("nation_trade", 3), ("nation_bulk", 2), ("nation_bulk", 3), ("user_topic_error", 2), ("host_link", 2), ("part_supplier_quarter", 2)):
+    for name, k in (("nation_trade", 3), ("user_topic_error", 2), ("host_link", 2), ("part_supplier_quarter", 2)):
         for via in ("layered", "online_merge", "full"):
             out[f"k_connected_{via}_{name}_{k}"] = (_verdict(via, name, k), sql.k_connected(name, k))
-    out["k_connected_layered_merge_nation_bulk_3"] = (_verdict("layered_merge", "nation_bulk", 3), sql.k_connected("nation_bulk", 3))
-    out["k_connected_online_nation_bulk_3"] = (_verdict("online", "nation_bulk", 3), sql.k_connected("nation_bulk", 3))
-    out["order_free_nation_bulk_3"] = (_order_free("nation_bulk", 3), _order_free_sql("nation_bulk", 3))
     for name in ("host_link", "page_link", "user_topic_error", "part_supplier_quarter", "turn_path", "doc_line", "geo_tree"):
         out[f"cut_vertices_{name}"] = (_cuts("layered", name), sql.cut_vertices(name))
     out["cut_vertices_online_page_link"] = (_cuts("online_merge", "page_link"), sql.cut_vertices("page_link"))
-    out["separators2_nation_bulk"] = (_separators("layered", "nation_bulk", 2), sql.separators("nation_bulk", 2))
-    out["separators2_online_nation_bulk"] = (_separators("online", "nation_bulk", 2), sql.separators("nation_bulk", 2))
-    out["separators3_nation_bulk"] = (_separators("layered", "nation_bulk", 3), sql.separators("nation_bulk", 3))
-    out["all_separators_nation_bulk_4"] = (_all_separators("nation_bulk", 4), sql.all_separators("nation_bulk", 4))
-    out["count_separators2_nation_bulk"] = (_count("nation_bulk", 2), sql.separator_count("nation_bulk", 2))
-    for via in ("layered", "online", "full"):
-        out[f"kappa_{via}_nation_bulk_3"] = (_kappa(via, "nation_bulk", 3), sql.kappa("nation_bulk", 3))
     for name in ("nation_trade", "call_error"):
         out[f"certificate_bounds_{name}"] = (_bounds(name, (1, 2, 3)), sql.bounds(name, (1, 2, 3)))
     out["predicted_costs_call_error_3"] = (_predicted("call_error", 3), sql.predicted("call_error", 3))
     out["bipartite_user_topic_error"] = (lambda s, d: baselines.is_bipartite(_graph(s, d, "user_topic_error")[0]).select("bipartite"), sql.bipartite("user_topic_error"))
     out["bipartite_call_error"] = (lambda s, d: baselines.is_bipartite(_graph(s, d, "call_error")[0]).select("bipartite"), sql.bipartite("call_error"))
-    out["bfs_layers_host_link_2"] = (lambda s, d: baselines.bfs_layer_certificate(_graph(s, d, "host_link")[0], 2)[0], None)
+    out["bfs_layers_host_link_2"] = (lambda s, d: baselines.bfs_layer_certificate(_graph(s, d, "host_link")[0], 2)[0], sql.bfs_layers("host_link", 2))
     out["forest_partition_call_error_3"] = (lambda s, d: baselines.forest_partition_certificate(_graph(s, d, "call_error")[0], 3), None)
     out["small_k_call_error_3"] = (lambda s, d: baselines.small_k_certificate(_graph(s, d, "call_error")[0], 3), None)
     out["local_layers_call_error_3"] = (lambda s, d: baselines.local_layer_certificate(_graph(s, d, "call_error")[0], 3), None)
@@ -315,49 +388,85 @@ def _table() -> dict[str, tuple[Query, str | None]]:
     out["in_layer_host_link"] = (_first_layer("host_link", "member"), sql.first_layer("host_link", "member"))
     for rule in ("preorder", "level"):
         out[f"order_faults_{rule}_page_link"] = (_legal("page_link", rule), "SELECT CAST(0 AS BIGINT) AS faults")
-    for via in ("layered", "online", "full"):
-        out[f"vertex_connectivity_{via}_nation_bulk"] = (_largest_k("nation_bulk", 3, via), sql.largest_k("nation_bulk", 3))
-    out["minimal_separators3_nation_bulk"] = (_minimal("nation_bulk", 3), sql.minimal_separators("nation_bulk", 3))
-    out["certificate_faults_layered_nation_bulk_3"] = (_faults("nation_bulk", 3, "layered"), sql.removed_sets("nation_bulk", 3))
-    out["certificate_faults_online_nation_bulk_3"] = (_faults("nation_bulk", 3, "online_merge"), sql.removed_sets("nation_bulk", 3))
-    out["agreement_nation_bulk_3"] = (_agreement("nation_bulk", 3), sql.agreement("nation_bulk", 3))
     out["layer_faults_host_link_3"] = (_layer_faults("host_link", 3), "SELECT CAST(0 AS BIGINT) AS faults")
     out["layered_sizes_nation_trade_2"] = (_sizes("nation_trade", 2), sql.layered_sizes("nation_trade", 2))
     out["min_degree_host_link"] = (lambda s, d: measures.min_degree(*_graph(s, d, "host_link")), sql.min_degree("host_link"))
-    out["known_graphs"] = (_known, "SELECT graph, kappa::INT AS kappa FROM (VALUES " + ", ".join(f"('{k}', {n})" for k, _, n in KNOWN) + ") t(graph, kappa)")
-    out["sweep_rows"] = (_sweep, None)
-    out["minimum_separators_nation_bulk"] = (_smallest("nation_bulk", 4), sql.smallest_separators("nation_bulk", 4))
-    return _whole_tables() | out
+    out["known_graphs"] = (_known, "SELECT graph, kappa::INT AS kappa FROM (VALUES " + ", ".join(f"('{name}', {n})" for name, (_, _, n) in KNOWN.items()) + ") t(graph, kappa)")
+    out["certificate_floor_call_all_6"] = (_floor("call_all", 6), _floor_sql("call_all", 6))
+    out["passes_host_link_3"] = (_passes("host_link", 3), _passes_sql("host_link", 3))
+    out["spanner_bounds_call_error_3"] = (_spanner_bounds("call_error", 3), None)
+    out["decision_work_call_error_6"] = (_work_of_decision("call_error", 6), None)
+    out["peak_words_call_error_3"] = (lambda s, d: measures.peak_words(_graph(s, d, "call_error")[0], 3), None)
+    out["layered_work_host_link_3"] = (lambda s, d: measures.layered_work(layered.layered_run(*(lambda g: (g[0], 3, g[1]))(_graph(s, d, "host_link")))), None)
+    return out | _known_answers() | _whole_tables()
+
+
+def _known_answers() -> dict[str, tuple[Query, str | None]]:
+    """Decisions for k up to 7, separators of up to four vertices and what lies between, against removal of all small sets."""
+    out: dict[str, tuple[Query, str | None]] = {}
+    for name, (_, _, kappa) in KNOWN.items():
+        g = f"known_{name}"
+        if kappa < 2:
+            continue
+        for k in (kappa, kappa + 1):
+            for via in ("layered", "online_merge"):
+                out[f"k_connected_{via}_{g}_{k}"] = (_verdict(via, g, k), sql.k_connected(g, k))
+    for name in ("cube", "cliques", "harary"):
+        g = f"known_{name}"
+        out[f"all_separators_{g}_6"] = (_all_separators(g, 6), sql.all_separators(g, 6))
+        out[f"kappa_layered_{g}_5"] = (_kappa("layered", g, 5), sql.kappa(g, 5))
+        out[f"kappa_online_{g}_5"] = (_kappa("online", g, 5), sql.kappa(g, 5))
+    for name in ("grid", "cycle", "prism", "cube"):
+        g = f"known_{name}"
+        out[f"separators4_online_{g}"] = (_separators("online_merge", g, 4), sql.separators(g, 4))
+        out[f"minimal_separators4_{g}"] = (_minimal(g, 4), sql.minimal_separators(g, 4))
+        out[f"minimum_separators_{g}"] = (_smallest(g, 5), sql.smallest_separators(g, 5))
+        out[f"count_separators3_{g}"] = (_count(g, 3), sql.separator_count(g, 3))
+    for name in ("grid", "cliques"):
+        g = f"known_{name}"
+        for via in ("layered", "layered_merge", "online", "online_merge"):
+            out[f"pieces_without_{via}_{g}_4"] = (_pieces(g, 4, via), sql.pieces_without(g, 4))
+    for name in ("cube", "cliques"):
+        g = f"known_{name}"
+        out[f"agreement_{g}_5"] = (_agreement(g, 5), sql.agreement(g, 5))
+        out[f"order_free_{g}_5"] = (_order_free(g, 5), _order_free_sql(g, 5))
+        out[f"vertex_connectivity_layered_{g}"] = (_largest_k(g, 7, "layered"), sql.largest_k(g, 7))
+        out[f"vertex_connectivity_full_{g}"] = (_largest_k(g, 7, "full"), sql.largest_k(g, 7))
+    return out
 
 
 def _whole_tables() -> dict[str, tuple[Query, str | None]]:
-    """What `nation_bulk` is asked, on surveyed graphs over whole tables; SQL by removal is too slow for them, tests compare by brute force."""
-    out: dict[str, Query] = {}
-    for name in ("user_topic_error", "nation_trade"):
-        out[f"separators2_{name}"] = _separators("layered", name, 2)
-        out[f"separators2_online_{name}"] = _separators("online", name, 2)
-        out[f"separators3_{name}"] = _separators("layered", name, 3)
-        out[f"all_separators_{name}_4"] = _all_separators(name, 4)
-        out[f"minimal_separators3_{name}"] = _minimal(name, 3)
-        out[f"minimum_separators_{name}"] = _smallest(name, 5)
-        for via in ("layered", "online", "full"):
-            out[f"kappa_{via}_{name}_3"] = _kappa(via, name, 3)
-        out[f"certificate_faults_layered_{name}_3"] = _faults(name, 3, "layered")
-        out[f"certificate_faults_online_{name}_3"] = _faults(name, 3, "online_merge")
+    """Large k, separators and sweeps on graphs of whole tables; SQL by removal is too slow for most, tests compare by brute force."""
+    out: dict[str, tuple[Query, str | None]] = {}
+    for name, k in (("call_all", 5), ("call_all", 6), ("supplier_coorder", 6), ("nation_trade", 6), ("user_topic_error", 5), ("part_supplier_year", 3), ("customer_supplier_returns", 3), ("geo_orders", 5)):
+        for via in ("layered", "online_merge"):
+            out[f"k_connected_{via}_{name}_{k}"] = (_verdict(via, name, k), sql.k_connected_by_signs(name, k))
+    out["k_connected_full_call_all_6"] = (_verdict("full", "call_all", 6), sql.k_connected_by_signs("call_all", 6))
+    out["k_connected_online_call_error_6"] = (_verdict("online", "call_error", 6), None)
+    for via in ("layered", "layered_merge", "online_merge", "full"):
+        out[f"k_connected_{via}_call_error_6"] = (_verdict(via, "call_error", 6), None)
+        out[f"k_connected_{via}_user_topic_error_4"] = (_verdict(via, "user_topic_error", 4), None)
     for name in ("part_supplier_year", "customer_supplier_returns"):
-        out[f"separators2_{name}"] = _separators("layered", name, 2)
-    for name in ("user_topic_error", "nation_trade", "part_supplier_year", "customer_supplier_returns"):
-        out[f"count_separators2_{name}"] = _count(name, 2)
-        out[f"agreement_{name}_3"] = _agreement(name, 3)
-        out[f"order_free_{name}_3"] = _order_free(name, 3)
-        for via in ("layered", "online", "full"):
-            out[f"vertex_connectivity_{via}_{name}"] = _largest_k(name, 5, via)
-        for via in ("layered", "layered_merge", "online", "online_merge", "full"):
-            out[f"k_connected_{via}_{name}_3"] = _verdict(via, name, 3)
-    out["order_free_call_error_3"] = _order_free("call_error", 3)
+        out[f"vertex_connectivity_layered_{name}"] = (_largest_k(name, 5, "layered"), sql.largest_k_by_signs(name))
+        out[f"separators2_{name}"] = (_separators("layered", name, 2), None)
+    out["vertex_connectivity_layered_call_error"] = (_largest_k("call_error", 8, "layered"), None)
+    out["vertex_connectivity_online_call_error"] = (_largest_k("call_error", 8, "online_merge"), None)
+    for name in ("user_topic_error", "host_link"):
+        out[f"separators2_{name}"] = (_separators("layered", name, 2), None)
+        out[f"separators_agree2_layered_{name}"] = (_separators_agree(name, 2, "layered"), None)
+        out[f"separators_agree2_online_{name}"] = (_separators_agree(name, 2, "online_merge"), None)
+    out["kappa_layered_user_topic_error_5"] = (_kappa("layered", "user_topic_error", 5), None)
+    out["kappa_full_user_topic_error_5"] = (_kappa("full", "user_topic_error", 5), None)
+    out["minimum_separators_user_topic_error"] = (_smallest("user_topic_error", 5), None)
+    for via in ("layered", "online_merge"):
+        out[f"certificate_faults_{via}_user_topic_error_5"] = (_valid("user_topic_error", 5, via, 5000), "SELECT CAST(5000 AS BIGINT) AS sets, CAST(0 AS BIGINT) AS faults")
+    for name in ("call_error", "user_topic_error"):
+        out[f"agreement_{name}_5"] = (_agreement(name, 5), None)
+        out[f"order_free_{name}_5"] = (_order_free(name, 5), None)
+        out[f"order_free_separators_{name}"] = (_order_free_separators(name, 2), None)
     for name in ("call_error", "user_topic_error", "part_supplier", "nation_trade", "customer_supplier_returns"):
-        out[f"sweep_rows_{name}"] = _sweep_of(name)
-    return {name: (query, None) for name, query in out.items()}
+        out[f"sweep_{name}"] = (_sweep(name), None)
+    return out
 
 
 def queries() -> dict[str, Query]:

@@ -114,15 +114,6 @@ def nation_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
     return canonical_edges(t, "c_nationkey", "s_nationkey", _LINE_ORDER)
 
 
-def nation_bulk(spark: SparkSession, sf_dir: str, day_step: int = 120) -> DataFrame:
-    """Nations that trade full-size orders on every `day_step`-th day of the year: a sparse graph on few vertices."""
-    full = (F.col("l_quantity") >= 45) & (F.pmod(F.dayofyear("l_shipdate"), F.lit(day_step)) == 0)
-    t = _trades(spark, sf_dir, full)
-    t = t.join(table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey"))
-    t = t.join(table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey"))
-    return canonical_edges(t, "c_nationkey", "s_nationkey", _LINE_ORDER)
-
-
 def supplier_coorder(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").distinct()
     return canonical_edges(s.join(s.select("l_orderkey", F.col("l_suppkey").alias("other")), "l_orderkey").filter("l_suppkey < other"), "l_suppkey", "other", ["l_orderkey", "l_suppkey", "other"])
@@ -206,7 +197,6 @@ WORKLOADS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "part_supplier_quarter": lambda s, d: part_supplier(s, d, "1997-01-01", "1997-04-01"),
     "part_supplier_year": lambda s, d: part_supplier(s, d, "1997-01-01", "1998-01-01"),
     "nation_trade": nation_trade,
-    "nation_bulk": nation_bulk,
     "supplier_coorder": supplier_coorder,
     "customer_supplier_returns": customer_supplier_returns,
     "customer_part": customer_part,
@@ -248,6 +238,25 @@ def known_graph(kind: str, *size: int) -> list[tuple[int, int]]:
     raise ValueError(f"no such graph: {kind}")
 
 
+#: Graphs of known connectivity, by name: kind, size, and how many vertices have to go before the graph falls apart.
+KNOWN: dict[str, tuple[str, tuple[int, ...], int]] = {
+    "path": ("path", (7,), 1),
+    "star": ("star", (5,), 1),
+    "cycle": ("cycle", (11,), 2),
+    "grid": ("grid", (3, 5), 2),
+    "wheel": ("wheel", (9,), 3),
+    "prism": ("harary", (3, 12), 3),
+    "cube": ("cube", (4,), 4),
+    "cliques": ("cliques", (8, 5), 5),
+    "harary": ("harary", (5, 12), 5),
+    "bipartite": ("bipartite", (6, 7), 6),
+    "complete": ("complete", (8,), 7),
+}
+
+
 def known_edges(spark: SparkSession, kind: str, *size: int) -> DataFrame:
+    """Edges of `known_graph`, or of one of `KNOWN` by its name alone."""
+    if not size:
+        kind, size, _ = KNOWN[kind]
     rows = [(i, min(u, v), max(u, v)) for i, (u, v) in enumerate(known_graph(kind, *size), 1)]
     return spark.createDataFrame(rows, "seq long, u long, v long")

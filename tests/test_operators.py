@@ -116,8 +116,16 @@ def test_nested_schedule_equals_the_replay(spark):
     rng = random.Random(2)
     for _ in range(3):
         edges = [(i, u, v) for i, (u, v) in enumerate(rng.sample([p for p in combinations(range(9), 2) if rng.random() < 0.8], k=22), 1)]
-        got = layered.layered_certificate(spark.createDataFrame(edges, "seq long, u long, v long"), 3)
-        assert sorted((r.seq, r.layer) for r in got.collect()) == replay(edges, 3)
+        e = spark.createDataFrame(edges, "seq long, u long, v long")
+        for got in (layered.layered_certificate(e, 3), layered.layered_run(e, 3).certificate):
+            assert sorted((r.seq, r.layer) for r in got.collect()) == replay(edges, 3)
+
+
+def test_one_task_gives_the_rows_of_the_passes(spark, sf):
+    e = Stages(spark, "t").keep(WORKLOADS["call_error"](spark, sf), "edges")
+    for rule, feed in (("preorder", "handover"), ("level", "original")):
+        one, passes = (layered.layered_certificate(e, 3, rule=rule, feed=feed, in_one_task=n) for n in (10**6, 0))
+        assert sorted(one.collect()) == sorted(passes.collect())
 
 
 @pytest.mark.parametrize("rule", ["preorder", "level"])
@@ -160,7 +168,7 @@ def test_layered_run_keeps_its_promises(spark, calls):
 
 @pytest.mark.parametrize("via", ["layered", "layered_merge", "online", "online_rounds", "online_merge"])
 def test_certificates_preserve_components_without_small_sets(spark, sf, via):
-    e = WORKLOADS["nation_bulk"](spark, sf.replace("0.001", "0.01")).cache()
+    e = known_edges(spark, "grid")
     v = vertex_set(e).cache()
     cert = decide.certificate_for(e, 3, via, v)
     assert measures.validate_certificate(e, cert, v, 3).filter("NOT same").count() == 0

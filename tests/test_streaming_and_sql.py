@@ -85,4 +85,4 @@ def test_entry_and_registered_queries(spark):
 
     assert entry.entry(spark).count() == 13 + 1297
     names = set(entry.queries())
-    assert set(entry.oracle_sql()) <= names and {"cut_vertices_host_link", "separators2_nation_bulk"} <= names
+    assert set(entry.oracle_sql()) <= names and {"cut_vertices_host_link", "separators4_online_known_cube"} <= names
