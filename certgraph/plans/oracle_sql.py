@@ -248,12 +248,16 @@ def k_connected(name: str, k: int) -> str:
 
 
 def k_connected_by_signs(name: str, k: int) -> str:
-    """Where removing sets would take too long: a small degree, a cut vertex or several components refute it; common neighbours of all
+    """Where removing sets would take too long: a small degree or several components refute it; common neighbours of all
     pairs that are not adjacent prove it, as they cannot all go; null if neither does."""
     pairs = f"SELECT p.id, q.id FROM vs p JOIN vs q ON p.id < q.id ANTI JOIN e ON e.u = p.id AND e.v = q.id LEFT JOIN b x ON x.x = p.id LEFT JOIN b y ON y.x = q.id AND y.y = x.y GROUP BY p.id, q.id HAVING count(y.y) < {k}"
     proof = _with(name, [], f"SELECT count(*) AS n FROM ({pairs})")
-    degrees = f"SELECT n > {k} AND min_degree >= {k} AS fine FROM ({degree_stats(name)})"
-    return f"SELECT {k}::INT AS k, CASE WHEN NOT (SELECT fine FROM ({degrees})) OR NOT (SELECT connected FROM ({connected(name)})) OR EXISTS ({cut_vertices(name)}) THEN FALSE WHEN (SELECT n = 0 FROM ({proof})) THEN TRUE END AS verdict"
+    return f"SELECT k, CASE WHEN NOT verdict OR (SELECT n = 0 FROM ({proof})) THEN coalesce(verdict, TRUE) END AS verdict FROM ({k_connected_by_degree(name, k)})"
+
+
+def k_connected_by_degree(name: str, k: int) -> str:
+    """Refuted by a small degree or several components, else null."""
+    return f"SELECT {k}::INT AS k, CASE WHEN NOT (SELECT n > {k} AND min_degree >= {k} FROM ({degree_stats(name)})) OR NOT (SELECT connected FROM ({connected(name)})) THEN FALSE END AS verdict"
 
 
 def largest_k_by_signs(name: str) -> str:
@@ -338,6 +342,21 @@ def agreement(name: str, k: int) -> str:
     return f"SELECT k, method, verdict FROM ({k_connected(name, k)}), (VALUES ('layered'), ('layered_merge'), ('online_rounds'), ('online_merge')) t(method)"
 
 
+def all_min_cuts(name: str, u: int, v: int, most: int) -> str:
+    """The smallest sets that part u from v."""
+    steps, parts = [], []
+    for size in range(1, most + 1):
+        steps += _removals(size)
+        parts.append(f"SELECT {size} AS l, p.members FROM m{size} p JOIN m{size} q ON p.members = q.members AND p.id = {u} AND q.id = {v} AND p.label <> q.label")
+    steps.append(f"found AS MATERIALIZED ({' UNION ALL '.join(parts)})")
+    return _with(name, steps, "SELECT members FROM found WHERE l = (SELECT min(l) FROM found)")
+
+
+def prefix_components(name: str, upto: int) -> str:
+    reach = f"reach AS (SELECT x AS id, x AS to_id FROM b WHERE seq <= {upto} UNION SELECT r.id, b.y FROM reach r JOIN b ON r.to_id = b.x AND b.seq <= {upto})"
+    return _with(name, [reach], "SELECT id, min(to_id) AS comp FROM reach GROUP BY id")
+
+
 def layered_sizes(name: str, k: int) -> str:
     g = edges(name)
     return f"SELECT {k}::INT AS k, n, m, c AS cert_rows, c / ({k} * (n - 1)) AS of_layers, c / m AS of_edges FROM (SELECT count(*) AS m FROM ({g})), (SELECT count(DISTINCT x) AS n FROM (SELECT u AS x FROM ({g}) UNION ALL SELECT v FROM ({g}))), (SELECT count(*) AS c FROM ({layered(name, k)}))"

@@ -396,22 +396,32 @@ def test_known_graph_counts():
     assert len(known_graph("complete", 6)) == 15 and len(known_graph("cube", 4)) == 32
 
 
-@pytest.mark.parametrize("name", ["user_topic_error", "nation_trade"])
-def test_registered_separators_of_whole_tables_match_brute_force(spark, sf, name):
-    from certgraph.plans.driver_queries import oracle_sql, queries
+def test_registered_queries_of_whole_tables_match_brute_force(spark, sf):
+    from certgraph.plans.driver_queries import queries
 
-    q = queries()
+    q, name = queries(), "user_topic_error"
     g = K.graph_of([(u, v) for _, u, v in triples(WORKLOADS[name](spark, sf))])
     want = {size: K.brute_separators(g, size) for size in (1, 2)}
-    for query in (f"separators2_{name}", f"separators2_online_{name}"):
-        assert {tuple(r.members) for r in q[query](spark, sf).collect()} == want[2]
-    assert q[f"count_separators2_{name}"](spark, sf).first().n == len(want[2])
-    pairs = q[f"kappa_layered_{name}_3"](spark, sf).collect()
-    assert len(pairs) == len(g) * (len(g) - 1) // 2 - sum(map(len, g.values())) // 2
-    assert all(r.kappa == K.PathFlow(g, r.u, r.v, 3).value for r in pairs)
-    kappa = next((k for k in range(5, 0, -1) if K.brute_k_connected(g, k)), 0) if name == "nation_trade" else 0 if K.component_count(g) > 1 else 1 if want[1] else None
-    assert q[f"vertex_connectivity_layered_{name}"](spark, sf).first().kappa == kappa
-    assert f"separators2_{name}" not in oracle_sql() and "k_connected_layered_nation_trade_3" in oracle_sql()
+    assert {tuple(r.members) for r in q[f"separators2_{name}"](spark, sf).collect()} == want[2]
+    for via in ("layered", "online"):
+        r = q[f"separators_agree2_{via}_{name}"](spark, sf).first()
+        assert r.in_graph == r.in_certificate == r.in_both == len(want[2])
+    for via in ("layered", "full"):
+        pairs = q[f"kappa_{via}_{name}_5"](spark, sf).collect()
+        assert len(pairs) == len(g) * (len(g) - 1) // 2 - sum(map(len, g.values())) // 2
+        assert all(r.kappa == K.PathFlow(g, r.u, r.v, 5).value for r in pairs)
+    found = {r.l: (r.separators, r.fewest_streams) for r in q[f"order_free_separators_{name}"](spark, sf).collect()}
+    assert found == {size: (len(x), 3) for size, x in want.items()}
+
+
+def test_large_k_on_the_call_graph(spark, sf):
+    """More paths than any earlier one-pass method could tell, from both certificates and from the graph itself."""
+    e = Stages(spark, "t").keep(WORKLOADS["call_error"](spark, sf), "edges")
+    g = K.graph_of([(u, v) for _, u, v in triples(e)])
+    kappa = next(k for k in range(12, 0, -1) if K.is_k_connected(g, k))
+    assert kappa > 4
+    for via in ("layered", "online_merge", "online", "full"):
+        assert decide.vertex_connectivity(e, 12, via) == kappa
 
 
 def test_sweep_counts_its_passes(spark, calls):
@@ -419,4 +429,4 @@ def test_sweep_counts_its_passes(spark, calls):
 
     tree = measures.timed_sweep(spark, {"p": known_edges(spark, "path", 6)}, (3,), ("layered", "online_rounds", "online_merge")).collect()
     assert {r.method: r.passes for r in tree} == {"layered": layered.layered_run(known_edges(spark, "path", 6), 3).passes, "online_rounds": 1, "online_merge": 1}
-    assert {f"sweep_rows_{n}" for n in ("call_error", "user_topic_error", "part_supplier", "nation_trade", "customer_supplier_returns")} | {"order_free_call_error_3"} <= set(queries())
+    assert {f"sweep_{n}" for n in ("call_error", "user_topic_error", "part_supplier", "nation_trade", "customer_supplier_returns")} | {"order_free_call_error_5"} <= set(queries())
