@@ -349,13 +349,14 @@ class PathFlow:
 
     A vertex other than the ends carries at most one path. `nxt` and `prv` link the vertices along the paths. A search state
     is a vertex with the side on which it was reached: 0 free to leave by any edge, 1 reached along an edge into a vertex on
-    a path, from where it can only go back along that path. With `near` the sink is an extra vertex that `near` says who is joined to.
-    A search ends at the first state next to the sink, so it does not look at the sink's whole neighbourhood.
+    a path, from where it can only go back along that path. Searches start from both ends and meet between. With `near` the sink is
+    an extra vertex that `near` says who is joined to; a search then starts from the source and ends at the first state next to the sink.
     """
 
     def __init__(self, g: Graph, source: int, sink, cap: int, near: Container[int] | None = None):
         self.g, self.source, self.sink = g, source, sink
         self.near: Container[int] = g[sink] if near is None else near
+        self._search = self._from_both if near is None else self._from_source
         self.nxt: dict[int, int] = {}
         self.prv: dict[int, int] = {}
         self.starts: list[int] = []
@@ -367,45 +368,84 @@ class PathFlow:
 
     def _augment(self) -> bool:
         self.searches += 1
-        g, near, nxt, prv, source, sink = self.g, self.near, self.nxt, self.prv, self.source, self.sink
-        start = (source, 0)
+        states = self._search()
+        if states:
+            self._reroute(states)
+        return bool(states)
+
+    def _onward(self, x: int, side: int) -> list[tuple]:
+        """States after (x, side)."""
+        prv, source, sink = self.prv, self.source, self.sink
+        if x == source:
+            return [(y, 1) if y in prv else (y, 0) for y in self.g[x] if y != sink and prv.get(y) != source]
+        after = []
+        if side == 0:
+            ahead = self.nxt.get(x)
+            after = [(y, 1) if y in prv else (y, 0) for y in self.g[x] if y != source and y != sink and y != ahead]
+            if ahead != sink and x in self.near:
+                after.append((sink, 0))
+        back = prv.get(x)
+        if back is not None and back != source:
+            after.append((back, 0))
+        return after
+
+    def _before(self, y: int, side: int) -> list[tuple]:
+        """States that (y, side) comes after."""
+        nxt, prv, source, sink = self.nxt, self.prv, self.source, self.sink
+        if y == sink:
+            return [(x, 0) for x in self.g[sink] if x != source and nxt.get(x) != sink]
+        if side == 0 and y in prv:
+            z = nxt[y]
+            return [] if z == sink else [(z, 0), (z, 1)]
+        return [(x, 0) for x in self.g[y] if x != sink and (prv.get(y) if x == source else nxt.get(x)) != (source if x == source else y)]
+
+    def _from_both(self) -> list[tuple] | None:
+        ahead, behind = {(self.source, 0): None}, {(self.sink, 0): None}
+        front, back = list(ahead), list(behind)
+        while front and back:
+            here, there, step = (ahead, behind, self._onward) if len(front) <= len(back) else (behind, ahead, self._before)
+            found = []
+            for state in front if here is ahead else back:
+                near = step(*state)
+                self.arcs += len(near)
+                for other in near:
+                    if other not in here:
+                        here[other] = state
+                        if other in there:
+                            return self._way(other, ahead)[::-1] + self._way(behind[other], behind)
+                        found.append(other)
+            if here is ahead:
+                front = found
+            else:
+                back = found
+        return None
+
+    @staticmethod
+    def _way(state, came: dict) -> list[tuple]:
+        out = []
+        while state is not None:
+            out.append(state)
+            state = came[state]
+        return out
+
+    def _from_source(self) -> list[tuple] | None:
+        start = (self.source, 0)
         came: dict[tuple, tuple | None] = {start: None}
         queue = deque([start])
         while queue:
             state = queue.popleft()
             x, side = state
-            if x == source:
-                onward = [y for y in g[x] if y != sink and prv.get(y) != source]
-            elif side == 0:
-                ahead = nxt.get(x)
-                if x in near and ahead != sink:
-                    came[(sink, 0)] = state
-                    self._apply((sink, 0), came)
-                    return True
-                onward = [y for y in g[x] if y != source and y != sink and y != ahead]
-            else:
-                onward = ()
-            self.arcs += len(onward)
-            for y in onward:
-                after = (y, 1) if y in prv else (y, 0)
-                if after not in came:
-                    came[after] = state
-                    queue.append(after)
-            back = prv.get(x)
-            if back is not None and back != source:
-                self.arcs += 1
-                after = (back, 0)
-                if after not in came:
-                    came[after] = state
-                    queue.append(after)
-        self.reached = came
-        return False
-
-    def _apply(self, end, came) -> None:
-        states = [end]
-        while came[states[-1]] is not None:
-            states.append(came[states[-1]])
-        states.reverse()
+            if side == 0 and x != self.source and x in self.near and self.nxt.get(x) != self.sink:
+                return [*self._way(state, came)[::-1], (self.sink, 0)]
+            near = self._onward(x, side)
+            self.arcs += len(near)
+            for other in near:
+                if other not in came:
+                    came[other] = state
+                    queue.append(other)
+        return None
+
+    def _reroute(self, states: list[tuple]) -> None:
         gone, new = set(), []
         for (x, _), (y, _) in zip(states, states[1:], strict=False):
             if self.prv.get(x) == y and x != self.source and y != self.sink:
@@ -429,12 +469,18 @@ class PathFlow:
 
     def cut(self) -> list[int]:
         """Vertices of a smallest set that parts the ends; only if they are not adjacent and the flow was not capped."""
+        reached, todo = {(self.source, 0)}, [(self.source, 0)]
+        for state in todo:
+            for other in self._onward(*state):
+                if other not in reached:
+                    reached.add(other)
+                    todo.append(other)
         out = []
         for s in self.starts:
             # the last vertex of the path that a search can enter but not leave forward
             x, best = s, s
             while x != self.sink:
-                if (x, 1) in self.reached or (x, 0) in self.reached:
+                if (x, 1) in reached or (x, 0) in reached:
                     best = x
                 x = self.nxt[x]
             out.append(best)
@@ -453,12 +499,15 @@ class OnlineCertificate:
 
     def __init__(self, k: int, edges: Iterable[tuple[int, int, int]] = ()):
         self.k, self.g, self.kept = k, {}, []
+        self.sets = DisjointSets()  # one path is enough for k = 1
         self.flows = self.arcs = self.shortcuts = 0
         for e in edges:
             self._keep(e)
 
     def _keep(self, edge) -> None:
         self.kept.append(edge)
+        if self.k == 1:
+            self.sets.join(edge[1], edge[2])
         self.g.setdefault(edge[1], set()).add(edge[2])
         self.g.setdefault(edge[2], set()).add(edge[1])
 
@@ -473,9 +522,9 @@ class OnlineCertificate:
         if len(a) < self.k or len(b) < self.k:
             self.shortcuts += 1
             return True
-        if len(a & b) >= self.k:
+        if self.k == 1 or len(a & b) >= self.k:
             self.shortcuts += 1
-            return False
+            return self.k == 1 and self.sets.find(u) != self.sets.find(v)
         flow = PathFlow(self.g, u, v, self.k)
         self.flows += 1
         self.arcs += flow.arcs
