@@ -8,10 +8,10 @@ be as many as the types seen once. So all tables
 that the workers need are of bounded size while counts cover every word; the grain of the classes is a share of the corpus,
 thus as the corpus grows more words (though no greater share of tokens) are told apart by their endings only.
 
-Counting. Texts are cut into blocks of bounded size. A block's distinct words are cut by hash into 64 ranges, and the like
-ranges of 64 neighbouring blocks are summed; these sums are cut and summed in the same way, until one group holds all
-blocks. Totals go back down the same way. A level moves 64 rows for each block, so rows grow with n log n, and no group
-holds more than 64 such pieces. Training is Baum-Welch: a start from a bounded sample, then passes over all training
+Counting. Texts are cut into blocks of bounded size. A block's distinct words are cut by hash into 256 ranges, and the like
+ranges of 256 neighbouring blocks are summed; these sums are cut and summed in the same way, until one group holds all
+blocks. Totals go back down the same way. A level moves 256 rows for each block, so rows grow with n log n, and no group
+holds more than 256 such pieces, some kilobytes each. Training is Baum-Welch: a start from a bounded sample, then passes over all training
 texts, in which every task adds up expected counts and the sums are merged in a tree. The score is the exact likelihood by
 the scaled forward recursion over the whole text, in stretches of bounded size.
 
@@ -42,7 +42,7 @@ SAMPLE_TEXTS, SAMPLE_ROUNDS, FULL_PASSES = 512, 12, 2
 BLOCK_BYTES, HELD_TOKENS = 12 << 20, 250_000
 FAN_IN = 16
 #: Two to the power of this: how many blocks' words are summed in one step, and hash ranges that each sum is cut into.
-FAN_BITS = 6
+FAN_BITS = 8
 
 
 def _squeeze(a: np.ndarray) -> bytes:
