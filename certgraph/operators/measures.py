@@ -16,7 +16,7 @@ from certgraph.operators.components import component_labels
 from certgraph.operators.decide import all_pairs, certificate_for, is_k_connected, local_connectivity_pairs, shared_graph, spread
 from certgraph.operators.edges import remove_vertices, vertex_set
 from certgraph.operators.forest import edge_chunks, fold_words, in_order, oriented
-from certgraph.operators.layered import LayeredRun, layered_run
+from certgraph.operators.layered import IN_ONE_TASK, LayeredRun, layered_run
 from certgraph.operators.online import online_rounds
 from certgraph.operators.separators import separators
 from certgraph.plans.staging import Stages
@@ -265,11 +265,11 @@ def forest_faults(run: LayeredRun) -> DataFrame:
     return spark.createDataFrame(rows, "layer int, fault string, n long")
 
 
-def timed_sweep(spark: SparkSession, graphs: dict[str, DataFrame], ks: tuple[int, ...], methods: tuple[str, ...]) -> DataFrame:
+def timed_sweep(spark: SparkSession, graphs: dict[str, DataFrame], ks: tuple[int, ...], methods: tuple[str, ...], nested: bool = True) -> DataFrame:
     """(workload, method, k, n, m, cert_rows, passes, rows_read, mb_shuffled, seconds) for each combination.
 
-    `passes` are the reads that the layered run counted as they happened, the rounds of "online_rounds", and one for methods that
-    read the stream once; `rows_read` and `mb_shuffled` are what Spark itself counted, intermediate tables included.
+    `passes` are the reads that the layered run counted as they happened (one for a small graph if `nested` does not ask for
+    the passes of `layered_run`), the rounds of "online_rounds", and one for methods that read the stream once; `rows_read` and `mb_shuffled` are what Spark itself counted, intermediate tables included.
     """
     rows = []
     for name, edges in graphs.items():
@@ -281,7 +281,7 @@ def timed_sweep(spark: SparkSession, graphs: dict[str, DataFrame], ks: tuple[int
             for method in methods:
                 passes = 1
                 with SparkCost(spark) as cost:
-                    if method == "layered":
+                    if method == "layered" and (nested or m > IN_ONE_TASK):
                         run = layered_run(edges, k, vertices)
                         cert, passes = run.certificate, run.passes
                     elif method == "online_rounds":
