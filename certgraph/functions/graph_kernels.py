@@ -315,7 +315,7 @@ def layered_rows(edges: Iterable[tuple[int, int, int]], k: int) -> list[tuple[in
 
 
 class LayeredFold:
-    """A layered certificate of a stream in chunks: what is held and a buffer no longer than it are certified together."""
+    """A layered certificate of a stream in chunks: what is held is certified together with a buffer twice as long, or of some chunks."""
 
     def __init__(self, k: int):
         self.k, self.peak = k, 0
@@ -327,7 +327,7 @@ class LayeredFold:
     def offer(self, seq: np.ndarray, u: np.ndarray, v: np.ndarray) -> None:
         self.buffer.append((seq, u, v))
         self.waiting += len(seq)
-        if self.waiting >= max(CHUNK, len(self.layer)):
+        if self.waiting >= max(8 * CHUNK, 2 * len(self.layer)):
             self.settle()
 
     def settle(self) -> tuple[tuple[np.ndarray, ...], np.ndarray]:
