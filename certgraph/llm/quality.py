@@ -2,7 +2,7 @@
 
 Text that a general-purpose compressor shrinks far more than prose of its length repeats itself; text that it
 hardly shrinks is noise, encoded data or a random string. How far prose shrinks depends on its length, so each
-length class has limits of its own: general ones, or ones fitted on a bounded sample of texts that are labelled good. The ratio is taken over the whole document and over fixed chunks up to its
+length class has limits of its own: general ones, or ones fitted on all texts that are labelled good. The ratio is taken over the whole document and over fixed chunks up to its
 last byte, so that a long bad passage in a longer good text counts too, wherever it stands.
 """
 
@@ -49,35 +49,46 @@ class CompressionBands:
         return low <= ratio <= high
 
 
-#: Labelled texts that limits are fitted on at most, and how many deviations from the fitted ratio they allow.
-FIT_DOCUMENTS, FIT_SPREAD = 2000, 4.5
+#: How many deviations from the fitted ratio limits allow, and the steps of a doubling that sizes and ratios are counted in.
+FIT_SPREAD, SIZE_STEPS, RATIO_STEPS = 4.5, 64, 512
 
 
-def bands_from_sample(sizes: np.ndarray, ratios: np.ndarray, general: CompressionBands | None = None, spread: float = FIT_SPREAD) -> CompressionBands:
+def _median(values: np.ndarray, weights: np.ndarray) -> float:
+    order = np.argsort(values, kind="stable")
+    upto = np.cumsum(weights[order])
+    low, high = np.searchsorted(2 * upto, upto[-1]), np.searchsorted(2 * upto, upto[-1], side="right")
+    return float(values[order][low] + values[order][high]) / 2
+
+
+def bands_from_sample(sizes: np.ndarray, ratios: np.ndarray, general: CompressionBands | None = None, spread: float = FIT_SPREAD, weights: np.ndarray | None = None) -> CompressionBands:
     """Limits around the ratio that good texts of each length have, in steps of a quarter of a doubling.
 
     The middle is a parabola over the logarithm of the size; the deviation is that of the texts up to a doubling away, but for
     outliers beyond five deviations by the median of absolute residuals. Sizes with fewer than 20 such texts, and all sizes
-    with fewer than 100 texts in the sample, keep the general limits.
+    with fewer than 100 texts in all, keep the general limits. `weights` says how many texts each entry stands for.
     """
     general = general or CompressionBands()
     x = np.log2(np.maximum(1, sizes))
-    if len(x) < 100:
+    n = np.ones(len(x), dtype=np.int64) if weights is None else weights
+    if n.sum() < 100:
         return general
     near = np.ones(len(x), dtype=bool)
     for _ in range(3):  # texts far from the curve don't bend it
-        curve = np.polyfit(x[near], ratios[near], 2)
+        curve = np.polyfit(x[near], ratios[near], 2, w=np.sqrt(n[near]))
         off = ratios - np.polyval(curve, x)
-        near = np.abs(off - np.median(off)) <= 5 * 1.4826 * np.median(np.abs(off - np.median(off))) + 1e-9
+        away = np.abs(off - _median(off, n))
+        near = away <= 5 * 1.4826 * _median(away, n) + 1e-9
     limits, steps = [], np.arange(np.ceil(4 * x.min()), np.floor(4 * x.max())) / 4
     for a in steps:
-        own = off[near & (np.abs(x - a - 0.125) <= 1)]
-        if len(own) < 20:
+        here = near & (np.abs(x - a - 0.125) <= 1)
+        own, many = off[here], n[here]
+        if many.sum() < 20:
             if limits:
                 break
             continue
-        room = spread * max(float(own.std()), 0.01)
-        middle = np.polyval(curve, [a, a + 0.25]) + np.median(own)
+        deviation = np.sqrt(np.average((own - np.average(own, weights=many)) ** 2, weights=many))
+        room = spread * max(float(deviation), 0.01)
+        middle = np.polyval(curve, [a, a + 0.25]) + _median(own, many)
         limits.append((float(2 ** (a + 0.25)), float(middle.min()) - room, float(middle.max()) + room))
     if not limits:
         return general
@@ -97,18 +108,21 @@ def labels_beside(spark: SparkSession, sf_dir: str) -> DataFrame | None:
         return None
 
 
-def fitted_bands(docs: DataFrame, labels: DataFrame | None, good: str = "quality = 1", most: int = FIT_DOCUMENTS, general: CompressionBands | None = None, id_col: str = "doc_id", text_col: str = "text") -> CompressionBands:
-    """Limits from at most `most` texts whose label (a row of `labels` with the id) says that they are good.
+def fitted_bands(docs: DataFrame, labels: DataFrame | None, good: str = "quality = 1", most: int | None = None, general: CompressionBands | None = None, id_col: str = "doc_id", text_col: str = "text") -> CompressionBands:
+    """Limits from all texts whose label (a row of `labels` with the id) says that they are good, or from at most `most` if asked for.
 
-    The sample is chosen by a hash of the id, so reruns agree. Null ids and texts take no part. Without
-    labels the general limits hold.
+    Every such text is measured whole. They are counted by size and ratio in small steps, each with the exact means of its texts, so what
+    comes back grows with the spread of sizes and ratios and not with the texts. Texts are measured before the join, which
+    moves numbers only. `most` texts are chosen by a hash of the id, so reruns agree. Null ids and texts take no part. Without labels the general limits hold.
     """
     general = general or CompressionBands()
     if labels is None:
         return general
-    rows = labels.filter(good).select(F.col(id_col).cast("long").alias("k")).filter("k IS NOT NULL").distinct()
-    chosen = rows.orderBy(F.xxhash64("k"), "k").limit(most)  # at most `most` ids are broadcast
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).filter("text IS NOT NULL")
+    chosen = labels.filter(good).select(F.col(id_col).cast("long").alias("k")).filter("k IS NOT NULL").distinct()
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).filter("doc_id IS NOT NULL AND text IS NOT NULL")
+    if most is not None:
+        chosen = F.broadcast(chosen.orderBy(F.xxhash64("k"), "k").limit(most))
+        texts = texts.join(chosen, F.col("doc_id") == F.col("k"), "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
@@ -118,9 +132,16 @@ def fitted_bands(docs: DataFrame, labels: DataFrame | None, good: str = "quality
             raws = [text_bytes(t, lower=False) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(r) for r in raws], pa.int64()), pa.array([len(r) / len(z.compress(r)) for r in raws], pa.float64())], names=["doc_id", "size", "ratio"])
 
-    found = texts.join(F.broadcast(chosen), F.col("doc_id") == F.col("k")).select("doc_id", "text").mapInArrow(run, "doc_id long, size long, ratio double")
-    sample = found.orderBy(F.xxhash64("doc_id"), "size", "ratio").limit(most).toArrow()
-    return bands_from_sample(sample["size"].to_numpy(), sample["ratio"].to_numpy(), general)
+    found = texts.mapInArrow(run, "doc_id long, size long, ratio double")
+    if most is None:
+        found = found.join(chosen, F.col("doc_id") == F.col("k"), "left_semi")
+    else:
+        found = found.orderBy(F.xxhash64("doc_id"), "size", "ratio").limit(most)
+    steps = [F.floor(SIZE_STEPS * F.log2(F.greatest("size", F.lit(1)))).alias("s"), F.floor(RATIO_STEPS * F.log2(F.greatest("ratio", F.lit(1e-6)))).alias("r")]
+    sums = [F.sum("size").alias("sizes"), F.sum(F.round(F.col("ratio") * 1_000_000).cast("long")).alias("ratios"), F.count(F.lit(1)).alias("n")]  # whole numbers, so any order of adding agrees
+    t = found.groupBy(*steps).agg(*sums).orderBy("s", "r").toArrow()
+    n = t["n"].to_numpy()
+    return bands_from_sample(t["sizes"].to_numpy() / n, t["ratios"].to_numpy() / (1_000_000 * n), general, weights=n)
 
 
 _SYMBOL = np.zeros(256, dtype=bool)

@@ -132,3 +132,23 @@ def test_fitted_bands_on_labels(spark, sf):
     gone = {f: (sum(q == 0 and not k for q, k in x), sum(q == 1 and not k for q, k in x)) for f, x in both.items()}
     bad = sum(q == 0 for q, _ in both[True])
     assert gone[True][0] >= 0.5 * bad > gone[False][0] and gone[True][1] <= 0.02 * len(both[True])
+
+
+def test_limits_are_fitted_on_all_labelled_texts(spark):
+    """Of 4,000 texts 600 are longer, all of them behind the first 2,000 by hash: lengths only they have get limits too."""
+    import random
+
+    from pyspark.sql import functions as F
+
+    rng = random.Random(4)
+    word = lambda: "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randint(2, 8)))
+    short = [(i, " ".join(word() for _ in range(rng.randint(60, 120)))) for i in range(4000)]
+    by_hash = [r.doc_id for r in spark.createDataFrame([(i,) for i, _ in short], "doc_id long").orderBy(F.xxhash64("doc_id"), "doc_id").collect()]
+    longer = {i: " ".join(word() for _ in range(rng.randint(100, 400))) for i in by_hash[2400:3000]}  # behind the first 2,000
+    docs = spark.createDataFrame([(i, longer.get(i, t)) for i, t in short], "doc_id long, text string").repartition(4)
+    labels = docs.select("doc_id", F.lit(1).alias("quality"))
+    bands = fitted_bands(docs, labels)
+    assert bands == fitted_bands(docs.repartition(7), labels.unionByName(labels))
+    size = 1800
+    limits = lambda b: next((low, high) for below, low, high in b.limits if size < below)
+    assert limits(bands) != limits(CompressionBands()) and limits(fitted_bands(docs, labels, most=2000)) == limits(CompressionBands())
