@@ -43,6 +43,12 @@ def running_sum(rows: DataFrame, key: str, spot: str, ties: list[str], value: Co
     return cut.join(sums, [key, "_cut"]).withColumn(name, F.col("_before") + F.coalesce(F.sum("_value").over(inside), F.lit(0))).drop("_cut", "_value", "_before")
 
 
+def word_count(text: Column) -> Column:
+    """Words of a text, 0 for null: each is replaced by one letter, so no list of them is made."""
+    letters = F.translate(F.regexp_replace(text, F.lit(WORD), F.lit("w")), "\x20\x09\x0a\x0b\x0c\x0d", "")
+    return F.coalesce(F.octet_length(letters), F.lit(0)).cast("long")
+
+
 def _source_key(source: Column) -> Column:
     return F.coalesce(F.concat(F.lit("s"), source), F.lit("n"))
 
@@ -121,7 +127,7 @@ class Mix:
         self.seed, self.cols, self.docs = seed, (id_col, text_col, source_col), docs
         self.st = Stages(docs.sparkSession, "mixing")
         doc, text, source = F.col(id_col), F.col(text_col).cast("string"), F.col(source_col).cast("string")
-        slim = docs.select(doc.cast("long").alias("doc_id"), source.alias("source"), _source_key(source).alias("skey"), F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long").alias("size"), _row_hash(seed, doc.cast("long"), text, source).alias("h"))
+        slim = docs.select(doc.cast("long").alias("doc_id"), source.alias("source"), _source_key(source).alias("skey"), word_count(text).alias("size"), _row_hash(seed, doc.cast("long"), text, source).alias("h"))
         self.slim = self.st.keep(slim, "sizes")
         sizes = self.slim.groupBy("source", "skey").agg(F.sum("size").alias("source_size"))
         n_blocks = F.greatest(F.lit(1), F.ceil(F.col("source_size") / block_words)).cast("long")

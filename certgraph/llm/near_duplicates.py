@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from certgraph.functions.worker_memory import LARGE, give_back, giving_back
 from certgraph.llm.wordhash import Words, mix, shingle_set, slices, text_bytes
 from certgraph.operators.components import component_labels
 from certgraph.plans.staging import Stages
@@ -87,7 +88,7 @@ def _signatures(width: int):
                 names=["doc_id", "n_shingles", "fp_a", "fp_b", "bands"],
             )
 
-    return run
+    return giving_back(run)
 
 
 def _sets(width: int):
@@ -99,7 +100,7 @@ def _sets(width: int):
                 blobs.append(s.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(blobs, pa.binary())], names=["rep", "shingles"])
 
-    return run
+    return giving_back(run)
 
 
 def _confirm(percent: int):
@@ -117,7 +118,7 @@ def _confirm(percent: int):
                 keep.append(100 * shared >= percent * (len(a) + len(b) - shared))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["u", "v"]).filter(pa.array(keep, pa.bool_()))
 
-    return run
+    return giving_back(run)
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -237,7 +238,7 @@ def _within_blocks(here: DataFrame, blocks: DataFrame, sets: DataFrame, percent:
     rows = here.select("rep", "comp").distinct().join(blocks, "rep").join(sets, "rep").select("block", "rep", "comp", "shingles")
 
     def run(table: pa.Table) -> pa.Table:
-        return _link_table(joining_links(*_columns(table), percent))
+        return _linked(joining_links(*_columns(table), percent), table.nbytes)
 
     return rows.groupBy("block").applyInArrow(run, "u long, v long")
 
@@ -261,7 +262,7 @@ def _between_blocks(st: Stages, here: DataFrame, blocks: DataFrame, sets: DataFr
         return placed.select(*(F.col(c).alias(c) for c in ("a", "b", "rep", "comp", "shingles")))
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        return _link_table(joining_links(*_columns(left), percent, _columns(right)) if left.num_rows and right.num_rows else [])
+        return _linked(joining_links(*_columns(left), percent, _columns(right)) if left.num_rows and right.num_rows else [], left.nbytes + right.nbytes)
 
     left, right = side("a", docs.filter("outside")), side("b", docs)
     return left.groupBy("a", "b").cogroup(right.groupBy("a", "b")).applyInArrow(run, "u long, v long")
@@ -327,6 +328,13 @@ def joining_links(ids, comps, flat, begin, percent: int, other=None) -> list[tup
     return links
 
 
+def _linked(links: list[tuple[int, int]], size: int) -> pa.Table:
+    """Links as a table, after a group of rows of so many bytes."""
+    if size >= LARGE:
+        give_back()
+    return _link_table(links)
+
+
 def _link_table(links: list[tuple[int, int]]) -> pa.Table:
     u, v = zip(*links, strict=True) if links else ((), ())
     return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})

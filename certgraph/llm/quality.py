@@ -17,6 +17,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from certgraph.functions.worker_memory import giving_back
 from certgraph.llm.wordhash import Words, slices, text_bytes, window_hashes
 
 
@@ -132,7 +133,7 @@ def fitted_bands(docs: DataFrame, labels: DataFrame | None, good: str = "quality
             raws = [text_bytes(t, lower=False) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(r) for r in raws], pa.int64()), pa.array([len(r) / len(z.compress(r)) for r in raws], pa.float64())], names=["doc_id", "size", "ratio"])
 
-    found = texts.mapInArrow(run, "doc_id long, size long, ratio double")
+    found = texts.mapInArrow(giving_back(run), "doc_id long, size long, ratio double")
     if most is None:
         found = found.join(chosen, F.col("doc_id") == F.col("k"), "left_semi")
     else:
@@ -227,7 +228,7 @@ def quality_verdicts(docs: DataFrame, bands: CompressionBands | None = None, id_
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     schema = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, ratio double, n_chunks long, n_bad_chunks long, in_band boolean"
-    rows = texts.mapInArrow(_measured(bands or CompressionBands()), schema)
+    rows = texts.mapInArrow(giving_back(_measured(bands or CompressionBands())), schema)
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     return rows.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & F.col("in_band"))
 
@@ -249,4 +250,4 @@ def passing_documents(docs: DataFrame, bands: CompressionBands | None = None, id
             n, rep, fine = (m.column(c).to_numpy(zero_copy_only=False) for c in ("n_words", "n_repeat_words", "in_band"))
             yield batch.filter(pa.array((n >= 10) & (100 * rep <= 20 * n) & fine.astype(bool), pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(giving_back(run), docs.schema)
